@@ -26,35 +26,39 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from ..session import checkpoint
-from .common import ascii_lower, computed
+from .common import computed
 
-SPACES = " \t\n\x0b\x0c\r"
 SYMBOLS = "#*$%&|<>"
 _EDGES = ".,;:!?\"'()[]{}*&$%#|<>-_/"
 BASE = ("n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words")
 FEATURES = ("word_length", "symbol_share", "dup_line_share", "repeat_share", "distinct_share", "line_words", "flagged_words")
 
 
+def _plain(word: Column) -> Column:
+    """A word in lower case without marks at its ends."""
+    return F.trim(F.lower(word), F.lit(_EDGES))
+
+
 def text_statistics(docs: DataFrame, flagged: list[str] = (), id_col: str = "doc_id", text_col: str = "text", keep: tuple[str, ...] = ()) -> DataFrame:
     """``doc_id``, the columns of BASE (long) and those of FEATURES (double), besides the columns in keep."""
     t = F.coalesce(docs[text_col].cast("string"), F.lit(""))
     df = docs.select(docs[id_col].cast("long").alias("doc_id"), *keep, t.alias("_t"))
-    bare = F.translate("_t", SPACES, "")
-    lines = F.filter(F.split("_t", "\n"), lambda x: F.length(F.translate(x, SPACES, "")) > 0)
+    lines = F.filter(F.split("_t", "\n"), lambda x: x.rlike(r"[^\x20\x09-\x0D]"))
     df = computed(df, F.array_remove(F.split("_t", r"[\x20\x09-\x0D]+"), "").alias("_w"), lines.alias("_l"))
-    df = df.select("doc_id", *keep, "_w", "_l", F.length(bare).alias("_c"), (F.length("_t") - F.length(F.translate("_t", SYMBOLS, ""))).alias("_s"))
+    chars = F.aggregate("_w", F.lit(0), lambda x, w: x + F.length(w))
+    df = df.select("doc_id", *keep, "_w", "_l", chars.alias("_c"), F.regexp_count("_t", F.lit(f"[{SYMBOLS}]")).alias("_s"))
     runs = F.transform(F.sequence(F.lit(1), F.size("_w") - 2), lambda i: F.struct(F.xxhash64(F.slice("_w", i, 3)).alias("h"), i.alias("i")))
     df = computed(df, F.sort_array(F.when(F.size("_w") >= 3, runs).otherwise(F.array().cast("array<struct<h:bigint,i:int>>"))).alias("_r"))
     # equal runs stand side by side in the sorted array; each of a pair covers three words
-    three = lambda x: [x["i"], x["i"] + 1, x["i"] + 2]
     m = F.greatest(F.size("_r") - 1, F.lit(0))
-    pairs = F.zip_with(F.slice("_r", F.lit(1), m), F.slice("_r", F.lit(2), m), lambda x, y: F.when(x["h"] == y["h"], F.array(*three(x), *three(y))).otherwise(F.array().cast("array<int>")))
-    covered = F.size(F.array_distinct(F.flatten(pairs)))
+    pairs = F.zip_with(F.slice("_r", F.lit(1), m), F.slice("_r", F.lit(2), m), lambda x, y: F.when(x["h"] == y["h"], F.struct(x["i"].alias("i"), y["i"].alias("j"))))
+    three = lambda i: [i, i + 1, i + 2]
+    covered = F.size(F.array_distinct(F.flatten(F.transform(F.filter(pairs, lambda p: p.isNotNull()), lambda p: F.array(*three(p["i"]), *three(p["j"]))))))
     n = F.size("_w")
     flag = F.lit(0)
     if flagged:
-        words = F.transform("_w", lambda w: F.trim(ascii_lower(w), F.lit(_EDGES)))
-        flag = F.size(F.filter(words, lambda w: w.isin(list(flagged)) | F.substring(w, 1, 5).isin([f for f in flagged if len(f) == 5])))
+        heads = [f for f in flagged if len(f) == 5]
+        flag = F.size(F.filter(F.transform("_w", _plain), lambda w: w.isin(list(flagged)) | F.substring(w, 1, 5).isin(heads)))
     one = lambda x: F.greatest(x, F.lit(1))
     df = df.select("doc_id", *keep, n.cast("long").alias("n_words"), F.col("_c").cast("long").alias("word_chars"), F.col("_s").cast("long").alias("n_symbols"), (F.size("_l") - F.size(F.array_distinct("_l"))).cast("long").alias("n_dup_lines"), covered.cast("long").alias("n_repeat_words"), F.size(F.array_distinct("_w")).alias("_d"), F.size("_l").alias("_n"), flag.cast("double").alias("flagged_words"))
     return df.select("doc_id", *keep, *BASE, (F.col("word_chars") / one(F.col("n_words"))).alias("word_length"), (F.col("n_symbols") / one(F.col("n_words"))).alias("symbol_share"), (F.col("n_dup_lines") / one(F.col("_n"))).alias("dup_line_share"), (F.col("n_repeat_words") / one(F.col("n_words"))).alias("repeat_share"), (F.col("_d") / one(F.col("n_words"))).alias("distinct_share"), (F.col("n_words") / one(F.col("_n"))).alias("line_words"), "flagged_words")
@@ -113,7 +117,9 @@ def labelled_sample(docs: DataFrame, labels: DataFrame, sample_rows: int) -> Dat
 
 def flagged_words(sample: DataFrame, max_words: int = 200, least_docs: int = 8, purity: float = 0.85) -> list[str]:
     """Words, or first five letters of words, that hardly occur but in toxic documents."""
-    terms = sample.select("doc_id", "toxic", F.explode(F.array_distinct(F.flatten(F.transform(F.split(ascii_lower(F.coalesce("text", F.lit(""))), r"[\x20\x09-\x0D]+"), lambda w: F.array(F.trim(w, F.lit(_EDGES)), F.substring(F.trim(w, F.lit(_EDGES)), 1, 5)))))).alias("w"))
+    words = computed(sample.select("doc_id", "toxic", "text"), F.array_distinct(F.transform(F.split(F.coalesce("text", F.lit("")), r"[\x20\x09-\x0D]+"), _plain)).alias("w"))
+    both = F.array_distinct(F.flatten(F.transform("w", lambda w: F.array(w, F.substring(w, 1, 5)))))
+    terms = words.select("toxic", F.explode(both).alias("w"))
     counts = terms.where(F.length("w") >= 4).groupBy("w").agg(F.count("*").alias("n"), F.sum("toxic").alias("t"))
     found = counts.where((F.col("t") >= least_docs) & (F.col("t") / (F.col("n") + 1) >= purity)).orderBy(F.desc("t"), "w").limit(max_words)
     return sorted(r["w"] for r in found.collect())
