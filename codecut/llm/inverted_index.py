@@ -95,7 +95,7 @@ def proximity_matches(docs: DataFrame, terms: list[str], slop: int, id_col: str
 
 
 def decontaminate(docs: DataFrame, items: DataFrame, width: int = 10, id_col: str = "doc_id", text_col: str = "text", broadcast_rows: int = 1_000_000) -> DataFrame:
-    """One row a document: ``doc_id, n_words, n_hit, n_items, items, contaminated``; items is the sorted list of ids."""
+    """One row a document: ``doc_id, text_hash, n_words, n_hit, n_items, items, contaminated``; items is the sorted list of ids."""
     windows = phrase_windows(items, width)
     phrases = checkpoint(windows.groupBy("words").agg(F.sort_array(F.collect_set("item_id")).alias("ids")).select(F.xxhash64("words").alias("pid"), "words", "ids"))
     source = docs.select(docs[id_col].cast("long").alias("doc_id"), docs[text_col].cast("string").alias("text"))
@@ -111,4 +111,11 @@ def decontaminate(docs: DataFrame, items: DataFrame, width: int = 10, id_col: st
     if not tally.isEmpty():
         out = out.join(tally, "row", "left").withColumn("copies", F.explode(F.sequence(F.lit(1), F.coalesce("copies", F.lit(1)).cast("int"))))
     items_col = F.coalesce("items", F.array().cast("array<string>"))
-    return out.select(F.col("row.doc_id").alias("doc_id"), "n_words", "n_hit", F.size(items_col).cast("long").alias("n_items"), items_col.alias("items"), (F.col("n_hit") > 0).alias("contaminated"))
+    return out.select(F.col("row.doc_id").alias("doc_id"), F.col("row.h").alias("text_hash"), "n_words", "n_hit", F.size(items_col).cast("long").alias("n_items"), items_col.alias("items"), (F.col("n_hit") > 0).alias("contaminated"))
+
+
+def clean_documents(docs: DataFrame, items: DataFrame, width: int = 10) -> DataFrame:
+    """The rows of docs without any occurrence of a window of the items."""
+    hit = decontaminate(docs, items, width).where("contaminated").select(F.col("doc_id").alias("_k"), F.col("text_hash").alias("_h"))
+    keyed = docs.withColumn("_id", F.col("doc_id").cast("long")).withColumn("_x", F.xxhash64(F.col("text").cast("string")))
+    return keyed.join(hit, F.col("_id").eqNullSafe(F.col("_k")) & (F.col("_x") == F.col("_h")), "left_anti").select(*[F.col(f"`{c}`") for c in docs.columns])

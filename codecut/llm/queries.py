@@ -42,5 +42,57 @@ def op10_sharding(spark: SparkSession, sf_dir: str) -> DataFrame:
     return placed.select("doc_id", "size", "text_crc32", F.lit("key").alias("law"), "shard", "slot", "grown_shard")
 
 
-QUERIES = {q.__name__: q for q in (op5_quality_rules, quality_base_statistics, op7_simhash, op8_decontamination, op10_sharding)}
+def op1_suffix_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from .suffix_family import remove_repeats
+
+    return remove_repeats(read_table(spark, sf_dir, "documents")).withColumnRenamed("kept", "kept_sha256")
+
+
+def _tokenizer(name: str) -> str:
+    import public_tokenizers
+
+    return public_tokenizers.path(name)
+
+
+def op2_token_files(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from .token_store import read_tokens, write_tokens
+
+    return read_tokens(write_tokens(read_table(spark, sf_dir, "documents"), _tokenizer("byte_bpe_50k.json"), end_id=2))
+
+
+def op3_chat_format(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from .chat_format import written_digests
+
+    turns = read_table(spark, sf_dir, "conversations", "conv_id", "turn", "role", "text")
+    said = "\\### Assistant: </turn> ok"
+    more = spark.createDataFrame([(-7, 0, "user", said), (-7, 1, "assistant", said)], "conv_id long, turn long, role string, text string")
+    return written_digests(turns.select(F.col("conv_id").cast("long"), F.col("turn").cast("long"), "role", "text").union(more))
+
+
+def op4_quality_classifier(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from .empirical_bayes import classify
+
+    return classify(read_table(spark, sf_dir, "documents"), read_table(spark, sf_dir, "labels"))
+
+
+def op6_trie_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from .trie_bpe import encoded_digests
+
+    return encoded_digests(read_table(spark, sf_dir, "documents"), _tokenizer("word_bpe_49k.json"))
+
+
+def op9_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from ..session import checkpoint
+    from .length_histogram import length_histogram, token_counts, with_suffix_sums
+
+    return with_suffix_sums(checkpoint(length_histogram(token_counts(read_table(spark, sf_dir, "documents"), _tokenizer("byte_bpe_50k.json")))))
+
+
+QUERIES = {
+    q.__name__: q
+    for q in (
+        op1_suffix_dedup, op2_token_files, op3_chat_format, op4_quality_classifier, op5_quality_rules, op6_trie_bpe,
+        op7_simhash, op8_decontamination, op9_token_counts, op10_sharding, quality_base_statistics,
+    )
+}
 ORACLE_SQL: dict[str, str] = {}

@@ -75,12 +75,13 @@ def _fingerprint_batches(batches):
             per_doc = [run_hashes(t.encode()) for t in part.column(1).to_pylist()]
             sizes = np.array([len(h) for h in per_doc], np.int64)
             fps = fold_bits(np.array([x for h in per_doc for x in h], np.uint64), sizes)
-            yield pa.RecordBatch.from_arrays([part.column(0), pa.array(fps.view(np.int64))], names=["doc_id", "fp"])
+            yield pa.RecordBatch.from_arrays([part.column(0), part.column(2), pa.array(fps.view(np.int64))], names=["doc_id", "text_hash", "fp"])
 
 
 def fingerprints(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """One row a document: ``doc_id``, ``fp`` (the 64 bits as a long)."""
-    return id_and_text(docs, id_col, text_col).mapInArrow(_fingerprint_batches, "doc_id long, fp long")
+    """One row a document: ``doc_id``, ``text_hash`` (to tell rows of one id apart), ``fp`` (the 64 bits as a long)."""
+    rows = id_and_text(docs, id_col, text_col)
+    return rows.select("doc_id", "text", F.xxhash64("text").alias("text_hash")).mapInArrow(_fingerprint_batches, "doc_id long, text_hash long, fp long")
 
 
 def block_masks(within: int, blocks: int, keep: int) -> list[int]:
@@ -196,16 +197,29 @@ def _finer(masks: list[int], blocks: int, radius: int, depth: int):
 
 
 def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", radius: int = 3) -> DataFrame:
-    """One row a document: ``doc_id``, ``fp`` (long), ``component_id``, the smallest id reachable by links."""
+    """One row a document: ``doc_id, text_hash, fp, part`` (a fingerprint that names the component), ``component_id``, the smallest id reachable by links."""
     each = checkpoint(fingerprints(docs, id_col, text_col))
     reps = checkpoint(each.groupBy("fp").agg(F.min("doc_id").alias("rep")))
     # ids may repeat with other texts, so the nodes are the fingerprints themselves
     parts = connected_components(hamming_links(reps.select(F.col("fp").alias("rep"), "fp"), radius))
     parts = parts.join(reps.withColumnRenamed("fp", "node"), "node")
     least = parts.groupBy("component").agg(F.min("rep").alias("component_id"))
-    linked = parts.join(least, "component").select(F.col("node").alias("fp"), "component_id")
-    alone = reps.join(linked, "fp", "left_anti").select("fp", F.col("rep").alias("component_id"))
-    return each.join(linked.union(alone), "fp").select("doc_id", "fp", "component_id")
+    linked = parts.join(least, "component").select(F.col("node").alias("fp"), F.col("component").alias("part"), "component_id")
+    alone = reps.join(linked, "fp", "left_anti").select("fp", F.col("fp").alias("part"), F.col("rep").alias("component_id"))
+    return each.join(linked.union(alone), "fp").select("doc_id", "text_hash", "fp", "part", "component_id")
+
+
+def one_of_each(docs: DataFrame, radius: int = 3) -> DataFrame:
+    """The rows of docs that come first (by id, null last, then by text hash) in their component; of equal rows one."""
+    found = near_duplicates(docs, radius=radius)
+    last = F.lit((1 << 63) - 1)
+    first = found.groupBy("part").agg(F.min(F.struct(F.coalesce("doc_id", last).alias("_k"), F.col("text_hash").alias("_h"))).alias("w")).select("w._k", "w._h")
+    keyed = docs.withColumn("_k", F.coalesce(F.col("doc_id").cast("long"), last)).withColumn("_h", F.xxhash64(F.coalesce(F.col("text").cast("string"), F.lit(""))))
+    kept = keyed.join(first, ["_k", "_h"], "left_semi")
+    again = checkpoint(found.groupBy(F.coalesce("doc_id", last).alias("_k"), F.col("text_hash").alias("_h")).agg(F.count("*").alias("n")).where("n > 1").select("_k", "_h"))
+    if not again.isEmpty():
+        kept = kept.dropDuplicates(["_k", "_h"])
+    return kept.select(*[F.col(f"`{c}`") for c in docs.columns])
 
 
 def fingerprint_hex(fp) -> F.Column:
