@@ -2,14 +2,15 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 
-def assign_sites(df: DataFrame, key: str | None = None, n_sites: int = 10, seed: int = 0, by: str | None = None, weights: list[float] | None = None, min_rows: int = 0) -> DataFrame:
+def assign_sites(df: DataFrame, key: str | None = None, n_sites: int = 10, seed: int = 0, by: str | None = None, weights: list[float] | None = None, min_rows: int = 0, uniform: Column | None = None) -> DataFrame:
     """df with ``site_id``: by the hash of key (even or by weights), or from a natural column.
 
-    min_rows is a floor on the size of each site; it costs one count by site.
+    min_rows is a floor on the size of each site; it costs one count by site. uniform
+    takes the place of the hash for weights: a number in [0, 1).
     """
     if by is not None:
         from pyspark.sql import Window
@@ -19,7 +20,7 @@ def assign_sites(df: DataFrame, key: str | None = None, n_sites: int = 10, seed:
         out = df.join(names, df[by].eqNullSafe(names[by]), "left").drop(names[by])
     elif weights:
         total, at = sum(weights), 0.0
-        u = F.pmod(F.xxhash64(F.col(key), F.lit(seed)), F.lit(1 << 30)) / float(1 << 30)
+        u = F.pmod(F.xxhash64(F.col(key), F.lit(seed)), F.lit(1 << 30)) / float(1 << 30) if uniform is None else uniform
         site = F.lit(len(weights) - 1)
         ends = []
         for w in weights[:-1]:
