@@ -28,11 +28,10 @@ def read_as(spark: SparkSession, path: str, fmt: str, schema) -> DataFrame:
 def read_json_tolerant(spark: SparkSession, path: str, schema: T.StructType) -> tuple[DataFrame, DataFrame]:
     """(good rows, raw lines that do not fit)."""
     wide = T.StructType([*schema.fields, T.StructField("_corrupt_record", T.StringType())])
-    df = spark.read.schema(wide).option("mode", "PERMISSIVE").json(path)
-    # the raw line may only be asked for together with other columns
-    good = df.where(F.col("_corrupt_record").isNull()).select(*[f.name for f in schema.fields])
-    bad = df.where(F.col("_corrupt_record").isNotNull()).select(*df.columns).select("_corrupt_record")
-    return good, bad
+    # parsed from lines: the JSON reader refuses queries on the raw record alone
+    x = spark.read.text(path).select(F.from_json("value", wide, {"mode": "PERMISSIVE", "columnNameOfCorruptRecord": "_corrupt_record"}).alias("x"), "value")
+    good = x.where(F.col("x._corrupt_record").isNull()).select(*[F.col(f"x.{f.name}").alias(f.name) for f in schema.fields])
+    return good, x.where(F.col("x._corrupt_record").isNotNull()).select("value")
 
 
 def write_codes(site_codes: DataFrame, path: str) -> None:
