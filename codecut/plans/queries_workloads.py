@@ -1 +1,216 @@
-"""To be filled."""
+"""The experiment workloads, scaled to the tables; ``scale`` functions take full sizes for a cluster."""
+
+from __future__ import annotations
+
+from dataclasses import replace
+
+from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
+
+from ..operators import baselines as B
+from ..operators import cost as C
+from ..operators import metrics as M
+from ..operators.encode import encode, site_degrees
+from ..operators.features import char_ngram_vectors, fit_normalizer, html_features, planted_vectors
+from ..operators.network import conv_encoder, dense_encoder
+from ..operators.sampling import candidate_pool
+from ..operators.sites import assign_sites
+from ..operators.train import TrainConfig, grid_search, train_encoder
+from ..session import checkpoint, read_table
+from ..sources.gaussians import subspace_dataset, waveform_dataset
+from .pipeline import CodeGraphClustering, Settings
+from .queries_method import document_vectors, vectors
+from .registry import query
+
+
+def _measures(labels: DataFrame, df: DataFrame) -> tuple[float, float]:
+    both = checkpoint(labels.select("row_id", "cluster").join(df.select("row_id", "truth"), "row_id"))
+    return float(M.purity(both).first()[0]), float(M.nmi(both).first()[0])
+
+
+def compare(df: DataFrame, k: int, settings: Settings, methods: tuple[str, ...], name: str) -> list[tuple]:
+    """(data, method, purity, nmi, megabytes) of each method on df(row_id, site_id, vec, truth)."""
+    df, out = checkpoint(df), []
+    for m in methods:
+        if m == "code_graph":
+            model = CodeGraphClustering(settings).fit(df)
+            labels, bits = model.transform(df), model.costs["total_bits"]
+        else:
+            kw = {} if m in ("density_representatives",) else {"k": k}
+            got = getattr(B, m)(df, **kw)
+            labels, bits = got.labels, got.bits
+        out.append((name, m, *_measures(labels, df), bits / 8e6))
+    return out
+
+
+_SHAPE = "data string, method string, purity double, nmi double, megabytes double"
+CENTRAL = ("code_graph", "central_spectral", "central_kmeans")
+DISTRIBUTED = ("code_graph", "kmeans_parallel", "partition_merge", "density_representatives", "hashed_density_peaks", "subspace_models", "gaussian_models")
+
+
+def _rounds(n: int, **kw) -> TrainConfig:
+    return TrainConfig(n_rounds=n, **kw)
+
+
+def central_comparison(spark: SparkSession, sf_dir: str, rounds: int = 10, max_rows: int = 2000) -> list[tuple]:
+    """Against the central methods on small sets: languages of documents, categories of parts, waveforms."""
+    parts = assign_sites(planted_vectors(read_table(spark, sf_dir, "part", "p_partkey", "p_type"), "p_type", "p_partkey"), "row_id", 10)
+    waves = assign_sites(waveform_dataset(spark, 1000), "row_id", 10)
+    out = []
+    for name, df, k, bits in (("documents", document_vectors(spark, sf_dir), 4, 64), ("parts", parts, 6, 64), ("waveforms", waves, 3, 16)):
+        small = df.count() <= max_rows  # the central spectral method is quadratic
+        out += compare(df, k, Settings(k, bits, train=_rounds(rounds)), CENTRAL if small else ("code_graph", "central_kmeans"), name)
+    return out
+
+
+@query()
+def w1_central_comparison(spark, d):
+    return spark.createDataFrame(central_comparison(spark, d), _SHAPE)
+
+
+def convergence(spark: SparkSession, j: int = 1, site_counts=(20, 40, 80), rounds: int = 12, per_latent: int = 2, per_cluster: int = 100) -> DataFrame:
+    """Relative error of the loss by round and number of sites, on the j-th synthetic set."""
+    rows = []
+    for n in site_counts:
+        df = assign_sites(subspace_dataset(spark, j, per_latent, per_cluster), "row_id", n)
+        norm = fit_normalizer(df)
+        pool = checkpoint(candidate_pool(df, 256))
+        got = train_encoder(pool, dense_encoder(2 ** (j + 5), 32), _rounds(rounds), norm)
+        rows += [(f"{n} sites", h["round"], h["loss"]) for h in got.history]
+    return M.relative_error_ratio(spark.createDataFrame(rows, "run string, round int, loss double"))
+
+
+@query()
+def w2_convergence(spark, d):
+    return convergence(spark)
+
+
+def synthetic_comparison(spark: SparkSession, sets=(1,), per_latent: int = 2, per_cluster: int = 60, n_sites: int = 20, rounds: int = 20, encoder: str = "conv") -> list[tuple]:
+    """Five distributed baselines on synthetic sets; the full sizes are per_latent 20 and per_cluster 2500."""
+    out = []
+    for j in sets:
+        df = assign_sites(subspace_dataset(spark, j, per_latent, per_cluster), "row_id", n_sites)
+        k = per_latent * (j + 5)
+        out += compare(df, k, Settings(k, 64, encoder=encoder, train=_rounds(rounds)), DISTRIBUTED, f"S{j}")
+    return out
+
+
+@query()
+def w3_synthetic_comparison(spark, d):
+    return spark.createDataFrame(synthetic_comparison(spark), _SHAPE)
+
+
+def table_comparison(spark: SparkSession, sf_dir: str, rounds: int = 8) -> list[tuple]:
+    pages = char_ngram_vectors(read_table(spark, sf_dir, "pages", "page_id", "html"), "page_id", "html", 1, 256)
+    lang = html_features(read_table(spark, sf_dir, "pages", "page_id", "url", "html")).select("row_id", F.col("lang").alias("truth"))
+    p = assign_sites(pages.join(lang, "row_id"), "row_id", 10)
+    methods = ("code_graph", "kmeans_parallel", "partition_merge", "density_representatives", "subspace_models")
+    out = compare(p, 4, Settings(4, 16, hidden=(64,), train=_rounds(rounds)), methods, "pages")
+    return out + compare(vectors(spark, sf_dir), 10, Settings(10, 16, train=_rounds(rounds)), methods, "embeddings")
+
+
+@query()
+def w4_table_comparison(spark, d):
+    return spark.createDataFrame(table_comparison(spark, d), _SHAPE)
+
+
+@query()
+def w5_cost_by_dimension(spark, d):
+    """Modelled megabytes of each method by dimension (450,000 rows, 180 clusters, 20 sites, 20 rounds, 64 bits)."""
+    rows = []
+    for x in (64, 128, 256, 512, 1024):
+        n_codes = [2000] * 20
+        for kind, f in (("dense", dense_encoder), ("conv", conv_encoder)):
+            rows.append((x, f"code_graph_{kind}", C.total_bits(20, f(x, 64).n_params, 20, n_codes, 64) / 8e6))
+        for m in ("central", "kmeans_parallel", "partition_merge", "hashed_density_peaks", "subspace_models", "gaussian_models", "density_representatives"):
+            rows.append((x, m, C.baseline_bits(m, n_rows=450_000, dim=x, n_sites=20, k=180, models=3000, latent=24, reps=200) / 8e6))
+    return spark.createDataFrame(rows, "dim int, method string, megabytes double")
+
+
+@query()
+def w6_parameter_search(spark, d):
+    """Loss by lambda, t and rounds (the full grid is 6 x 6 x 4; here its corners and middle), one training per lambda and t."""
+    df = vectors(spark, d)
+    norm = fit_normalizer(df)
+    pool = checkpoint(candidate_pool(df, 128))
+    spec = dense_encoder(64, 16)
+    cells = grid_search(pool, spec, TrainConfig(), (0.5, 5.0), (1.0, 5.0), (5, 10), lambda p: 0.0, norm)
+    return spark.createDataFrame([(c["lam"], c["t"], c["n_rounds"], c["loss"]) for c in cells], "lam double, t double, n_rounds int, loss double")
+
+
+@query()
+def w7_code_length(spark, d):
+    """Codes, purity of codes, purity of clusters and cost as the code grows."""
+    df = checkpoint(assign_sites(planted_vectors(read_table(spark, d, "orders", "o_orderkey", "o_orderpriority"), "o_orderpriority", "o_orderkey"), "row_id", 10))
+    rows = []
+    for bits in (4, 8, 16, 64):
+        model = CodeGraphClustering(Settings(5, bits, train=_rounds(8))).fit(df)
+        out = checkpoint(model.transform(df))
+        rows.append((bits, len(model.codes), float(M.purity(out, "code").first()[0]), float(M.purity(out).first()[0]), model.costs["total_bits"] / 8e6))
+    return spark.createDataFrame(rows, "bits int, n_codes int, code_purity double, purity double, megabytes double")
+
+
+@query()
+def w8_selector_ablation(spark, d):
+    """Relative error by round with batches that differ and with uniform ones."""
+    df = assign_sites(subspace_dataset(spark, 1, 2, 60), "row_id", 10)
+    norm = fit_normalizer(df)
+    pool = checkpoint(candidate_pool(df, 256))
+    rows = []
+    for s in ("diverse", "uniform"):
+        got = train_encoder(pool, dense_encoder(64, 32), _rounds(12, selector=s), norm)
+        rows += [(s, h["round"], h["loss"]) for h in got.history]
+    return M.relative_error_ratio(spark.createDataFrame(rows, "run string, round int, loss double"))
+
+
+@query()
+def w9_encoder_cost(spark, d):
+    """Dense against convolutional encoders: parameters, cost and purity on one synthetic set."""
+    df = checkpoint(assign_sites(subspace_dataset(spark, 2, 1, 60), "row_id", 10))
+    rows = []
+    for kind in ("dense", "conv", "linear"):
+        model = CodeGraphClustering(Settings(7, 64, encoder=kind, train=_rounds(8))).fit(df)
+        rows.append((kind, model.spec.n_params, model.costs["total_bits"] / 8e6, float(M.purity(model.transform(df)).first()[0])))
+    return spark.createDataFrame(rows, "encoder string, n_params long, megabytes double, purity double")
+
+
+@query()
+def w10_pretrained_start(spark, d):
+    """An encoder of one table reused: no rounds, and a few."""
+    df = checkpoint(document_vectors(spark, d))
+    first = CodeGraphClustering(Settings(4, 64, train=_rounds(10))).fit(df.where(F.pmod("row_id", F.lit(2)) == 0))
+    rows = []
+    for n in (0, 5):
+        m = CodeGraphClustering(Settings(4, 64, train=_rounds(n)), init=first).fit(df)
+        p, q = _measures(m.transform(df), df)
+        rows.append((n, p, q, m.costs["total_bits"] / 8e6))
+    return spark.createDataFrame(rows, "n_rounds int, purity double, nmi double, megabytes double")
+
+
+@query()
+def w12_unequal_sites(spark, d):
+    """Loss by round with sites of very different sizes, averaged equally and by batch."""
+    df = assign_sites(vectors(spark, d).drop("site_id"), "row_id", weights=[50, 25, 10, 5, 5, 3, 1, 1])
+    norm = fit_normalizer(df)
+    pool = checkpoint(candidate_pool(df, 256))
+    rows = []
+    for w in ("equal", "batch"):
+        got = train_encoder(pool, dense_encoder(64, 16), replace(_rounds(8), weighting=w), norm)
+        rows += [(w, h["round"], h["loss"]) for h in got.history]
+    return spark.createDataFrame(rows, "run string, round int, loss double")
+
+
+@query()
+def code_rates(spark, d):
+    """Distinct codes a site against rows, of untrained and trained encoders: what training does to the number of codes."""
+    from ..operators.network import init_params
+
+    df = vectors(spark, d)
+    norm = fit_normalizer(df)
+    spec = dense_encoder(64, 16)
+    pool = checkpoint(candidate_pool(df, 128))
+    out = None
+    for name, p in (("untrained", init_params(spec, 0)), ("trained", train_encoder(pool, spec, _rounds(8), norm).params)):
+        one = site_degrees(encode(df.select("site_id", "vec"), spec, p, norm)).agg(F.count("*").alias("n_codes"), F.sum("degree").alias("n_rows")).withColumn("encoder", F.lit(name))
+        out = one if out is None else out.union(one)
+    return out
