@@ -214,3 +214,11 @@ def code_rates(spark, d):
         one = site_degrees(encode(df.select("site_id", "vec"), spec, p, norm)).agg(F.count("*").alias("n_codes"), F.sum("degree").alias("n_rows")).withColumn("encoder", F.lit(name))
         out = one if out is None else out.union(one)
     return out
+
+
+@query()
+def w11_online(spark, d):
+    """One round a micro-batch, with cuts along the way."""
+    from .queries_streams import stream_online_round
+
+    return stream_online_round(spark, d)
