@@ -2,6 +2,10 @@
 
 from __future__ import annotations
 
+import ctypes
+import gc
+from contextlib import contextmanager
+
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
@@ -25,3 +29,34 @@ def computed(df: DataFrame, *columns: Column) -> DataFrame:
     evaluates the whole expression for every element; a generator is not merged.
     """
     return df.select("*", F.inline(F.array(F.struct(*columns))))
+
+
+@contextmanager
+def no_collector():
+    """Without the cycle collector, for code that makes many containers and no cycles."""
+    on = gc.isenabled()
+    gc.disable()
+    try:
+        yield
+    finally:
+        if on:
+            gc.enable()
+
+
+def released(run):
+    """A batch function that gives freed memory back to the system when its task ends: workers wait for other tasks with what they hold."""
+
+    def wrapped(batches):
+        import pyarrow as pa
+
+        try:
+            yield from run(batches)
+        finally:
+            gc.collect()
+            pa.default_memory_pool().release_unused()
+            try:
+                ctypes.CDLL(None).malloc_trim(0)
+            except (AttributeError, OSError):  # another C library
+                pass
+
+    return wrapped

@@ -3,27 +3,27 @@
 Every byte covered by a ``width``-byte string that also starts earlier (in a document with a smaller
 id, or earlier in the same one) is removed; strings are judged on the input and do not cross documents.
 
-Sampling. Each window of ``width`` bytes elects an anchor: the 32 bytes in it whose
+Sampling. Each window of ``width`` bytes elects an anchor: the ``gram`` bytes in it whose
 fingerprint is smallest, the leftmost if tied. Equal windows elect equal anchors at equal places,
-so comparing anchored suffixes finds every repeat, and only about one position in 35 is an anchor.
+so comparing anchored suffixes finds every repeat; with grams of 32 bytes, one position in 35 is an anchor.
 Consecutive windows with one anchor form a run.
 
 Index family. A batch of text gets a sparse suffix array: its runs, ordered by the fingerprint of the
-anchored 32 bytes and then of the whole stretch that the run covers (suffix order is taken over
+anchor and then of the whole stretch that the run covers (suffix order is taken over
 fingerprints, not over bytes: only equality of long prefixes counts here). A new batch is
 merge-scanned against all levels; of equal runs the earliest stays and the others are found repeated.
 Then it becomes a level, and levels of like size merge, so there are logarithmically many.
 
-Distribution. 1. Each task feeds its batches into a family of its own. What is equal there
+Distribution. Each task feeds its batches into a family of its own. What is equal there
 collapses, so a passage or group of copies that a third of all documents hold costs one run a task.
-2. The runs left go to buckets of anchors; a bucket again is a family, fed by the tasks' arrays.
+The runs left go to buckets of anchors; a bucket again is a family, fed by the tasks' arrays.
 Anchors with one kind of run are settled there. Where an anchor has runs that differ (the edges of passages),
-3. the text's windows in those runs are fingerprinted and 4. settled in buckets of window fingerprints, again collapsed
-per task first. An anchor that already has several kinds of run in one task is sent to step 3 by that task at once,
-with a note for its bucket, so a very frequent phrase never gathers in a bucket.
-Text is shuffled once, by document; both of its uses read the same exchange.
+the windows in those runs are asked for again with longer grams, and at last with grams of the whole
+width, where a run is one window and nothing is left open. An anchor that already has several kinds of run in one
+task is passed on by that task at once, with a note for its bucket, so a very frequent phrase never gathers in a bucket.
+Text is shuffled once, by document; all its uses read the same exchange.
 
-Fingerprints have 64 bits for anchors, 64 more for runs, and 64 for windows.
+Fingerprints have 64 bits for anchors and 64 more for runs.
 
 Edge cases: null text is empty; texts shorter than a window lose nothing; null ids (and the smallest long, which stands for them) come before all others; rows with
 one id and different texts are documents of their own, in the order of their texts' hashes; rows that repeat (id and
@@ -42,9 +42,10 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..session import checkpoint
+from .common import released
 
-GRAM = 32
-GROUP = 1 << 21  # bytes that are fingerprinted at once
+GRAMS = (32, 72)  # then the width itself
+GROUP = 1 << 20  # bytes that are fingerprinted at once
 _PLACE = np.uint64((1 << 23) - 1)
 _BASE = 0x9E3779B97F4A7C15 | 1
 _FIRST = -(1 << 63)
@@ -91,35 +92,37 @@ class _Rolling:
         return _mix((sums[at + size] - sums[at]) * self.down[at])
 
 
-def runs_of(data: np.ndarray, starts: np.ndarray, ends: np.ndarray, width: int):
-    """(piece, position in the piece, covered length, anchor fingerprint, run fingerprint) of the runs in pieces of data."""
-    n = len(data)
-    none = np.zeros(0, np.int64)
-    if n < width:
-        return none, none, none, none.astype(np.uint64), none.astype(np.uint64)
+def _valid(n: int, starts: np.ndarray, ends: np.ndarray, width: int) -> np.ndarray:
+    """Which of n places begin a window within its piece."""
+    mark = np.zeros(n + 1, np.int32)
+    long = ends - starts >= width
+    np.add.at(mark, starts[long], 1)
+    np.add.at(mark, ends[long] - width + 1, -1)
+    return np.cumsum(mark[:n]) > 0
+
+
+def runs_of(data: np.ndarray, starts: np.ndarray, windows: np.ndarray, width: int, gram: int):
+    """(piece, position in the piece, covered length, anchor fingerprint, run fingerprint) of the runs among the windows at the given places."""
     roll = _Rolling.get()
     sums = roll.sums(data)
-    grams = _mix((sums[GRAM:] - sums[:-GRAM]) * roll.down[: n - GRAM + 1])
-    low = (grams & ~_PLACE) | np.arange(len(grams), dtype=np.uint64)
-    span, want = 1, width - GRAM + 1
-    while span < want:
-        step = min(span, want - span)
-        low = np.minimum(low[:-step], low[step:])
-        span += step
-    inside = np.zeros(n + 1, np.int8)
-    long = ends - starts >= width
-    inside[starts[long]] += 1
-    inside[ends[long] - width + 1] -= 1
-    at = np.flatnonzero(np.cumsum(inside[: len(low)]))
-    if not len(at):
-        return none, none, none, none.astype(np.uint64), none.astype(np.uint64)
-    anchor = (low[at] & _PLACE).astype(np.int64)
-    new = np.flatnonzero(np.concatenate([[True], (np.diff(at) != 1) | (np.diff(anchor) != 0)]))
-    lo, count, anchor = at[new], np.diff(np.concatenate([new, [len(at)]])), anchor[new]
+    grams = _mix((sums[gram:] - sums[:-gram]) * roll.down[: len(data) - gram + 1])
+    if gram == width:
+        anchor = windows
+        new = np.arange(len(windows))
+    else:
+        low = (grams & ~_PLACE) | np.arange(len(grams), dtype=np.uint64)
+        span, want = 1, width - gram + 1
+        while span < want:
+            step = min(span, want - span)
+            low = np.minimum(low[:-step], low[step:])
+            span += step
+        anchor = (low[windows] & _PLACE).astype(np.int64)
+        new = np.flatnonzero(np.concatenate([[True], (np.diff(windows) != 1) | (np.diff(anchor) != 0)]))
+    lo, count, anchor = windows[new], np.diff(np.concatenate([new, [len(windows)]])), anchor[new]
     size = count + width - 1
-    run = roll.of(sums, lo, size) ^ ((anchor - lo) * 1_000_003 + count).astype(np.uint64)
+    run = _mix(roll.of(sums, lo, size) ^ ((anchor - lo) * 1_000_003 + count).astype(np.uint64)) if gram < width else np.zeros(len(lo), np.uint64)
     piece = np.searchsorted(starts, lo, "right") - 1
-    return piece, lo - starts[piece], size, grams[anchor], _mix(run)
+    return piece, lo - starts[piece], size, grams[anchor], run
 
 
 class SuffixFamily:
@@ -155,14 +158,17 @@ class SuffixFamily:
     def add(self, batch: np.ndarray) -> None:
         batch = self._settle(self.sort(batch))
         for i, level in enumerate(self.levels):  # the merge scan
-            place = np.searchsorted(level["h"], batch["h"])
-            hit = np.flatnonzero(level["h"][np.minimum(place, len(level) - 1)] == batch["h"]) if len(level) else []
+            if not len(level) or not len(batch):
+                continue
+            place = np.minimum(np.searchsorted(level["h"], batch["h"]), len(level) - 1)
+            hit = np.flatnonzero(level["h"][place] == batch["h"])
             if not len(hit):
                 continue
             shared = np.unique(batch["h"][hit])
-            theirs = np.isin(level["h"], shared, assume_unique=False)
+            lo, hi = np.searchsorted(level["h"], shared), np.searchsorted(level["h"], shared, "right")
+            theirs = np.repeat(lo - np.cumsum(hi - lo) + (hi - lo), hi - lo) + np.arange(int((hi - lo).sum()))
             both = self._settle(self.sort(np.concatenate([level[theirs], batch[hit]])))
-            self.levels[i] = level[~theirs]
+            self.levels[i] = np.delete(level, theirs)
             batch = self.sort(np.concatenate([np.delete(batch, hit), both]))
         self.levels.append(batch)
         self.levels.sort(key=len, reverse=True)
@@ -200,6 +206,7 @@ def _unpack(data: bytes) -> np.ndarray:
     return out
 
 
+_BATCH = 300_000  # runs in a batch of a family
 _KINDS = {"runs": 0, "many": 1, "edges": 2, "gone": 3}
 
 
@@ -262,18 +269,46 @@ def _group(held):
     return np.concatenate([p for _, _, p in held]), np.concatenate([[0], ends[:-1]]), ends, np.array([i for i, _, _ in held]), np.array([lo for _, lo, _ in held])
 
 
-def _scan(width: int, buckets: int):
+def _asked(spans, which, offset, starts, ends, width: int, n: int) -> np.ndarray:
+    """Which of n places begin a window that was asked for; spans: the packed stretches of each text."""
+    mark = np.zeros(n + 1, np.int32)
+    for j, (i, lo) in enumerate(zip(which, offset)):
+        pos, size = spans[i] >> 32, spans[i] & 0xFFFFFFFF
+        first = np.maximum(pos, lo)
+        last = np.minimum(pos + size, lo + ends[j] - starts[j]) - width + 1
+        some = last > first
+        if some.any():
+            np.add.at(mark, first[some] - lo + starts[j], 1)
+            np.add.at(mark, last[some] - lo + starts[j], -1)
+    return np.cumsum(mark[:n]) > 0
+
+
+def _scan(width: int, gram: int, buckets: int):
+    """Runs of a task's texts (with a fourth column: only of the windows asked for), settled in a family, dealt to buckets."""
+
     def run(batches):
-        family = SuffixFamily()
+        family, held, size = SuffixFamily(), [], 0
         for batch in batches:
             k = batch.column(0).to_numpy(zero_copy_only=False)
             t = batch.column(1).to_numpy(zero_copy_only=False)
+            spans = [x.values.to_numpy(zero_copy_only=False) for x in batch.column(3)] if batch.num_columns > 3 else None
             for data, starts, ends, which, offset in _pieces(batch.column(2), width):
-                piece, pos, size, anchor, kind = runs_of(data, starts, ends, width)
+                if len(data) < width:
+                    continue
+                n = len(data) - width + 1
+                windows = np.flatnonzero(_valid(n, starts, ends, width) if spans is None else _asked(spans, which, offset, starts, ends, width, n))
+                if not len(windows):
+                    continue
+                piece, pos, covers, anchor, kind = runs_of(data, starts, windows, width, gram)
                 runs = np.zeros(len(piece), _RUN)
-                runs["h"], runs["c"], runs["k"], runs["t"], runs["pos"], runs["len"] = anchor, kind, k[which[piece]], t[which[piece]], pos + offset[piece], size
-                if len(runs):
-                    family.add(runs)
+                runs["h"], runs["c"], runs["k"], runs["t"], runs["pos"], runs["len"] = anchor, kind, k[which[piece]], t[which[piece]], pos + offset[piece], covers
+                held.append(runs)
+                size += len(runs)
+                if size > _BATCH:
+                    family.add(np.concatenate(held))
+                    held, size = [], 0
+        if held:
+            family.add(np.concatenate(held))
         left = family.merged()
         gone = _joined(family.take_repeated())
         if len(gone):
@@ -281,6 +316,8 @@ def _scan(width: int, buckets: int):
         if len(left):
             same = left["h"][1:] == left["h"][:-1]
             several = np.concatenate([same, [False]]) | np.concatenate([[False], same])
+            if gram == width:
+                several[:] = False
             alone, edges = left[~several], left[several]
             if len(alone):
                 yield from _rows(_by_fingerprint(alone, buckets), "runs", alone)
@@ -299,84 +336,38 @@ def _spans(runs: np.ndarray, edge: bool):
         yield pa.RecordBatch.from_arrays([pa.array(np.ascontiguousarray(part["k"])), pa.array(np.ascontiguousarray(part["t"])), pa.array(np.full(len(part), edge)), pa.array(both)], names=["k", "t", "edge", "span"])
 
 
-def _meet(batches):
-    """A bucket's family: what is repeated, and which runs need a look at their windows."""
-    family, notes = SuffixFamily(), []
-    for batch in batches:
-        for kind, data in zip(batch.column(1).to_pylist(), batch.column(2)):
-            runs = _unpack(data.as_buffer())
-            if kind == _KINDS["runs"]:
-                family.add(runs)
-            elif kind == _KINDS["many"]:
-                notes.append(runs["h"])
-            else:
-                yield from _spans(runs, kind == _KINDS["edges"])
-    left = family.merged()
-    yield from _spans(_joined(family.take_repeated()), False)
-    if len(left):
-        same = left["h"][1:] == left["h"][:-1]
-        several = np.concatenate([same, [False]]) | np.concatenate([[False], same])
-        if notes:
-            several |= np.isin(left["h"], np.concatenate(notes))
-        yield from _spans(left[several], True)
-
-
-def _windows(width: int, buckets: int):
-    """Fingerprints of the windows in the runs that a document was asked for, settled within the task."""
+def _meet(last: bool):
+    """Buckets' families: what is repeated and, but for the last grams, which runs are still open."""
 
     def run(batches):
-        family, roll = SuffixFamily(), _Rolling.get()
+        family, notes, held, size = SuffixFamily(), [], [], 0
         for batch in batches:
-            k = batch.column(0).to_numpy(zero_copy_only=False)
-            t = batch.column(1).to_numpy(zero_copy_only=False)
-            asked = [np.sort(x.values.to_numpy(zero_copy_only=False)) if x.is_valid else np.zeros(0, np.int64) for x in batch.column(3)]
-            for data, starts, ends, which, offset in _pieces(batch.column(2), width):
-                sums = roll.sums(data)
-                at, owner = [], []
-                for j, (i, lo) in enumerate(zip(which, offset)):
-                    spans = asked[i]
-                    pos, size = spans >> 32, spans & 0xFFFFFFFF
-                    first = np.maximum(pos, lo)
-                    last = np.minimum(pos + size - width + 1, lo + (ends[j] - starts[j]) - width + 1)
-                    n = np.maximum(last - first, 0)
-                    if n.any():
-                        x = np.repeat(first - (np.cumsum(n) - n), n) + np.arange(n.sum())
-                        at.append(x - lo + starts[j])
-                        owner.append(np.full(len(x), j))
-                if not at:
-                    continue
-                at, owner = np.concatenate(at), np.concatenate(owner)
-                runs = np.zeros(len(at), _RUN)
-                runs["h"] = roll.of(sums, at, width)
-                runs["k"], runs["t"], runs["pos"], runs["len"] = k[which[owner]], t[which[owner]], at - starts[owner] + offset[owner], width
-                for lo in range(0, len(runs), 1_000_000):
-                    family.add(runs[lo : lo + 1_000_000])
-        gone = _joined(family.take_repeated())
-        if len(gone):
-            yield from _rows(_by_document(gone, buckets), "gone", gone)
+            for kind, data in zip(batch.column(1).to_pylist(), batch.column(2)):
+                runs = _unpack(data.as_buffer())
+                if kind == _KINDS["runs"]:
+                    held.append(runs)
+                    size += len(runs)
+                    if size > _BATCH:
+                        family.add(np.concatenate(held))
+                        held, size = [], 0
+                elif kind == _KINDS["many"]:
+                    notes.append(runs["h"])
+                else:
+                    yield from _spans(runs, kind == _KINDS["edges"])
+        if held:
+            family.add(np.concatenate(held))
         left = family.merged()
-        late = _joined(family.take_repeated())
-        if len(late):
-            yield from _rows(_by_document(late, buckets), "gone", late)
-        if len(left):
-            yield from _rows(_by_fingerprint(left, buckets), "runs", left)
+        yield from _spans(_joined(family.take_repeated()), False)
+        if len(left) and not last:
+            same = left["h"][1:] == left["h"][:-1]
+            several = np.concatenate([same, [False]]) | np.concatenate([[False], same])
+            if notes:
+                several |= np.isin(left["h"], np.concatenate(notes))
+            yield from _spans(left[several], True)
 
     return run
 
 
-def _meet_windows(batches):
-    family = SuffixFamily()
-    for batch in batches:
-        for kind, data in zip(batch.column(1).to_pylist(), batch.column(2)):
-            runs = _unpack(data.as_buffer())
-            if kind == _KINDS["runs"]:
-                family.add(runs)
-            else:
-                yield from _spans(runs, False)
-    family.merged()
-    yield from _spans(_joined(family.take_repeated()), False)
-
-
 def cut_spans(size: int, spans: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     """Maximal (starts, ends) of the union of packed spans."""
     if not len(spans):
@@ -412,10 +403,10 @@ def remove_repeats(docs: DataFrame, width: int = 100, emit_text: bool = False, i
     ``kept`` is the lowercase hex SHA-256 of the remaining bytes or, with emit_text, the
     remaining text (characters that lost some of their bytes are left out).
     """
-    if width < GRAM:
-        raise ValueError(f"width must be at least {GRAM}")
+    if width < 8:
+        raise ValueError("width must be at least 8")
     spark = docs.sparkSession
-    buckets = max(64, 4 * int(spark.conf.get("spark.sql.shuffle.partitions")))
+    buckets = int(spark.conf.get("spark.sql.shuffle.partitions"))
     text = F.coalesce(docs[text_col].cast("string"), F.lit(""))
     rows = docs.select(F.coalesce(docs[id_col].cast("long"), F.lit(_FIRST)).alias("k"), text.alias("text"))
     twice = checkpoint(rows.groupBy("k").agg(F.count("*").alias("n")).where("n > 1").select("k"))
@@ -428,13 +419,17 @@ def remove_repeats(docs: DataFrame, width: int = 100, emit_text: bool = False, i
     rows = rows.select("k", "t", "text")
     shape = "bucket int, kind int, data binary"
     spans = "k long, t long, edge boolean, span long"
-    met = rows.mapInArrow(_scan(width, buckets), shape).repartition("bucket").mapInArrow(_meet, spans)
-    asked = met.where("edge").groupBy("k", "t").agg(F.collect_list("span").alias("spans"))
-    # both joins shuffle the same columns by the same keys, so the second reuses the exchange
-    windows = rows.join(asked, ["k", "t"]).select("k", "t", "text", "spans").mapInArrow(_windows(width, buckets), shape)
-    settled = windows.repartition("bucket").mapInArrow(_meet_windows, spans)
-    gone = met.where("not edge").union(settled).groupBy("k", "t").agg(F.collect_list("span").alias("spans"))
-    out = rows.join(gone, ["k", "t"], "left").select("k", "t", "text", "spans").mapInArrow(_cleaner(emit_text), "k long, t long, n_bytes long, n_removed long, n_spans long, kept string")
+    grams, gone, source = [*[g for g in GRAMS if g < width], width], None, rows
+    for gram in grams:
+        met = source.mapInArrow(released(_scan(width, gram, buckets)), shape).repartitionById(buckets, F.col("bucket")).mapInArrow(released(_meet(gram == width)), spans)
+        found = met.where("not edge") if gram < width else met
+        gone = found if gone is None else gone.union(found)
+        if gram < width:
+            asked = met.where("edge").groupBy("k", "t").agg(F.collect_list("span").alias("spans"))
+            # every join shuffles the same columns of the texts by the same keys: one exchange serves all
+            source = rows.join(asked, ["k", "t"]).select("k", "t", "text", "spans")
+    gone = gone.groupBy("k", "t").agg(F.collect_list("span").alias("spans"))
+    out = rows.join(gone, ["k", "t"], "left").select("k", "t", "text", "spans").mapInArrow(released(_cleaner(emit_text)), "k long, t long, n_bytes long, n_removed long, n_spans long, kept string")
     out = out.select(F.nullif("k", F.lit(_FIRST)).alias("doc_id"), "t", "n_bytes", "n_removed", "n_spans", "kept")
     return out if emit_text else out.drop("t")
 
