@@ -31,7 +31,7 @@ from pyspark.sql import functions as F
 
 from ..operators.components import connected_components
 from ..session import checkpoint
-from .common import LOWER, UPPER, id_and_text
+from .common import LOWER, UPPER, id_and_text, released
 
 _FOLD = bytes.maketrans(UPPER.encode(), LOWER.encode())
 _BLOCK = 100_000  # hashes that are unpacked into bits at once
@@ -81,7 +81,7 @@ def _fingerprint_batches(batches):
 def fingerprints(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """One row a document: ``doc_id``, ``text_hash`` (to tell rows of one id apart), ``fp`` (the 64 bits as a long)."""
     rows = id_and_text(docs, id_col, text_col)
-    return rows.select("doc_id", "text", F.xxhash64("text").alias("text_hash")).mapInArrow(_fingerprint_batches, "doc_id long, text_hash long, fp long")
+    return rows.select("doc_id", "text", F.xxhash64("text").alias("text_hash")).mapInArrow(released(_fingerprint_batches), "doc_id long, text_hash long, fp long")
 
 
 def block_masks(within: int, blocks: int, keep: int) -> list[int]:
@@ -174,7 +174,7 @@ def hamming_links(reps: DataFrame, radius: int = 3, blocks: int = 6, split_above
                 hot = None
             else:
                 rows = level.join(hot, ["choice", "key"], "left_anti")
-        found = rows.select("choice", "key", "fp", "rep").repartition("choice", "key").sortWithinPartitions("choice", "key", "fp").mapInArrow(_linker(radius), "src long, dst long")
+        found = rows.select("choice", "key", "fp", "rep").repartition("choice", "key").sortWithinPartitions("choice", "key", "fp").mapInArrow(released(_linker(radius)), "src long, dst long")
         out = found if out is None else out.union(found)
         if depth == 2 or hot is None:
             break
@@ -201,7 +201,7 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     each = checkpoint(fingerprints(docs, id_col, text_col))
     reps = checkpoint(each.groupBy("fp").agg(F.min("doc_id").alias("rep")))
     # ids may repeat with other texts, so the nodes are the fingerprints themselves
-    parts = connected_components(hamming_links(reps.select(F.col("fp").alias("rep"), "fp"), radius))
+    parts = connected_components(checkpoint(hamming_links(reps.select(F.col("fp").alias("rep"), "fp"), radius)))
     parts = parts.join(reps.withColumnRenamed("fp", "node"), "node")
     least = parts.groupBy("component").agg(F.min("rep").alias("component_id"))
     linked = parts.join(least, "component").select(F.col("node").alias("fp"), F.col("component").alias("part"), "component_id")

@@ -26,7 +26,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..session import materialize
-from .common import id_and_text
+from .common import id_and_text, released
 from .tokens import CachedEncoder
 
 SCALE = 20  # bits of the frequency scale
@@ -212,7 +212,7 @@ def _reader(batches):
 def write_tokens(docs: DataFrame, path: str, end_id: int, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """Encode all texts, in ascending order of their ids, into token files: ``part, number, n_ids, data``, written and reread."""
     rows = id_and_text(docs, id_col, text_col).repartitionByRange("doc_id").sortWithinPartitions("doc_id", "text")
-    return materialize(rows.mapInArrow(_writer(path, end_id), "part int, number int, n_ids long, data binary"), "tokens")
+    return materialize(rows.mapInArrow(released(_writer(path, end_id)), "part int, number int, n_ids long, data binary"), "tokens")
 
 
 def read_tokens(files: DataFrame) -> DataFrame:
@@ -222,5 +222,5 @@ def read_tokens(files: DataFrame) -> DataFrame:
     before = lambda *by: Window.partitionBy(*by).rowsBetween(Window.unboundedPreceding, -1)
     parts = parts.select("part", F.coalesce(F.sum("n").over(before(F.lit(0)).orderBy("part")), F.lit(0)).alias("base"))
     offsets = sizes.join(parts, "part").select("part", "number", (F.col("base") + F.coalesce(F.sum("n_ids").over(before("part").orderBy("number")), F.lit(0))).alias("base"))
-    found = files.mapInArrow(_reader, "part int, number int, doc_id long, local long, n_tokens long, ids_crc32 long")
+    found = files.mapInArrow(released(_reader), "part int, number int, doc_id long, local long, n_tokens long, ids_crc32 long")
     return found.join(offsets, ["part", "number"]).select("doc_id", (F.col("base") + F.col("local")).alias("start"), "n_tokens", "ids_crc32")
