@@ -5,7 +5,7 @@ import pytest
 
 ROOT = os.path.dirname(os.path.dirname(os.path.abspath(__file__)))
 sys.path.insert(0, ROOT)
-SF = "/root/testdata/sf0.001"
+SF = os.environ.get("CODECUT_SF", "/root/testdata/sf0.001")
 
 
 @pytest.fixture(scope="session")
