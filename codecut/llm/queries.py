@@ -88,11 +88,78 @@ def op9_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     return with_suffix_sums(checkpoint(length_histogram(token_counts(read_table(spark, sf_dir, "documents"), _tokenizer("byte_bpe_50k.json")))))
 
 
+def shard_placement(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """op10 without the checksum, which the other engine lacks."""
+    return op10_sharding(spark, sf_dir).drop("text_crc32")
+
+
 QUERIES = {
     q.__name__: q
     for q in (
         op1_suffix_dedup, op2_token_files, op3_chat_format, op4_quality_classifier, op5_quality_rules, op6_trie_bpe,
-        op7_simhash, op8_decontamination, op9_token_counts, op10_sharding, quality_base_statistics,
+        op7_simhash, op8_decontamination, op9_token_counts, op10_sharding, quality_base_statistics, shard_placement,
     )
 }
-ORACLE_SQL: dict[str, str] = {}
+
+_WORDS = r"list_filter(regexp_split_to_array(coalesce(text, ''), '[\x20\x09-\x0D]+'), lambda x: x <> '')"
+_LOWER = "translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz')"
+_TERMS = rf"regexp_extract_all({_LOWER}, '[0-9a-z\x{{80}}-\x{{10FFFF}}]+')"
+
+_BASE_SQL = rf"""
+WITH d AS (SELECT doc_id, coalesce(text, '') AS text, {_WORDS} AS w FROM documents),
+l AS (SELECT doc_id, list_filter(string_split(text, chr(10)), lambda x: regexp_matches(x, '[^\x20\x09-\x0D]')) AS l FROM d),
+g AS (SELECT doc_id, i, w[i] || ' ' || w[i + 1] || ' ' || w[i + 2] AS g FROM (SELECT doc_id, w, unnest(range(1, len(w) - 1)) AS i FROM d)),
+r AS (SELECT doc_id, count(DISTINCT j) AS n FROM (SELECT doc_id, unnest([i, i + 1, i + 2]) AS j FROM (SELECT doc_id, i, count(*) OVER (PARTITION BY doc_id, g) AS c FROM g) WHERE c > 1) GROUP BY doc_id),
+s AS (SELECT d.doc_id, CAST(len(w) AS BIGINT) AS n_words, CAST(coalesce(list_sum(list_transform(w, lambda x: length(x))), 0) AS BIGINT) AS word_chars,
+  CAST(len(regexp_extract_all(text, '[#*$%&|<>]')) AS BIGINT) AS n_symbols, CAST(len(l) - len(list_distinct(l)) AS BIGINT) AS n_dup_lines, coalesce(r.n, 0) AS n_repeat_words
+  FROM d JOIN l USING (doc_id) LEFT JOIN r USING (doc_id))
+SELECT *, n_words < 50 OR 100 * n_repeat_words > 50 * n_words AS base_failed FROM s"""
+
+_CHAT_SQL = """
+WITH t AS (SELECT CAST(conv_id AS BIGINT) AS conv_id, turn, coalesce(role, '') AS role, coalesce(text, '') AS text FROM conversations
+  UNION ALL SELECT -7, 0, 'user', '\\### Assistant: </turn> ok' UNION ALL SELECT -7, 1, 'assistant', '\\### Assistant: </turn> ok')
+SELECT conv_id, count(*) AS n_turns, sha256(string_agg(role || chr(10) || text || chr(10), '' ORDER BY turn, role, text)) AS turns_sha256,
+  CAST(coalesce(sum(length(text)) FILTER (WHERE role = 'assistant'), 0) AS BIGINT) AS loss_chars,
+  sha256(coalesce(string_agg(text, '' ORDER BY turn, role, text) FILTER (WHERE role = 'assistant'), '')) AS loss_sha256,
+  CAST(sum(17 + length(replace(replace(replace(role, '\\', '\\\\'), '<|', '<\\|'), '|>', '|\\>')) + length(replace(replace(replace(text, '\\', '\\\\'), '<|', '<\\|'), '|>', '|\\>'))) AS BIGINT) AS formatted_chars
+FROM t GROUP BY conv_id"""
+
+_LEAK_SQL = f"""
+WITH d AS (SELECT doc_id, {_TERMS} AS w FROM documents), b AS (SELECT CAST(item_id AS VARCHAR) AS item_id, {_TERMS} AS w FROM benchmark),
+v AS (SELECT DISTINCT item_id, least(len(w), 10) AS n, array_to_string(w[s:s + least(len(w), 10) - 1], ' ') AS g FROM (SELECT item_id, w, unnest(range(1, greatest(len(w) - 9, 1) + 1)) AS s FROM b WHERE len(w) > 0)),
+k AS (SELECT DISTINCT n FROM v), x AS (SELECT doc_id, w, n, unnest(range(1, len(w) - n + 2)) AS s FROM d, k),
+m AS (SELECT doc_id, s, x.n, item_id FROM x JOIN v ON v.n = x.n AND v.g = array_to_string(w[s:s + x.n - 1], ' ')),
+h AS (SELECT doc_id, count(DISTINCT j) AS n_hit FROM (SELECT doc_id, unnest(range(s, s + n)) AS j FROM m) GROUP BY doc_id),
+i AS (SELECT doc_id, count(*) AS n_items, string_agg(item_id, ',' ORDER BY item_id) AS ids FROM (SELECT DISTINCT doc_id, item_id FROM m) GROUP BY doc_id)
+SELECT d.doc_id, CAST(len(w) AS BIGINT) AS n_words, coalesce(n_hit, 0) AS n_hit, coalesce(n_items, 0) AS n_items, sha256(coalesce(ids, '')) AS items_sha256, coalesce(n_hit, 0) > 0 AS contaminated
+FROM d LEFT JOIN h USING (doc_id) LEFT JOIN i USING (doc_id)"""
+
+
+def _place_sql(node) -> str:
+    if not node.children:
+        return str(node.shard)
+    if len(node.children) == 1:
+        return _place_sql(node.children[0])
+    draw = lambda c: f"(-ln((CAST('0x' || substr(md5(k || '|{c.name}'), 1, 12) AS BIGINT) + 0.5) / 281474976710656.0::DOUBLE) / {c.weight})"
+    draws = [draw(c) for c in node.children]
+    cases = [f"WHEN list_position([{', '.join(draws)}], list_min([{', '.join(draws)}])) = {i + 1} THEN {_place_sql(c)}" for i, c in enumerate(node.children)]
+    return f"CASE {' '.join(cases)} END"
+
+
+def _shard_sql() -> str:
+    from .sharding import even_tree, grow
+
+    tree = even_tree(16)
+    return f"""
+WITH r AS (SELECT doc_id, coalesce(CAST(doc_id AS VARCHAR), 'null') AS k, CAST(strlen(coalesce(text, '')) + 1 AS BIGINT) AS size FROM documents),
+p AS (SELECT doc_id, size, CAST({_place_sql(tree)} AS INTEGER) AS shard, CAST({_place_sql(grow(tree, 16))} AS INTEGER) AS grown_shard,
+  CAST('0x' || substr(md5(k || '|bin'), 1, 8) AS BIGINT) % 1024 AS bin FROM r)
+SELECT doc_id, size, 'key' AS law, shard, row_number() OVER (PARTITION BY shard ORDER BY bin, doc_id) - 1 AS slot, grown_shard FROM p"""
+
+
+ORACLE_SQL: dict[str, str] = {
+    "op3_chat_format": _CHAT_SQL,
+    "op8_decontamination": _LEAK_SQL,
+    "quality_base_statistics": _BASE_SQL,
+    "shard_placement": _shard_sql(),
+}
