@@ -14,6 +14,8 @@ import re
 
 import numpy as np
 
+from .common import no_collector
+
 _LETTERS = "A-Za-zÀ-ÖØ-öø-ÿ"
 #: a word whose end is plain; a lone line feed; else everything up to white space
 _STRETCH = re.compile(rf" ?[{_LETTERS}]+(?=[\x00-\x26\x28-@\[-`{{-\x7f]|\Z)|\n(?=\S)|\s*\S+|\s+")
@@ -42,24 +44,27 @@ class CachedEncoder:
         self.feed = feed[0] if len(feed) == 1 else None
         self.known: dict[str, bytes] = {}
 
-    def _learn(self, new: list[str]) -> None:
-        plain = [s for s in new if _PLAIN.fullmatch(s)] if self.feed is not None else []
-        for lo in range(0, len(plain), 5000):  # one call for many: line feeds stand between them
-            part = plain[lo : lo + 5000]
-            ids = np.array(self.library.encode("\n".join(part), add_special_tokens=False).ids, self.dtype)
-            cuts = np.flatnonzero(ids == self.feed)
-            for s, x in zip(part, np.split(ids, cuts)):
-                self.known[s] = x.tobytes()
-            size, feed = self.dtype.itemsize, self.dtype.type(self.feed).tobytes()
-            for s in part[1:]:
-                if self.known[s][:size] == feed:
-                    self.known[s] = self.known[s][size:]
-        rest = [s for s in new if s not in self.known]
+    def _learn(self, new: set[str]) -> None:
+        known, size = self.known, self.dtype.itemsize
+        plain = list(filter(_PLAIN.fullmatch, new)) if self.feed is not None else []
+        parts = [plain[lo : lo + 500] for lo in range(0, len(plain), 500)]
+        # many in one text: a line feed stands between them and joins neither
+        for part, e in zip(parts, self.library.encode_batch_fast(["\n".join(p) for p in parts], add_special_tokens=False)):
+            ids = np.array(e.ids, self.dtype)
+            data = ids.tobytes()
+            cuts = (np.flatnonzero(ids == self.feed) * size).tolist()
+            known.update(zip(part, [data[a:b] for a, b in zip([0, *[c + size for c in cuts]], [*cuts, len(data)])]))
+        rest = new.difference(plain)
         if rest:
+            rest = list(rest)
             for s, e in zip(rest, self.library.encode_batch_fast(rest, add_special_tokens=False)):
-                self.known[s] = np.array(e.ids, self.dtype).tobytes()
+                known[s] = np.array(e.ids, self.dtype).tobytes()
 
     def encode(self, texts: list[str]) -> list[np.ndarray]:
+        with no_collector():
+            return self._encode(texts)
+
+    def _encode(self, texts: list[str]) -> list[np.ndarray]:
         out = []
         for lo in range(0, len(texts), 200):
             cut = [_STRETCH.findall(t) for t in texts[lo : lo + 200]]
@@ -68,7 +73,7 @@ class CachedEncoder:
                 self.known = {}
                 new = set().union(*cut)
             if new:
-                self._learn(sorted(new))
+                self._learn(new)
             known = self.known.__getitem__
             out += [np.frombuffer(b"".join(map(known, c)), self.dtype) for c in cut]
         return out
