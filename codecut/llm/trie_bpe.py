@@ -3,13 +3,14 @@
 In a rank-ordered BPE, a sequence of tokens is the encoding of its text exactly if
 every token encodes to itself and every two neighbours do as a pair. So the encoding of a prefix is
 the encoding of a shorter prefix and one more token, and the last token is all that has to be known of
-each prefix. The distinct words of a batch are put into a trie; a depth-first walk
+each prefix. The distinct words of a batch make a trie; a depth-first walk
 hands every node the last tokens of its ancestors, finds its own, and so encodes each shared
 prefix once. Words' encodings are read back along the last tokens.
 
 The final symbol of a word carries the end-of-word suffix, so it is a symbol of its own.
 Normalization and splitting into words are the tokenizer's own, applied once to each
-distinct stretch between ASCII white space, which no word crosses.
+distinct piece of text; pieces end at ASCII white space or where a run of plain letters
+ends, which no word crosses. A piece of plain letters is one word, in lower case.
 
 Edge cases: null, empty and white texts encode to no ids; special tokens' strings in a text
 become those tokens; symbols without an id are left out, as the library does; repeated rows are each encoded;
@@ -25,10 +26,13 @@ import re
 import pyarrow as pa
 from pyspark.sql import DataFrame
 
-from .common import id_and_text
+from .common import id_and_text, no_collector, released
 
-_STRETCH = re.compile(r"[^ \t\n\r\x0b\x0c]+")
-_MOST = 300_000
+_LETTERS = "A-Za-zÀ-ÖØ-öø-ÿ"
+#: a run of plain letters whose end is plain; else all up to white space
+_PIECE = re.compile(rf"[{_LETTERS}]+(?=[\x00-\x26\x28-@\[-`{{-\x7f]|\Z)|[^ \t\n\r\x0b\x0c]+")
+_PLAIN = re.compile(rf"[{_LETTERS}]+")
+_MOST = 200_000
 
 
 class TrieBPE:
@@ -58,11 +62,24 @@ class TrieBPE:
         self.special = {t["content"]: t["id"] for t in spec.get("added_tokens", [])}
         self.special_cut = re.compile("(" + "|".join(map(re.escape, sorted(self.special, key=len, reverse=True))) + ")") if self.special else None
         self.strings = {i: s for s, i in self.ids.items()} | {i: s for s, i in self.special.items()}
-        self.longest = max(len(s) for s in self.ids)
-        self.own: dict[str, bool] = {}
-        self.fits: dict[tuple[str, str], bool] = {}
+        self.digits = {i: str(i) for i in self.strings}
+        # the longest token that ends in given three symbols, within a word and at its end
+        self.reach: tuple[dict[str, int], dict[str, int]] = ({}, {})
+        for token in self.ids:
+            ends = bool(self.suffix) and token.endswith(self.suffix)
+            body = token[: -len(self.suffix)] if ends else token
+            for of in (self.reach if not self.suffix else (self.reach[ends],)):
+                if len(body) > 2:
+                    of[body[-3:]] = max(of.get(body[-3:], 0), len(body))
+        self.fits: dict[str | None, dict[str, bool]] = {None: {}}
+        self.n_fits = 0
+        self.heads: dict[str, str] = {}
         self.words: dict[str, tuple[int, ...]] = {}
-        self.stretches: dict[str, tuple[int, str, str] | None] = {}
+        self.pieces: dict[str, tuple[int, str, str] | None] = {}
+        # whether plain letters may skip the tokenizer's own splitting: it has to agree on every one of them
+        letters = [c for c in map(chr, range(256)) if _PLAIN.fullmatch(c)]
+        self.plain = {ord(c): self.split(self.normalize(c))[0][0] for c in letters if len(self.split(self.normalize(c))) == 1}
+        self.fast = len(self.plain) == len(letters) and [w for w, _ in self.split(self.normalize("".join(letters)))] == ["".join(letters).translate(self.plain)]
 
     def symbols(self, token: str) -> list[str]:
         """The characters of a token or word form; the suffix belongs to the last one."""
@@ -91,92 +108,124 @@ class TrieBPE:
         return parts
 
     def _fits(self, left: str | None, right: str) -> bool:
-        if left is None:
-            if right not in self.own:
-                self.own[right] = self.merged(self.symbols(right)) == [right]
-            return self.own[right]
-        pair = (left, right)
-        known = self.fits.get(pair)
+        """Whether right encodes to itself and, behind left, the two stay as they are."""
+        of = self.fits.setdefault(left, {})
+        known = of.get(right)
         if known is None:
-            known = self._fits(None, right) and self.merged(self.symbols(left) + self.symbols(right)) == [left, right]
-            if len(self.fits) > 4 * _MOST:
-                self.fits.clear()
-            self.fits[pair] = known
+            if left is None:
+                known = self.merged(self.symbols(right)) == [right]
+            else:
+                known = self._fits(None, right) and self.merged(self.symbols(left) + self.symbols(right)) == [left, right]
+            of[right] = known
+            self.n_fits += 1
         return known
 
-    def _last(self, prefix: str, end: str, last: list[str | None]) -> str:
-        """The last token of a prefix (with end, of a whole word), from the last tokens of all shorter prefixes."""
-        ids, known = self.ids, self.fits
-        at = len(prefix)
-        for start in range(max(0, at - self.longest), at):
-            token = prefix[start:] + end
-            if token in ids:
-                left = last[start]
-                fits = known.get((left, token)) if left is not None else self.own.get(token)
-                if fits or fits is None and self._fits(left, token):
-                    return token
-        return prefix[-1:] + end  # a symbol that the vocabulary lacks
-
     def encode_words(self, words: list[str]) -> None:
-        """Learn the encodings of new distinct words by one walk over their trie."""
-        root: dict = {}
-        for w in words:
-            node = root
-            for c in w[:-1]:
-                node = node.setdefault(c, {})
-            node.setdefault("", []).append(w)  # the final symbol, with its suffix, is a leaf below
-        ids, suffix = self.ids, self.suffix
-        last: list[str | None] = [None]  # last[d] is the last token of the path's first d symbols
-        stack: list[tuple[dict, str]] = [(root, "")]
-        while stack:
-            node, prefix = stack.pop()
-            depth = len(prefix)
-            if depth:
-                del last[depth:]
-                last.append(self._last(prefix, "", last))
-            for w in node.get("", ()):
-                token = self._last(w, suffix, last)
-                found, at = [ids.get(token)], len(w) - len(token) + len(suffix)
-                while at > 0:
-                    token = last[at]
-                    found.append(ids.get(token))
-                    at -= len(token)
-                self.words[w] = tuple(i for i in reversed(found) if i is not None)
-            for c, child in node.items():
-                if c:
-                    stack.append((child, prefix + c))
-
-    def _learn(self, new: list[str]) -> None:
+        """Learn the encodings of new distinct words by one walk over their trie, of which the current path is held."""
+        if self.n_fits > 8 * _MOST:
+            self.fits, self.n_fits = {None: {}}, 0
+        heads = self.heads  # last tokens of short prefixes, kept from walk to walk
+        if len(heads) > _MOST:
+            heads.clear()
+        ids, suffix, fits = self.ids, self.suffix, self.fits
+        inner, final = self.reach[0].get, self.reach[1].get
+        # last[d] is the last token of the path's first d symbols, after[d] what is known to fit behind it
+        last: list[str | None] = [None]
+        after: list[dict[str, bool]] = [fits[None]]
+        path = ""
+        for w in sorted(words):  # the order in which a depth-first walk meets the words of the trie
+            end = len(w) - 1  # the final symbol, with its suffix, is a leaf below the path
+            shared, most = 0, min(len(last) - 1, end)
+            while shared < most and path[shared] == w[shared]:
+                shared += 1
+            del last[shared + 1 :], after[shared + 1 :]
+            path = w
+            for depth in range(shared + 1, end + 1):
+                prefix = w[:depth]
+                token = heads.get(prefix) if depth < 6 else None
+                if token is None:
+                    for start in range(max(0, depth - inner(prefix[-3:], 2)), depth):
+                        token = prefix[start:]
+                        if token in ids:
+                            known = after[start].get(token)
+                            if known or known is None and self._fits(last[start], token):
+                                break
+                    else:
+                        token = prefix[-1:]  # a symbol that the vocabulary lacks
+                    if depth < 6:
+                        heads[prefix] = token
+                last.append(token)
+                after.append(fits[token] if token in fits else fits.setdefault(token, {}))
+            at = end + 1
+            for start in range(max(0, at - final(w[-3:], 2)), at):
+                token = w[start:] + suffix
+                if token in ids:
+                    known = after[start].get(token)
+                    if known or known is None and self._fits(last[start], token):
+                        break
+            else:
+                token, start = w[-1:] + suffix, end
+            found, at = [ids.get(token)], start
+            while at > 0:
+                token = last[at]
+                found.append(ids.get(token))
+                at -= len(token)
+            found.reverse()
+            self.words[w] = tuple(found) if None not in found else tuple(i for i in found if i is not None)
+
+    def _learn(self, new: set[str]) -> None:
+        if len(self.words) > _MOST:
+            self.words.clear()
         cut: dict[str, list] = {}
-        distinct = set()
-        for s in new:
+        distinct: set[str] = set()
+        plain: dict[str, str] = {}
+        if self.fast:
+            plain = {p: p.translate(self.plain) for p in filter(_PLAIN.fullmatch, new)}
+            distinct.update(plain.values())
+        for p in new.difference(plain):
             parts = []
-            for piece in self.special_cut.split(s) if self.special_cut else [s]:
+            for piece in self.special_cut.split(p) if self.special_cut else [p]:
                 if piece in self.special:
                     parts.append(self.special[piece])
                 elif piece:
                     found = [w for w, _ in self.split(self.normalize(piece))]
                     parts += found
                     distinct.update(found)
-            cut[s] = parts
-        if len(self.words) > _MOST:
-            self.words.clear()
-        self.encode_words(sorted(distinct.difference(self.words)))
-        for s, parts in cut.items():
-            ids = [i for p in parts for i in ((p,) if isinstance(p, int) else self.words[p])]
-            self.stretches[s] = (len(ids), " ".join(map(str, ids)), self.decode(ids)) if ids else None
+            cut[p] = parts
+        self.encode_words(list(distinct.difference(self.words)))
+        made: dict[str, tuple[int, str, str] | None] = {}
+        for p, w in plain.items():
+            entry = made.get(w)
+            if entry is None:
+                entry = made[w] = self._entry(self.words[w])
+            self.pieces[p] = entry
+        for p, parts in cut.items():
+            self.pieces[p] = self._entry([i for x in parts for i in ((x,) if isinstance(x, int) else self.words[x])])
+
+    def _entry(self, ids) -> tuple[int, str, str] | None:
+        return (len(ids), " ".join([self.digits[i] for i in ids]), " ".join([self.strings[i] for i in ids])) if ids else None
 
     def encode(self, texts: list[str]) -> list[list[tuple[int, str, str]]]:
-        """Per text the (count, ids in decimal, decoded) of its stretches."""
-        cut = [_STRETCH.findall(t) for t in texts]
-        new = set().union(*cut).difference(self.stretches)
-        if len(self.stretches) + len(new) > _MOST:
-            self.stretches.clear()
+        """Per text the (count, ids in decimal, decoded) of its pieces."""
+        with no_collector():
+            return self._encode(texts)
+
+    def _encode(self, texts: list[str]) -> list[list[tuple[int, str, str]]]:
+        cut = [_PIECE.findall(t) for t in texts]
+        new = set().union(*cut).difference(self.pieces)
+        if len(self.pieces) + len(new) > _MOST:
+            self.pieces.clear()
             new = set().union(*cut)
         if new:
-            self._learn(sorted(new))
-        known = self.stretches.__getitem__
-        return [[x for x in map(known, c) if x] for c in cut]
+            self._learn(new)
+        known = self.pieces.__getitem__
+        return [list(filter(None, map(known, c))) for c in cut]
+
+    def forget(self) -> None:
+        """Drop what belongs to texts; which tokens fit together stays known. Idle workers keep their memory otherwise."""
+        self.pieces.clear()
+        self.words.clear()
+        self.heads.clear()
 
     def decode(self, ids: list[int]) -> str:
         """As the library decodes where the file has no decoder: the tokens, a space between them."""
@@ -195,6 +244,7 @@ def _coder(path: str):
                     ids.append(hashlib.sha256(" ".join([x[1] for x in found]).encode()).hexdigest())
                     texts.append(hashlib.sha256(" ".join([x[2] for x in found]).encode()).hexdigest())
                 yield pa.RecordBatch.from_arrays([part.column(0), pa.array(n, pa.int64()), pa.array(ids), pa.array(texts)], names=["doc_id", "n_tokens", "ids_sha256", "decoded_sha256"])
+        bpe.forget()
 
     return code
 
@@ -208,15 +258,16 @@ def _id_coder(path: str):
                 found = bpe.encode(part.column(1).to_pylist())
                 ids = [[int(i) for x in f for i in x[1].split(" ")] for f in found]
                 yield pa.RecordBatch.from_arrays([part.column(0), pa.array(ids, pa.list_(pa.int32())), pa.array([" ".join(x[2] for x in f) for f in found])], names=["doc_id", "ids", "decoded"])
+        bpe.forget()
 
     return code
 
 
 def encoded_digests(docs: DataFrame, path: str, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """``doc_id, n_tokens, ids_sha256, decoded_sha256``."""
-    return id_and_text(docs, id_col, text_col).mapInArrow(_coder(path), "doc_id long, n_tokens long, ids_sha256 string, decoded_sha256 string")
+    return id_and_text(docs, id_col, text_col).mapInArrow(released(_coder(path)), "doc_id long, n_tokens long, ids_sha256 string, decoded_sha256 string")
 
 
 def encode_documents(docs: DataFrame, path: str, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """``doc_id, ids, decoded``."""
-    return id_and_text(docs, id_col, text_col).mapInArrow(_id_coder(path), "doc_id long, ids array<int>, decoded string")
+    return id_and_text(docs, id_col, text_col).mapInArrow(released(_id_coder(path)), "doc_id long, ids array<int>, decoded string")
