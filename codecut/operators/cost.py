@@ -71,7 +71,7 @@ class Ledger:
     """Wall time by phase, and bytes that the driver knows it sent or got."""
 
     def __init__(self, spark: SparkSession):
-        self.spark, self.seconds, self.sent, self.got = spark, {}, 0, 0
+        self.spark, self.seconds, self.bytes, self.sent, self.got = spark, {}, {}, 0, 0
 
     @contextmanager
     def timed(self, phase: str):
@@ -87,3 +87,24 @@ class Ledger:
 
     def rows_per_second(self, phase: str, rows: int) -> float:
         return rows / max(self.seconds.get(phase, 0.0), 1e-9)
+
+    def moved(self) -> dict[str, int]:
+        """Bytes that the application's executors have shuffled and read so far, as Spark's own status store counts them."""
+        store = self.spark.sparkContext._jsc.sc().statusStore()
+        rows = store.executorList(True)
+        out = {"shuffle_read": 0, "shuffle_write": 0, "input": 0}
+        for i in range(rows.size()):
+            e = rows.apply(i)
+            out["shuffle_read"] += e.totalShuffleRead()
+            out["shuffle_write"] += e.totalShuffleWrite()
+            out["input"] += e.totalInputBytes()
+        return out
+
+    @contextmanager
+    def counted(self, phase: str):
+        """Time a phase and keep what it moved in ``bytes``."""
+        before = self.moved()
+        with self.timed(phase):
+            yield
+        after = self.moved()
+        self.bytes[phase] = {k: after[k] - before[k] for k in after}

@@ -240,6 +240,15 @@ def test_costs():
     assert slope(conv_encoder) == pytest.approx(1, abs=0.05) and 1.8 < slope(dense_encoder) < 2.1
 
 
+def test_ledger_counts_what_spark_moved(spark):
+    ledger = C.Ledger(spark)
+    with ledger.counted("shuffle"):
+        spark.range(20_000).repartition(7, "id").agg(F.sum("id")).collect()
+    assert ledger.bytes["shuffle"]["shuffle_write"] > 10_000 and ledger.seconds["shuffle"] > 0
+    ledger.rounds(4, 100, 5)
+    assert ledger.sent == ledger.got == 8000 and ledger.rows_per_second("shuffle", 20_000) > 0
+
+
 def test_pipeline_recovers_planted_classes(spark, orders, tmp_path):
     model = CodeGraphClustering(Settings(5, 64, train=TrainConfig(n_rounds=8))).fit(orders)
     out = checkpoint(model.transform(orders))
