@@ -7,8 +7,8 @@ host, host to the whole) by a strength that the spread among sites tells (method
 moments), so that sparse sites stay near the prior. The two logits add up.
 
 Scale: site counts combine before the shuffle; there is one row a site with labels, joined
-by key; a host that holds a third of all documents meets one row, which the adaptive join
-broadcasts or splits. The regression is fitted on at most ``sample_rows`` labelled
+by broadcast if they are counted to be at most ``broadcast_rows``, else by key, where a host that
+holds a third of all documents meets one row and the adaptive join splits it. The regression is fitted on at most ``sample_rows`` labelled
 documents (those with the smallest hash of their id; 20,000 by default) and has ``2**bits`` weights; site counts use every label.
 
 Edge cases: null and empty texts have shape marks only; null hosts or paths are a site of their own;
@@ -28,6 +28,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from ..session import checkpoint
 from .common import id_and_text
 
 _WORD = re.compile(r"[^\W_]+")
@@ -171,7 +172,7 @@ def site_posteriors(labelled: DataFrame, prior: float) -> DataFrame:
     return paths.select("host", "path", "host_rate", ((F.col("g") + k * F.col("host_rate")) / (F.col("n") + k)).alias("site_rate"), "n")
 
 
-def classify(docs: DataFrame, labels: DataFrame, host: str = "source", path: str = "lang", sample_rows: int = 20_000, bits: int = 18, threshold: float = 0.5) -> DataFrame:
+def classify(docs: DataFrame, labels: DataFrame, host: str = "source", path: str = "lang", sample_rows: int = 20_000, bits: int = 18, threshold: float = 0.5, broadcast_rows: int = 500_000) -> DataFrame:
     """``doc_id, evidence, site_rate, score, kept`` for every row of docs."""
     model = fit_text_model(docs, labels, sample_rows, bits)
     name = lambda c: F.coalesce(docs[c].cast("string"), F.lit(""))
@@ -182,13 +183,19 @@ def classify(docs: DataFrame, labels: DataFrame, host: str = "source", path: str
     hosts = sites.groupBy("host").agg(F.first("host_rate").alias("parent"))
     shared = docs.sparkSession.sparkContext.broadcast((model.weights, model.intercept))  # 2**bits numbers
     scored = rows.mapInArrow(_scorer(shared, bits), "doc_id long, host string, path string, evidence double")
-    both = scored.join(sites.select("host", "path", "site_rate"), ["host", "path"], "left").join(hosts, "host", "left")
+    both = scored.join(_light(sites.select("host", "path", "site_rate"), broadcast_rows), ["host", "path"], "left").join(_light(hosts, broadcast_rows), "host", "left")
     rate = F.coalesce("site_rate", "parent", F.lit(prior))
     rate = F.least(F.greatest(rate, F.lit(1e-4)), F.lit(1 - 1e-4))
     score = 1 / (1 + F.exp(-(F.col("evidence") + F.log(rate / (1 - rate)))))
     return both.select("doc_id", "evidence", rate.alias("site_rate"), score.alias("score"), (score >= threshold).alias("kept"))
 
 
+def _light(sites: DataFrame, most: int) -> DataFrame:
+    """A broadcast of sites where they are counted to be at most ``most``; a join by key (split where skewed) beyond."""
+    sites = checkpoint(sites)
+    return F.broadcast(sites) if sites.limit(most + 1).count() <= most else sites
+
+
 def page_sites(pages: DataFrame) -> DataFrame:
     """``page_id, host, path`` (the first step of the path) of page urls; null where a url has none."""
     return pages.select("page_id", F.lower(F.regexp_extract("url", r"^[a-z]+://([^/?#]*)", 1)).alias("host"), F.regexp_extract("url", r"^[a-z]+://[^/?#]*/([^/?#]*)", 1).alias("path"))
