@@ -144,7 +144,7 @@ def learn(docs: DataFrame, labels: DataFrame, sample_rows: int = 20_000, max_rul
         rule = _grow(left.where("not held_out"), cuts, max_conditions, min_precision, least)
         if not rule:
             break
-        rule = _prune(left.where("held_out"), rule)
+        rule = _tightest(_prune(left.where("held_out"), rule))
         hits = left.where(_all(rule)).agg(F.sum("bad"), F.count("*")).first()
         if not hits[1] or hits[0] < min_precision * hits[1] or hits[0] < least:
             break
@@ -188,6 +188,16 @@ def _grow(rows: DataFrame, cuts: dict[str, list[float]], max_conditions: int, mi
     return tuple(rule)
 
 
+def _tightest(rule: tuple[Condition, ...]) -> tuple[Condition, ...]:
+    """Of conditions on one side of one feature only the tightest."""
+    best: dict[tuple[str, bool], Condition] = {}
+    for c in rule:
+        old = best.get((c.feature, c.above))
+        if old is None or (c.cut > old.cut if c.above else c.cut < old.cut):
+            best[c.feature, c.above] = c
+    return tuple(best.values())
+
+
 def _prune(rows: DataFrame, rule: tuple[Condition, ...]) -> tuple[Condition, ...]:
     """Drop last conditions while that raises (hits - misses) / (hits + misses) on the held-out rows."""
     if len(rule) < 2:
