@@ -209,9 +209,11 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     return each.join(linked.union(alone), "fp").select("doc_id", "text_hash", "fp", "part", "component_id")
 
 
-def one_of_each(docs: DataFrame, radius: int = 3) -> DataFrame:
-    """The rows of docs that come first (by id, null last, then by text hash) in their component; of equal rows one."""
-    found = near_duplicates(docs, radius=radius)
+def one_of_each(docs: DataFrame, found: DataFrame) -> DataFrame:
+    """The rows of docs that come first (by id, null last, then by text hash) in their component; of equal rows one.
+
+    found: ``doc_id, text_hash, part`` of every row, by ``near_duplicates`` or ``set_join.similar_documents``.
+    """
     last = F.lit((1 << 63) - 1)
     first = found.groupBy("part").agg(F.min(F.struct(F.coalesce("doc_id", last).alias("_k"), F.col("text_hash").alias("_h"))).alias("w")).select("w._k", "w._h")
     keyed = docs.withColumn("_k", F.coalesce(F.col("doc_id").cast("long"), last)).withColumn("_h", F.xxhash64(F.coalesce(F.col("text").cast("string"), F.lit(""))))

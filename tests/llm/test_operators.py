@@ -410,3 +410,46 @@ def test_oracle_sql(spark, sf):
         got = queries.QUERIES[name](spark, sf)
         names = sorted(got.columns)
         assert rows(got, *names) == Counter(map(tuple, con.sql(f"select {', '.join(names)} from ({sql})").fetchall())), name
+
+
+@pytest.mark.parametrize("turns", [0, 3])
+def test_near_copies_stage_is_exact(spark, documents, turns):
+    """All links of 0.8 on five-word runs, also those whose fingerprints differ in many bits."""
+    from codecut.llm.set_join import similar_documents
+    from codecut.llm.simhash import one_of_each, run_hashes
+
+    rng = np.random.default_rng(5)
+    texts = list(documents)[:150]
+    for c in range(6):
+        words = [f"w{x}" for x in rng.integers(0, 5000, 60 + 40 * c)]
+        for v in range(12):
+            copy = list(words)
+            for at in rng.integers(0, len(words), v % 5 + c % 2):
+                copy[at] = f"edit{rng.integers(1 << 30)}"
+            texts.append((50_000 + 100 * c + v, " ".join(copy)))
+    sets = [frozenset(run_hashes((t or "").encode(), 5)) for _, t in texts]
+    parent = list(range(len(texts)))
+
+    def root(x):
+        while parent[x] != x:
+            x = parent[x]
+        return x
+
+    far = 0
+    for i in range(len(texts)):
+        for j in range(i):
+            both = len(sets[i] & sets[j])
+            if sets[i] == sets[j] or (both and 5 * both >= 4 * len(sets[i] | sets[j])):
+                far += (fingerprint(texts[i][1]) ^ fingerprint(texts[j][1])).bit_count() > 3
+                parent[root(i)] = root(j)
+    assert far > 20
+    least = {}
+    for i, (d, _) in enumerate(texts):
+        least[root(i)] = min((x for x in (least.get(root(i)), d) if x is not None), default=None)
+    docs = spark.createDataFrame(texts, "doc_id long, text string")
+    kept = one_of_each(docs, similar_documents(docs, turns=turns))
+    assert Counter(r["doc_id"] for r in kept.collect()) == Counter(least.values())
+    if turns:
+        import corpus_pipeline
+
+        assert corpus_pipeline.near_duplicates(spark, docs, None).count() == len(least)
