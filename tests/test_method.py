@@ -306,3 +306,16 @@ def test_grid_and_percentile(spark):
     assert got[99] == -1 and got[0] == got[2] != got[1] == got[3]
     assert 0 < B.second_percentile(df) < 1
     assert matrix_of(df.select("vec").toArrow().column(0)).shape == (21, 2)
+
+
+def test_hashed_density_peaks_large_bucket(spark):
+    """A bucket that is cut into parts gives the densities and the labels of the whole bucket."""
+    from codecut.operators import baselines as B
+
+    x = np.random.default_rng(2).normal(size=(90, 3)) + np.repeat(np.eye(3) * 6, 30, axis=0)
+    df = spark.createDataFrame([(i, i % 3, v.tolist()) for i, v in enumerate(x)], "row_id long, site_id int, vec array<double>").coalesce(1)
+    whole, cut = (B.hashed_density_peaks(df, 3, layouts=1, hashes=1, width=1e6, eps=1.5, most=n).labels.collect() for n in (1000, 20))
+    assert {r["row_id"]: r["cluster"] for r in cut} == {r["row_id"]: r["cluster"] for r in whole}
+    rows = B._split_buckets(B.lsh_buckets(df, 1, 1, 1e6, 3), 20)
+    near = (np.linalg.norm(x[:, None] - x[None], axis=2) <= 1.5).sum(1) - 1
+    assert {r["row_id"]: r["rho"] for r in B.bucket_densities(rows, 1.5).collect()} == dict(enumerate(near))
