@@ -184,10 +184,13 @@ def _writer(path: str, end_id: int):
         for batch in batches:
             for lo in range(0, batch.num_rows, 500):
                 some = batch.slice(lo, 500)
-                for d, ids in zip(some.column(0).to_pylist(), encoder.encode(some.column(1).to_pylist())):
+                sizes, ids = encoder.encode_column(some.column(1))
+                ends = np.cumsum(sizes)
+                closed = np.insert(ids, ends, encoder.dtype.type(end_id))
+                for d, part_ids in zip(some.column(0).to_pylist(), np.split(closed, (ends + np.arange(1, len(ends) + 1))[:-1])):
                     docs.append(d)
-                    held.append(np.append(ids, encoder.dtype.type(end_id)))
-                    total += len(ids) + 1
+                    held.append(part_ids)
+                    total += len(part_ids)
                     if total >= FILE:
                         yield file()
                         docs, held, total, number = [], [], 0, number + 1
