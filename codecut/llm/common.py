@@ -17,6 +17,20 @@ def id_and_text(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text")
     return docs.select(docs[id_col].cast("long").alias("doc_id"), F.coalesce(docs[text_col].cast("string"), F.lit("")).alias("text"))
 
 
+def boxed(df: DataFrame) -> DataFrame:
+    """All columns in one column ``row``, so that no name of theirs can clash with what a stage adds."""
+    return df.select(F.struct(*[F.col(quoted(c)) for c in df.columns]).alias("row"))
+
+
+def unboxed(df: DataFrame, like: DataFrame) -> DataFrame:
+    """The columns of ``row``, as ``like`` has them."""
+    return df.select(*[F.col(f"row.{quoted(c)}").alias(c) for c in like.columns])
+
+
+def quoted(name: str) -> str:
+    return "`" + name.replace("`", "``") + "`"
+
+
 def ascii_lower(text: Column) -> Column:
     """Lower-case A to Z and nothing else."""
     return F.translate(text, UPPER, LOWER)

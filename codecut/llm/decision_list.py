@@ -2,13 +2,13 @@
 
 ``text_statistics`` measures every whole text. ``learn`` runs sequential covering on
 the statistics of labelled documents: a rule grows one threshold at a time from
-grouped counts (a few rows a feature), is pruned against a held-out third, its
+counts between cuts, is pruned against a held-out third and taken if it is precise there too, its
 documents are taken out, and the next rule is grown. The list comes out as an ordered
 conditional expression that runs inside the scan.
 
 Scale: statistics are row-local, without any shuffle, whatever the source or group of copies.
 The model is fitted on at most ``sample_rows`` labelled documents (those with
-the smallest hash of their id, 20,000 by default), so the sample's ids may be broadcast; everything else
+the smallest hash of their id, 20,000 by default), so the sample's ids may be broadcast and its seven statistics a row held by the driver; everything else
 covers all rows. The word list has at most ``max_words`` entries.
 
 Edge cases: null and empty texts have no words and no lines with a word: all
@@ -20,13 +20,15 @@ labels agree, the list is empty and only the base rule rejects.
 from __future__ import annotations
 
 import math
+from bisect import bisect_right
+from collections import Counter
 from dataclasses import dataclass, field
 
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from ..session import checkpoint
-from .common import computed
+from .common import computed, quoted
 
 SYMBOLS = "#*$%&|<>"
 _EDGES = ".,;:!?\"'()[]{}*&$%#|<>-_/"
@@ -126,64 +128,85 @@ def flagged_words(sample: DataFrame, max_words: int = 200, least_docs: int = 8,
 
 
 def learn(docs: DataFrame, labels: DataFrame, sample_rows: int = 20_000, max_rules: int = 12, max_conditions: int = 3, bins: int = 64, min_precision: float = 0.9, max_words: int = 200) -> DecisionList:
-    """Fit a decision list that rejects documents of quality 0 or toxic ones."""
-    sample = checkpoint(labelled_sample(docs, labels, sample_rows))
-    found = DecisionList(flagged=flagged_words(sample, max_words))
-    stats = text_statistics(sample, found.flagged, keep=("bad",)).where(~base_failed())
-    data = checkpoint(stats.select("bad", (F.pmod(F.xxhash64("doc_id"), F.lit(3)) == 0).alias("held_out"), *FEATURES))
-    shares = [i / bins for i in range(1, bins)]
-    cuts = data.groupBy("bad").agg(*[F.percentile_approx(f, shares, 10_000).alias(f) for f in FEATURES]).collect()
-    cuts = {f: sorted({x for r in cuts for x in r[f] or []} | ({1.0} if f == "flagged_words" else set())) for f in FEATURES}
-    total = data.agg(F.sum("bad"), F.count("*")).first()
-    if not total[0] or total[0] == total[1]:
-        return found
-    binned = checkpoint(data.select("bad", "held_out", F.array(*[_bin(f, cuts[f]) for f in FEATURES]).alias("b"), *FEATURES))
-    left = binned
-    least = max(3, total[0] // 500)
+    """Fit a decision list that rejects documents of quality 0 or toxic ones.
+
+    The words, the cuts and the rules come from two thirds of the sample; the held-out third only
+    prunes a rule and says whether it is taken.
+    """
+    held = F.pmod(F.xxhash64("doc_id"), F.lit(3)) == 0
+    sample = checkpoint(labelled_sample(docs, labels, sample_rows).withColumn("held_out", held))
+    found = DecisionList(flagged=flagged_words(sample.where("not held_out"), max_words))
+    stats = text_statistics(sample, found.flagged, keep=("bad", "held_out")).where(~base_failed())
+    rows = stats.select("bad", "held_out", *FEATURES).collect()  # at most sample_rows
+    found.rules = cover([(r[0], r[2:]) for r in rows if not r[1]], [(r[0], r[2:]) for r in rows if r[1]], max_rules, max_conditions, bins, min_precision)
+    return found
+
+
+Row = tuple[int, tuple[float, ...]]
+
+
+def candidate_cuts(grow: list[Row], bins: int) -> list[list[float]]:
+    """For each feature the values at even shares of the good and of the bad rows (for flagged words also 1)."""
+    out = []
+    for i, f in enumerate(FEATURES):
+        cuts = {1.0} if f == "flagged_words" else set()
+        for kind in (0, 1):
+            values = sorted(x[i] for bad, x in grow if bad == kind)
+            cuts |= {values[min(len(values) - 1, len(values) * j // bins)] for j in range(1, bins)} if values else set()
+        out.append(sorted(cuts))
+    return out
+
+
+def cover(grow: list[Row], held: list[Row], max_rules: int = 12, max_conditions: int = 3, bins: int = 64, min_precision: float = 0.9) -> list[tuple[Condition, ...]]:
+    """Sequential covering of the bad rows: grow a rule, prune it on the held-out rows, take it if it is precise there, go on without its rows."""
+    total = sum(bad for bad, _ in grow)
+    if not total or total == len(grow):
+        return []
+    cuts, least, rules = candidate_cuts(grow, bins), max(3, total // 500), []
     for _ in range(max_rules):
-        rule = _grow(left.where("not held_out"), cuts, max_conditions, min_precision, least)
+        rule = _grow(grow, cuts, max_conditions, least)
         if not rule:
             break
-        rule = _tightest(_prune(left.where("held_out"), rule))
-        hits = left.where(_all(rule)).agg(F.sum("bad"), F.count("*")).first()
-        if not hits[1] or hits[0] < min_precision * hits[1] or hits[0] < least:
+        rule = _tightest(_prune(held, rule))
+        hits = [bad for bad, x in held if _holds(rule, x)]
+        mine = [bad for bad, x in grow if _holds(rule, x)]
+        if min(sum(hits) - min_precision * len(hits), sum(mine) - min_precision * len(mine)) < 0 or sum(hits) < max(1, least // 2):
             break
-        found.rules.append(rule)
-        left = left.where(~_all(rule))
-    return found
+        rules.append(rule)
+        grow, held = [r for r in grow if not _holds(rule, r[1])], [r for r in held if not _holds(rule, r[1])]
+    return rules
+
 
+def _holds(rule: tuple[Condition, ...], x: tuple[float, ...]) -> bool:
+    return all((x[FEATURES.index(c.feature)] >= c.cut) == c.above for c in rule)
 
-def _bin(feature: str, cuts: list[float]) -> Column:
-    """The number of the feature's cuts that it reaches."""
-    return sum(((F.col(feature) >= float(c)).cast("int") for c in cuts), F.lit(0))
 
+def gain(p: int, q: int, pos: int, neg: int) -> float:
+    """What a condition that keeps p of pos bad and q of neg good rows tells, weighted by p."""
+    return p * (math.log2((p + 0.01) / (p + q + 0.01)) - math.log2(pos / (pos + neg)))
 
-def _grow(rows: DataFrame, cuts: dict[str, list[float]], max_conditions: int, min_precision: float, least: int) -> tuple[Condition, ...]:
+
+def _grow(rows: list[Row], cuts: list[list[float]], max_conditions: int, least: int) -> tuple[Condition, ...]:
     rule: list[Condition] = []
     for _ in range(max_conditions):
-        counts = rows.where(_all(tuple(rule))).select("bad", F.posexplode("b").alias("f", "k")).groupBy("f", "k").agg(F.sum("bad").alias("p"), F.count("*").alias("n")).collect()
-        if not counts:
-            return ()
-        pos, neg = sum(r["p"] for r in counts if r["f"] == 0), sum(r["n"] - r["p"] for r in counts if r["f"] == 0)
+        pos = sum(bad for bad, _ in rows)
+        neg = len(rows) - pos
         if not pos or not neg:
             break
-        start = math.log2(pos / (pos + neg))
         best = None
         for i, f in enumerate(FEATURES):
-            per = {r["k"]: (r["p"], r["n"] - r["p"]) for r in counts if r["f"] == i}
+            per = Counter((bisect_right(cuts[i], x[i]), bad) for bad, x in rows)
             p = q = 0
-            for k in range(len(cuts[f]), 0, -1):  # at or above cut k-1
-                a, b = per.get(k, (0, 0))
-                p, q = p + a, q + b
+            for k in range(len(cuts[i]), 0, -1):  # at or above cut k-1
+                p, q = p + per[k, 1], q + per[k, 0]
                 for above, x, y in ((True, p, q), (False, pos - p, neg - q)):
-                    if x >= least:
-                        gain = x * (math.log2((x + 0.01) / (x + y + 0.01)) - start)
-                        if best is None or gain > best[0] + 1e-9:
-                            best = (gain, Condition(f, above, cuts[f][k - 1]), x, y)
+                    if x >= least and (best is None or gain(x, y, pos, neg) > best[0] + 1e-9):
+                        best = (gain(x, y, pos, neg), Condition(f, above, float(cuts[i][k - 1])), y)
         if best is None or best[0] <= 0:
             break
         rule.append(best[1])
-        if best[3] == 0:
+        rows = [r for r in rows if _holds((best[1],), r[1])]
+        if best[2] == 0:
             break
     return tuple(rule)
 
@@ -198,14 +221,15 @@ def _tightest(rule: tuple[Condition, ...]) -> tuple[Condition, ...]:
     return tuple(best.values())
 
 
-def _prune(rows: DataFrame, rule: tuple[Condition, ...]) -> tuple[Condition, ...]:
+def _prune(held: list[Row], rule: tuple[Condition, ...]) -> tuple[Condition, ...]:
     """Drop last conditions while that raises (hits - misses) / (hits + misses) on the held-out rows."""
-    if len(rule) < 2:
-        return rule
     heads = [rule[:i] for i in range(1, len(rule) + 1)]
-    sums = rows.agg(*[x for i, h in enumerate(heads) for x in (F.sum(F.when(_all(h), F.col("bad"))).alias(f"p{i}"), F.sum(_all(h).cast("int")).alias(f"n{i}"))]).first()
-    value = [(2 * (sums[f"p{i}"] or 0) - (sums[f"n{i}"] or 0)) / max(1, sums[f"n{i}"] or 0) for i in range(len(heads))]
-    return heads[max(range(len(heads)), key=lambda i: (value[i], i))]
+
+    def value(head):
+        hits = [bad for bad, x in held if _holds(head, x)]
+        return (2 * sum(hits) - len(hits)) / max(1, len(hits))
+
+    return max(heads, key=lambda h: (value(h), len(h)))
 
 
 def judge(docs: DataFrame, model: DecisionList, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
@@ -218,6 +242,6 @@ def kept_documents(docs: DataFrame, model: DecisionList) -> DataFrame:
     """The rows of docs that are kept, with docs' own columns."""
     names = docs.columns
     inner = {c: f"_in_{i}" for i, c in enumerate(names)}
-    renamed = docs.select(*[F.col(f"`{c}`").alias(inner[c]) for c in names])
+    renamed = docs.select(*[F.col(quoted(c)).alias(inner[c]) for c in names])
     stats = text_statistics(renamed, model.flagged, inner["doc_id"], inner["text"], keep=tuple(inner.values()))
     return stats.where(~base_failed() & model.keeps()).select(*[F.col(inner[c]).alias(c) for c in names])

@@ -25,7 +25,7 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..session import checkpoint
-from .common import ascii_lower, computed
+from .common import ascii_lower, boxed, computed, unboxed
 
 _GAP = r"[\x00-\x2F\x3A-\x60\x7B-\x7F]+"
 
@@ -116,6 +116,6 @@ def decontaminate(docs: DataFrame, items: DataFrame, width: int = 10, id_col: st
 
 def clean_documents(docs: DataFrame, items: DataFrame, width: int = 10) -> DataFrame:
     """The rows of docs without any occurrence of a window of the items."""
-    hit = decontaminate(docs, items, width).where("contaminated").select(F.col("doc_id").alias("_k"), F.col("text_hash").alias("_h"))
-    keyed = docs.withColumn("_id", F.col("doc_id").cast("long")).withColumn("_x", F.xxhash64(F.col("text").cast("string")))
-    return keyed.join(hit, F.col("_id").eqNullSafe(F.col("_k")) & (F.col("_x") == F.col("_h")), "left_anti").select(*[F.col(f"`{c}`") for c in docs.columns])
+    hit = decontaminate(docs, items, width).where("contaminated").select("doc_id", "text_hash").distinct()
+    keyed = boxed(docs).select("row", F.col("row.doc_id").cast("long").alias("k"), F.xxhash64(F.col("row.text").cast("string")).alias("h"))
+    return unboxed(keyed.join(hit, F.col("k").eqNullSafe(F.col("doc_id")) & (F.col("h") == F.col("text_hash")), "left_anti"), docs)

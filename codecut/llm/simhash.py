@@ -31,7 +31,7 @@ from pyspark.sql import functions as F
 
 from ..operators.components import connected_components
 from ..session import checkpoint
-from .common import LOWER, UPPER, id_and_text, released
+from .common import LOWER, UPPER, boxed, id_and_text, released, unboxed
 
 _FOLD = bytes.maketrans(UPPER.encode(), LOWER.encode())
 _BLOCK = 100_000  # hashes that are unpacked into bits at once
@@ -215,13 +215,15 @@ def one_of_each(docs: DataFrame, found: DataFrame) -> DataFrame:
     found: ``doc_id, text_hash, part`` of every row, by ``near_duplicates`` or ``set_join.similar_documents``.
     """
     last = F.lit((1 << 63) - 1)
-    first = found.groupBy("part").agg(F.min(F.struct(F.coalesce("doc_id", last).alias("_k"), F.col("text_hash").alias("_h"))).alias("w")).select("w._k", "w._h")
-    keyed = docs.withColumn("_k", F.coalesce(F.col("doc_id").cast("long"), last)).withColumn("_h", F.xxhash64(F.coalesce(F.col("text").cast("string"), F.lit(""))))
-    kept = keyed.join(first, ["_k", "_h"], "left_semi")
-    again = checkpoint(found.groupBy(F.coalesce("doc_id", last).alias("_k"), F.col("text_hash").alias("_h")).agg(F.count("*").alias("n")).where("n > 1").select("_k", "_h"))
+    place = [F.coalesce("doc_id", last).alias("k"), F.col("text_hash").alias("h")]
+    first = found.groupBy("part").agg(F.min(F.struct(*place)).alias("w")).select("w.k", "w.h")
+    again = checkpoint(found.groupBy(*place).agg(F.count("*").alias("n")).where("n > 1").select("k", "h"))
+    rows = boxed(docs)
+    keyed = rows.select(F.coalesce(F.col("row.doc_id").cast("long"), last).alias("k"), F.xxhash64(F.coalesce(F.col("row.text").cast("string"), F.lit(""))).alias("h"), "row")
+    kept = keyed.join(first, ["k", "h"], "left_semi")
     if not again.isEmpty():
-        kept = kept.dropDuplicates(["_k", "_h"])
-    return kept.select(*[F.col(f"`{c}`") for c in docs.columns])
+        kept = kept.dropDuplicates(["k", "h"])
+    return unboxed(kept, docs)
 
 
 def fingerprint_hex(fp) -> F.Column:

@@ -42,7 +42,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..session import checkpoint
-from .common import released
+from .common import boxed, quoted, released
 
 GRAMS = (32, 72)  # then the width itself
 GROUP = 1 << 20  # bytes that are fingerprinted at once
@@ -436,10 +436,11 @@ def remove_repeats(docs: DataFrame, width: int = 100, emit_text: bool = False, i
 
 def without_repeats(docs: DataFrame, width: int = 100) -> DataFrame:
     """The rows of docs with the repeated passages taken out of ``text`` (and ``n_chars``, where docs has it, brought up to date)."""
-    cleaned = remove_repeats(docs, width, emit_text=True).where("n_removed > 0").select(F.coalesce("doc_id", F.lit(_FIRST)).alias("_k"), F.col("t").alias("_t"), F.col("kept").alias("_kept")).dropDuplicates(["_k", "_t"])
-    k = F.coalesce(F.col("doc_id").cast("long"), F.lit(_FIRST))
-    rows = docs.withColumn("_key", k).withColumn("_hash", F.xxhash64(F.coalesce(F.col("text").cast("string"), F.lit(""))))
-    both = rows.join(cleaned, (F.col("_key") == F.col("_k")) & ((F.col("_t") == 0) | (F.col("_t") == F.col("_hash"))), "left")
-    text = F.coalesce("_kept", "text")
-    new = {"text": text, "n_chars": F.when(F.col("_kept").isNull(), F.col("n_chars")).otherwise(F.length("_kept")).cast(docs.schema["n_chars"].dataType) if "n_chars" in docs.columns else None}
-    return both.select(*[new[c].alias(c) if new.get(c) is not None else F.col(f"`{c}`") for c in docs.columns])
+    cleaned = remove_repeats(docs, width, emit_text=True).where("n_removed > 0").select(F.coalesce("doc_id", F.lit(_FIRST)).alias("k"), "t", F.col("kept").alias("new")).dropDuplicates(["k", "t"])
+    id_, text = F.coalesce(F.col("row.doc_id").cast("long"), F.lit(_FIRST)), F.coalesce(F.col("row.text").cast("string"), F.lit(""))
+    rows = boxed(docs).select("row", id_.alias("key"), F.xxhash64(text).alias("hash"))
+    both = rows.join(cleaned, (F.col("key") == F.col("k")) & ((F.col("t") == 0) | (F.col("t") == F.col("hash"))), "left")
+    changed = {"text": F.coalesce("new", F.col("row.text"))}
+    if "n_chars" in docs.columns:
+        changed["n_chars"] = F.when(F.col("new").isNull(), F.col("row.n_chars")).otherwise(F.length("new")).cast(docs.schema["n_chars"].dataType)
+    return both.select(*[changed.get(c, F.col(f"row.{quoted(c)}")).alias(c) for c in docs.columns])
