@@ -30,6 +30,43 @@ def encode(df: DataFrame, spec: EncoderSpec, params: np.ndarray, normalizer: Nor
     return df.select(*others, vec).mapInArrow(run, f"{schema + ', ' if schema else ''}code {'array<bigint>' if wide else 'bigint'}")
 
 
+def nearest_labels(codes: np.ndarray, known: np.ndarray, degrees: np.ndarray, labels: np.ndarray, block: int = 1 << 22) -> np.ndarray:
+    """Label of the closest known code of each code; ties by larger degree, then smaller code."""
+    order = np.lexsort((known, -degrees))
+    known, labels = known[order].view(np.uint64), labels[order]
+    out = np.zeros(len(codes), labels.dtype)
+    step = max(1, block // max(1, len(known)))
+    for lo in range(0, len(codes), step):
+        out[lo : lo + step] = labels[np.bitwise_count(codes[lo : lo + step].view(np.uint64)[:, None] ^ known[None, :]).argmin(1)]
+    return out
+
+
+def encode_and_label(df: DataFrame, spec: EncoderSpec, params: np.ndarray, normalizer: Normalizer, codes: np.ndarray, degrees: np.ndarray, labels: np.ndarray, vec: str = "vec") -> DataFrame:
+    """df without vec and with ``code`` and ``cluster`` in one narrow pass.
+
+    A code has the label of the model, or of the model's nearest code. What is broadcast is 20 bytes a code of
+    the model, which the caller bounds. Codes have at most 64 bits.
+    """
+    others = [c for c in df.columns if c != vec]
+    schema = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in df.schema if f.name != vec)
+    order = np.argsort(codes)
+    shared = df.sparkSession.sparkContext.broadcast((params, codes[order], degrees[order], labels[order].astype(np.int32)))
+
+    def run(batches):
+        p, known, sizes, of = shared.value
+        for b in batches:
+            x = matrix_of(b.column(b.num_columns - 1))
+            got = pack_array(forward(spec, p, normalizer.apply(x), "sign") > 0) if len(x) else np.zeros(0, np.int64)
+            mine, back = np.unique(got, return_inverse=True)
+            at = np.minimum(np.searchsorted(known, mine), max(0, len(known) - 1))
+            cluster = of[at] if len(known) else np.zeros(len(mine), np.int32)
+            new = np.flatnonzero(known[at] != mine) if len(known) else np.zeros(0, int)
+            cluster[new] = nearest_labels(mine[new], known, sizes, of)
+            yield pa.RecordBatch.from_arrays([*[b.column(i) for i in range(len(others))], pa.array(got, pa.int64()), pa.array(cluster[back.ravel()], pa.int32())], names=[*others, "code", "cluster"])
+
+    return df.select(*others, vec).mapInArrow(run, f"{schema + ', ' if schema else ''}code bigint, cluster int")
+
+
 def fixed_weight(bit: int, i: Column) -> Column:
     """Closed-form integer weights for codes that any engine computes alike."""
     return F.pmod((i + 1) * (bit * bit + 3 * bit + 7) + i * i * (bit + 5), F.lit(23)).cast("long") - 11

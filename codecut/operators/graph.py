@@ -6,11 +6,12 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..functions.bits import band_keys, hamming
+from ..session import checkpoint
 from .components import connected_components
 
 
 def cap_codes(degrees: DataFrame, max_codes: int) -> DataFrame:
-    """The max_codes codes of largest degree (ties by code); nearest_code attaches the others."""
+    """The max_codes codes of largest degree (ties by code)."""
     return degrees.orderBy(F.desc("degree"), "code").limit(max_codes)
 
 
@@ -49,15 +50,34 @@ def cut_value(edges: DataFrame, labels: DataFrame, volume: str = "degree") -> Da
     return each.agg((0.5 * F.sum(F.col("out") / F.col("vol"))).alias("cut_value"))
 
 
-def nearest_code(codes: DataFrame, vertices: DataFrame, most: int = 100_000) -> DataFrame:
-    """``code, near, distance`` for distinct codes: the closest vertex; ties by larger degree, then smaller code."""
-    n = vertices.limit(most + 1).count()
-    if n > most:
-        raise ValueError(f"more than {most} vertices: use hamming_join")
+def nearest_code(codes: DataFrame, vertices: DataFrame, most: int = 100_000, n_bits: int = 64) -> DataFrame:
+    """``code, near, distance`` for distinct codes: the closest vertex; ties by larger degree, then smaller code.
+
+    At most ``most`` vertices (counted) are broadcast. Beyond that, banded joins of growing radius find
+    the vertices around each code that has none yet.
+    """
     v = vertices.select(F.col("code").alias("near"), "degree")
-    pairs = codes.select("code").join(F.broadcast(v)).withColumn("d", hamming(F.col("code"), F.col("near")))
     best = F.min_by(F.struct("near", F.col("d").alias("distance")), F.struct("d", -F.col("degree"), "near"))
-    return pairs.groupBy("code").agg(best.alias("b")).select("code", "b.near", "b.distance")
+    if vertices.limit(most + 1).count() <= most:
+        pairs = codes.select("code").join(F.broadcast(v)).withColumn("d", hamming(F.col("code"), F.col("near")))
+        return pairs.groupBy("code").agg(best.alias("b")).select("code", "b.near", "b.distance")
+    left, out, radius = checkpoint(codes.select("code").distinct()), None, 1
+    while not left.isEmpty():
+        radius = min(radius, n_bits - 1)
+        pairs = hamming_join(left, vertices, radius, n_bits) if radius < n_bits - 1 else left.select(F.col("code").alias("a")).join(v.select(F.col("near").alias("b"))).withColumn("distance", hamming(F.col("a"), F.col("b")))
+        near = pairs.select(F.col("a").alias("code"), F.col("b").alias("near"), F.col("distance").alias("d")).join(v, "near")
+        found = checkpoint(near.groupBy("code").agg(best.alias("b")).select("code", "b.near", "b.distance"))
+        out = found if out is None else out.union(found)
+        left, radius = checkpoint(left.join(found, "code", "left_anti")), radius * 2
+    return found.limit(0) if out is None else out
+
+
+def contract_codes(degrees: DataFrame, max_codes: int, n_bits: int = 64) -> DataFrame:
+    """The max_codes codes of largest degree, each with the degrees of the codes that it is nearest to added: no row is lost."""
+    top = checkpoint(cap_codes(degrees, max_codes))
+    rest = degrees.join(top.select("code"), "code", "left_anti")
+    gained = nearest_code(rest, top, n_bits=n_bits).join(rest, "code").select(F.col("near").alias("code"), "degree")
+    return top.union(gained).groupBy("code").agg(F.sum("degree").alias("degree"))
 
 
 def hamming_join(a: DataFrame, b: DataFrame, radius: int, n_bits: int) -> DataFrame:

@@ -120,39 +120,132 @@ def ncut_bisect(w: np.ndarray, k: int) -> np.ndarray:
     return labels
 
 
-def block_subspace_iteration(spark: SparkSession, codes: np.ndarray, degrees: np.ndarray, n_bits: int, k: int, iterations: int = 30, block: int = 1024, seed: int = 0, alpha: float = 1.0) -> np.ndarray:
-    """The symmetric embedding without the matrix: blocks of weights are made anew from codes in each product.
+def leading_vectors(step, n: int, k: int, products: int, seed: int = 0, most: int = 600) -> np.ndarray:
+    """(n, k) vectors of the largest values of a symmetric map that is only known by its products.
 
-    The broadcast is vertices x (k + a code and a degree); vertices are capped by the caller.
+    A block Krylov space is spanned by a few products, its best vectors begin the next one; at most
+    about ``most`` vectors are held.
     """
-    n = len(codes)
-    blocks = spark.createDataFrame([(i, min(i + block, n)) for i in range(0, n, block)], "lo int, hi int").repartition(max(1, -(-n // block)))
-    shape = "lo int, data binary"
+    m = min(n, k + 4)
+    q, _ = np.linalg.qr(np.random.default_rng(seed).normal(size=(n, m)))
+    while products > 0:
+        basis, images = [q], []
+        for _ in range(max(1, min(products, most // m, n // m))):
+            images.append(step(basis[-1]))
+            span = np.hstack(basis)
+            rest = images[-1] - span @ (span.T @ images[-1])
+            basis.append(np.linalg.qr(rest - span @ (span.T @ rest))[0])
+            products -= 1
+        span, image = np.hstack(basis[:-1]), np.hstack(images)
+        small = span.T @ image
+        _, v = np.linalg.eigh((small + small.T) / 2)
+        q, _ = np.linalg.qr(span @ v[:, ::-1][:, :m])
+    return q[:, :k]
 
-    def product(x: np.ndarray) -> np.ndarray:
-        shared = spark.sparkContext.broadcast((codes, degrees, x))
+
+class BlockedWeights:
+    """A symmetric matrix of weights that is never held: blocks of its rows are made anew in each product.
+
+    ``rows(payload, lo, hi)`` gives rows lo to hi. What is broadcast is the payload (once) and the vectors of
+    a product; a task holds ``block`` rows.
+    """
+
+    def __init__(self, spark: SparkSession, n: int, payload, rows, block: int = 1024):
+        self.spark, self.n, self.rows = spark, n, rows
+        self.payload = spark.sparkContext.broadcast(payload)
+        cuts = [(i, min(i + block, n)) for i in range(0, n, block)]
+        self.blocks = spark.createDataFrame(cuts, "lo int, hi int").repartition(len(cuts))
+
+    def _each(self, shared_value, fn) -> np.ndarray:
+        shared, payload, rows = self.spark.sparkContext.broadcast(shared_value), self.payload, self.rows
 
         def run(batches):
-            c, d, y = shared.value
             for b in batches:
                 for lo, hi in zip(b.column(0).to_pylist(), b.column(1).to_pylist()):
-                    out = code_weights(c, d, n_bits, alpha, rows=slice(lo, hi)) @ y
+                    out = np.ascontiguousarray(fn(rows(payload.value, lo, hi), shared.value, lo, hi), float)
                     yield pa.RecordBatch.from_arrays([pa.array([lo], pa.int32()), pa.array([out.tobytes()], pa.binary())], names=["lo", "data"])
 
-        parts = blocks.mapInArrow(run, shape).collect()
+        parts = self.blocks.mapInArrow(run, "lo int, data binary").collect()
         shared.unpersist()
-        return np.concatenate([np.frombuffer(r["data"]).reshape(-1, x.shape[1]) for r in sorted(parts, key=lambda r: r["lo"])])
-
-    root = 1 / np.sqrt(np.maximum(product(np.ones((n, 1)))[:, 0], 1e-300))
-    q, _ = np.linalg.qr(np.random.default_rng(seed).normal(size=(n, k + 4)))
-    for _ in range(iterations):
-        # the shift by the identity makes the wanted eigenvalues the largest in size
-        z = root[:, None] * product(root[:, None] * q) + q
-        q, _ = np.linalg.qr(z)
-    small = q.T @ (root[:, None] * product(root[:, None] * q))
-    _, v = np.linalg.eigh((small + small.T) / 2)
-    e = (q @ v[:, ::-1])[:, :k]
-    return e / np.maximum(np.linalg.norm(e, axis=1, keepdims=True), 1e-12)
+        return np.concatenate([np.frombuffer(r["data"]) for r in sorted(parts, key=lambda r: r["lo"])])
+
+    def times(self, x: np.ndarray) -> np.ndarray:
+        return self._each(x, lambda w, y, lo, hi: w @ y).reshape(x.shape)
+
+    def to_earlier(self, rank: np.ndarray) -> np.ndarray:
+        """Of each row the weight to rows of smaller rank."""
+        return self._each(rank, lambda w, r, lo, hi: (w * (r[None, :] < r[lo:hi, None])).sum(1))
+
+    def strengths(self) -> np.ndarray:
+        return self.times(np.ones((self.n, 1)))[:, 0]
+
+    def embed(self, k: int, kind: str = "symmetric", iterations: int = 30, seed: int = 0, normed: bool = True) -> np.ndarray:
+        """(n, k) leading vectors by ``iterations`` products; kinds as in ``spectral_embed``."""
+        d = np.maximum(self.strengths(), 1e-300)
+        if kind == "unnormalized":
+            top = 2 * d.max()
+            step = lambda q: (top - d)[:, None] * q + self.times(q)
+        elif kind in ("symmetric", "random_walk"):
+            root = 1 / np.sqrt(d)
+            # the shift by the identity makes the wanted eigenvalues the largest in size
+            step = lambda q: root[:, None] * self.times(root[:, None] * q) + q
+        else:
+            raise ValueError(kind)
+        e = leading_vectors(step, self.n, k, iterations, seed)
+        if kind == "random_walk":
+            return e * root[:, None]
+        return e / np.maximum(np.linalg.norm(e, axis=1, keepdims=True), 1e-12) if kind == "symmetric" and normed else e
+
+    def cut_value(self, labels: np.ndarray) -> float:
+        kinds, of = np.unique(labels, return_inverse=True)
+        to = self.times(np.eye(len(kinds))[of])
+        volume = np.bincount(of, to.sum(1))
+        inside = np.bincount(of, to[np.arange(self.n), of])
+        return 0.5 * float(((volume - inside)[volume > 0] / volume[volume > 0]).sum())
+
+    def sweep(self, seed: int = 0, iterations: int = 60) -> tuple[float, np.ndarray] | None:
+        """(cut value, which rows are on the far side) of the best sweep of the second vector."""
+        if self.n < 2:
+            return None
+        d = np.maximum(self.strengths(), 1e-300)
+        order = np.argsort(self.embed(2, seed=seed, iterations=iterations, normed=False)[:, 1] / np.sqrt(d), kind="stable")
+        rank = np.empty(self.n, int)
+        rank[order] = np.arange(self.n)
+        inner = np.cumsum(2 * self.to_earlier(rank)[order])
+        vol = np.cumsum(d[order])
+        value = ((vol - inner)[:-1] / vol[:-1] + (vol - inner)[:-1] / (vol[-1] - vol[:-1])) / 2
+        at = int(value.argmin())
+        return float(value[at]), order[at + 1 :]
+
+
+def blocked_code_weights(spark: SparkSession, codes: np.ndarray, degrees: np.ndarray, n_bits: int, alpha: float = 1.0, p: float = 1.0, block: int = 1024) -> BlockedWeights:
+    """The graph of codes: the payload is a code and a degree a vertex; vertices are bounded by the caller."""
+    return BlockedWeights(spark, len(codes), (codes, degrees), lambda x, lo, hi: code_weights(x[0], x[1], n_bits, alpha, p, slice(lo, hi)), block)
+
+
+def block_subspace_iteration(spark: SparkSession, codes: np.ndarray, degrees: np.ndarray, n_bits: int, k: int, iterations: int = 30, block: int = 1024, seed: int = 0, alpha: float = 1.0, p: float = 1.0, kind: str = "symmetric") -> np.ndarray:
+    """The embedding of the graph of codes without its matrix."""
+    return blocked_code_weights(spark, codes, degrees, n_bits, alpha, p, block).embed(k, kind, iterations, seed)
+
+
+def blocked_bisect(part, n: int, k: int, seed: int = 0) -> np.ndarray:
+    """k parts by repeated bisection; ``part(rows)`` gives the BlockedWeights among some rows."""
+    labels = np.zeros(n, int)
+
+    def split(at: np.ndarray):
+        found = part(at).sweep(seed) if len(at) > 1 else None
+        return found and (found[0], at[found[1]])
+
+    found = {0: split(np.arange(n))}
+    for new in range(1, k):
+        open_ = {c: s for c, s in found.items() if s}
+        if not open_:
+            break
+        c = min(open_, key=lambda x: open_[x][0])
+        labels[open_[c][1]] = new
+        for x in (c, new):
+            found[x] = split(np.flatnonzero(labels == x))
+    return labels
 
 
 def power_iteration_labels(edges: DataFrame, k: int, iterations: int = 20) -> DataFrame:

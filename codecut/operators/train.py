@@ -104,14 +104,19 @@ def train_round(pool: DataFrame, spec: EncoderSpec, params: np.ndarray, cfg: Tra
     return (total if cfg.merge == "parameter" else params - cfg.lr * total), float(loss)
 
 
-def train_encoder(pool: DataFrame, spec: EncoderSpec, cfg: TrainConfig, normalizer: Normalizer = Normalizer("none"), init: np.ndarray | None = None, keep: tuple[int, ...] = ()) -> Trained:
-    """n_rounds rounds, or fewer with tol; snapshots of the rounds in keep serve shorter trainings too."""
+def train_encoder(pool: DataFrame, spec: EncoderSpec, cfg: TrainConfig, normalizer: Normalizer = Normalizer("none"), init: np.ndarray | None = None, keep: tuple[int, ...] = (), refresh=None, refresh_every: int = 0) -> Trained:
+    """n_rounds rounds, or fewer with tol; snapshots of the rounds in keep serve shorter trainings too.
+
+    With refresh (round -> pool), the pool is drawn anew every refresh_every rounds, so that training reaches all rows in time.
+    """
     params = init_params(spec, cfg.seed) if init is None else np.array(init, float)
     n_sites = pool.count()
     out = Trained(spec, params)
     if not n_sites:
         return out
     for n in range(1, cfg.n_rounds + 1):
+        if refresh and refresh_every and n > 1 and (n - 1) % refresh_every == 0:
+            pool = refresh(n)
         params, loss = train_round(pool, spec, params, cfg, normalizer, n, n_sites)
         out.history.append({"round": n, "loss": loss, "bits_down": n_sites * spec.n_params * 32, "bits_up": n_sites * spec.n_params * (16 if cfg.grad_dtype == "float16" else 32)})
         if n in keep:
@@ -130,13 +135,64 @@ def history_frame(spark: SparkSession, history: list[dict]) -> DataFrame:
     return relative_error_ratio(df.withColumn("run", F.lit("run"))).drop("run")
 
 
+def train_many(pool: DataFrame, spec: EncoderSpec, configs: list[TrainConfig], normalizer: Normalizer = Normalizer("none"), keep: tuple[int, ...] = ()) -> list[Trained]:
+    """As train_encoder for each of the configs (gradients averaged), but a round of all of them is one job."""
+    spark, n_sites = pool.sparkSession, pool.count()
+    out = [Trained(spec, init_params(spec, c.seed)) for c in configs]
+    for n in range(1, max(c.n_rounds for c in configs) + 1 if n_sites else 1):
+        live = [i for i, c in enumerate(configs) if n <= c.n_rounds]
+        shared = spark.sparkContext.broadcast([out[i].params for i in live])
+
+        def run(batches, live=live, shared=shared, n=n):
+            for batch in batches:
+                for r in range(batch.num_rows):
+                    site = batch.column(0)[r].as_py()
+                    x = normalizer.apply(matrix_of(batch.column(1)[r].values))
+                    got = [site_step(spec, p, x, configs[i], configs[i].seed * 1_000_003 + n * 1009 + site) for i, p in zip(live, shared.value)]
+                    data = [v.astype(configs[i].grad_dtype).astype("<f4").tobytes() for i, (v, _, _) in zip(live, got)]
+                    yield pa.RecordBatch.from_arrays([pa.array([site] * len(live), pa.int32()), pa.array(live, pa.int32()), pa.array([g[2] for g in got], pa.int32()), pa.array([g[1] for g in got]), pa.array(data, pa.binary())], names=["site_id", "config", "used", "loss", "data"])
+
+        rows = sorted(pool.select("site_id", "vecs").mapInArrow(run, "site_id int, config int, used int, loss double, data binary").collect(), key=lambda r: r["site_id"])
+        shared.unpersist()
+        for i in live:
+            mine, c = [r for r in rows if r["config"] == i], configs[i]
+            w = np.array([float(r["used"]) if c.weighting == "batch" else 1.0 for r in mine])
+            total = sum(np.frombuffer(r["data"], "<f4").astype(float) * x for r, x in zip(mine, w)) / w.sum()
+            out[i].params = total if c.merge == "parameter" else out[i].params - c.lr * total
+            out[i].history.append({"round": n, "loss": float(sum(r["loss"] * x for r, x in zip(mine, w)) / w.sum()), "bits_down": n_sites * spec.n_params * 32, "bits_up": n_sites * spec.n_params * (16 if c.grad_dtype == "float16" else 32)})
+            if n in keep:
+                out[i].snapshots[n] = out[i].params
+    return out
+
+
 def grid_search(pool: DataFrame, spec: EncoderSpec, base: TrainConfig, lams, ts, rounds, scorer, normalizer: Normalizer = Normalizer("none")) -> list[dict]:
-    """A row a cell (lam, t, rounds); one training of the longest length serves all lengths."""
-    out = []
-    for lam in lams:
-        for t in ts:
-            cfg = replace(base, lam=lam, t=t, n_rounds=max(rounds))
-            got = train_encoder(pool, spec, cfg, normalizer, keep=tuple(rounds))
-            for n in rounds:
-                out.append({"lam": lam, "t": t, "n_rounds": n, "loss": got.history[n - 1]["loss"], "score": float(scorer(got.snapshots[n]))})
+    """A row a cell (lam, t, rounds); one training of the longest length serves all lengths.
+
+    scorer: a list of parameters -> a list of scores (all cells at once).
+    """
+    cells = [(lam, t) for lam in lams for t in ts]
+    got = train_many(pool, spec, [replace(base, lam=lam, t=t, n_rounds=max(rounds)) for lam, t in cells], normalizer, tuple(rounds))
+    out = [{"lam": lam, "t": t, "n_rounds": n, "loss": g.history[n - 1]["loss"], "params": g.snapshots[n]} for (lam, t), g in zip(cells, got) for n in rounds]
+    for cell, score in zip(out, scorer([c["params"] for c in out])):
+        cell["score"] = float(score)
     return out
+
+
+def code_purities(df: DataFrame, spec: EncoderSpec, params: list[np.ndarray], normalizer: Normalizer = Normalizer("none")) -> list[float]:
+    """Purity of the codes of each of several encoders against ``truth``: one pass over df(vec, truth) for all of them."""
+    from ..functions.bits import pack_array
+
+    shared = df.sparkSession.sparkContext.broadcast(params)
+    kind = df.schema["truth"].dataType.simpleString()
+
+    def run(batches):
+        for b in batches:
+            x = normalizer.apply(matrix_of(b.column(0)))
+            for i, p in enumerate(shared.value if len(x) else []):
+                codes = pack_array(forward(spec, p, x, "sign") > 0)
+                yield pa.RecordBatch.from_arrays([pa.array(np.full(len(codes), i, np.int32)), pa.array(codes, pa.int64()), b.column(1)], names=["which", "code", "truth"])
+
+    cells = df.select("vec", "truth").mapInArrow(run, f"which int, code long, truth {kind}").groupBy("which", "code", "truth").agg(F.count("*").alias("n"))
+    best = cells.groupBy("which", "code").agg(F.max("n").alias("top"), F.sum("n").alias("n")).groupBy("which").agg((F.sum("top") / F.sum("n")).alias("purity"))
+    found = {r["which"]: r["purity"] for r in best.collect()}
+    return [found.get(i, 0.0) for i in range(len(params))]

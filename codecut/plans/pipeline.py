@@ -11,12 +11,12 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..operators import cost
-from ..operators.encode import encode, merge_degrees, random_hyperplane_params, site_degrees
+from ..operators.encode import encode, encode_and_label, merge_degrees, random_hyperplane_params, site_degrees
 from ..operators.features import Normalizer, fit_normalizer
-from ..operators.graph import cap_codes, nearest_code
+from ..operators.graph import contract_codes, nearest_code
 from ..operators.network import EncoderSpec, conv_encoder, dense_encoder, linear_encoder
 from ..operators.sampling import candidate_pool
-from ..operators.spectral import block_subspace_iteration, code_weights, cut_value, kmeans, ncut_bisect, spectral_labels
+from ..operators.spectral import blocked_bisect, blocked_code_weights, code_weights, cut_value, kmeans, ncut_bisect, spectral_labels
 from ..operators.train import TrainConfig, Trained, train_encoder
 from ..session import checkpoint
 
@@ -29,7 +29,9 @@ class Settings:
     hidden: tuple[int, ...] | None = None
     normalize: str = "zscore_sqrt_dim"
     per_site: int = 512
-    max_codes: int = 4096
+    refresh_every: int = 10  # rounds after which the pools are drawn anew; 0: never
+    max_codes: int = 100_000
+    contract: bool = False  # with more codes than max_codes, merge the rest into their nearest ones; else refuse
     alpha: float = 1.0
     p: float = 1.0
     cut: str = "symmetric"  # random_walk, unnormalized, or bisect
@@ -45,13 +47,27 @@ def spec_for(s: Settings, dim: int) -> EncoderSpec:
 
 
 def cut_codes(spark: SparkSession, codes: np.ndarray, degrees: np.ndarray, bits: int, k: int, cut: str = "symmetric", restarts: int = 20, seed: int = 0, alpha: float = 1.0, p: float = 1.0, dense_up_to: int = 4096) -> tuple[np.ndarray, float]:
-    """(cluster of each code, cut value; nan where the matrix is never made)."""
-    if len(codes) > dense_up_to:
-        e = block_subspace_iteration(spark, codes, degrees, bits, k, seed=seed, alpha=alpha)
-        return kmeans(e, k, seed, restarts)[0], float("nan")
-    w = code_weights(codes, degrees, bits, alpha, p)
-    labels = ncut_bisect(w, k) if cut == "bisect" else spectral_labels(w, k, seed, restarts, cut)
-    return labels, cut_value(w, labels)
+    """(cluster of each code, cut value). Above ``dense_up_to`` codes the matrix is never made; the cuts are the same."""
+    if len(codes) <= dense_up_to:
+        w = code_weights(codes, degrees, bits, alpha, p)
+        labels = ncut_bisect(w, k) if cut == "bisect" else spectral_labels(w, k, seed, restarts, cut)
+        return labels, cut_value(w, labels)
+    part = lambda at: blocked_code_weights(spark, codes[at], degrees[at], bits, alpha, p)
+    w = part(np.arange(len(codes)))
+    labels = blocked_bisect(part, len(codes), k, seed) if cut == "bisect" else kmeans(w.embed(k, cut, seed=seed), k, seed, restarts)[0]
+    return labels, w.cut_value(labels)
+
+
+def graph_vertices(degrees: DataFrame, s: Settings) -> tuple[np.ndarray, np.ndarray]:
+    """Codes and degrees of the graph, by falling degree."""
+    merged = checkpoint(merge_degrees(degrees))
+    n = merged.limit(s.max_codes + 1).count()
+    if n > s.max_codes:
+        if not s.contract:
+            raise ValueError(f"more than {s.max_codes} distinct codes: use fewer bits, raise max_codes, or set contract")
+        merged = contract_codes(merged, s.max_codes, s.bits)
+    rows = merged.orderBy(F.desc("degree"), "code").collect()
+    return np.array([r["code"] for r in rows], np.int64), np.array([r["degree"] for r in rows], float)
 
 
 class CodeGraphClustering(Estimator):
@@ -59,7 +75,8 @@ class CodeGraphClustering(Estimator):
 
     Input rows: ``row_id, site_id, vec``. ``init`` starts from another model's encoder; with
     n_rounds=0 it is used as it is. Memory of the driver: parameters, one gradient
-    a site (or a group of sites), and at most ``max_codes`` codes.
+    a site (or a group of sites), and at most ``max_codes`` codes (more are refused, or merged
+    into their nearest ones where ``contract`` is set).
     """
 
     def __init__(self, settings: Settings, init: "CodeGraphModel | None" = None):
@@ -83,6 +100,7 @@ class CodeGraphClustering(Estimator):
         if trained_here:
             with ledger.timed("pool"):
                 pool = checkpoint(candidate_pool(dataset, s.per_site, s.train.seed))
+                redraw = lambda r: checkpoint(candidate_pool(dataset, s.per_site, s.train.seed + 7919 * r))
         best = None
         for r in range(max(1, s.encoder_restarts) if trained_here else 1):
             seed = s.train.seed + r
@@ -90,14 +108,13 @@ class CodeGraphClustering(Estimator):
                 if s.encoder == "hyperplane" and self.init is None:
                     got = Trained(spec, random_hyperplane_params(spec, seed))
                 elif trained_here:
-                    got = train_encoder(pool, spec, replace(s.train, seed=seed), normalizer, None if self.init is None else self.init.theta)
+                    got = train_encoder(pool, spec, replace(s.train, seed=seed), normalizer, None if self.init is None else self.init.theta, refresh=redraw, refresh_every=s.refresh_every)
                 else:
                     got = Trained(spec, self.init.theta)
             with ledger.timed("encoding"):
                 degrees = checkpoint(site_degrees(encode(dataset.select("site_id", "vec"), spec, got.params, normalizer)))
             with ledger.timed("cut"):
-                top = cap_codes(merge_degrees(degrees), s.max_codes).collect()
-                codes, counts = np.array([x["code"] for x in top], np.int64), np.array([x["degree"] for x in top], float)
+                codes, counts = graph_vertices(degrees, s)
                 labels, value = cut_codes(spark, codes, counts, s.bits, s.k, s.cut, s.kmeans_restarts, seed, s.alpha, s.p)
             if best is None or value < best[0]:
                 best = (value, got, degrees, codes, counts, labels)
@@ -111,6 +128,7 @@ class CodeGraphClustering(Estimator):
             "n_params": spec.n_params,
             "n_rounds": len(got.history),
             "codes_by_site": by_site,
+            "n_codes": merge_degrees(degrees).count(),
             "total_bits": cost.total_bits(n_sites, spec.n_params, len(got.history), by_site, s.bits),
             "label_return_bits": cost.label_return_bits(by_site, s.bits, s.k),
             "cut_value": value,
@@ -133,7 +151,9 @@ class CodeGraphModel(Model):
         return encode(df, self.spec, self.theta, self.normalizer)
 
     def _transform(self, dataset: DataFrame) -> DataFrame:
-        return assign_clusters(self.encode(dataset), self.code_labels(dataset.sparkSession))
+        if self.spec.bits > 64:
+            return assign_clusters(self.encode(dataset), self.code_labels(dataset.sparkSession))
+        return encode_and_label(dataset, self.spec, self.theta, self.normalizer, self.codes, self.degrees, self.labels)
 
     def write(self, path: str, spark: SparkSession) -> None:
         """Two Parquet tables: one row with the encoder, and the labelled codes."""
@@ -155,11 +175,16 @@ class CodeGraphModel(Model):
 
 
 def assign_clusters(encoded: DataFrame, code_labels: DataFrame, broadcast_up_to: int = 1_000_000) -> DataFrame:
-    """encoded with ``cluster``: by its code, and a code without a label by its nearest labelled code."""
+    """encoded with ``cluster``: by its code, and a code without a label by its nearest labelled code.
+
+    The distinct codes are labelled first, so rows meet one table of codes: broadcast where it is
+    counted to be small, by key (counts combined, skew split) beyond.
+    """
+    encoded = checkpoint(encoded)
     known = code_labels.select("code", "cluster")
+    unseen = checkpoint(encoded.select("code").distinct().join(known, "code", "left_anti"))
+    if not unseen.isEmpty():
+        near = nearest_code(unseen, code_labels).join(known.withColumnRenamed("code", "near"), "near").select("code", "cluster")
+        known = checkpoint(known.union(near))
     small = known.limit(broadcast_up_to + 1).count() <= broadcast_up_to
-    joined = encoded.join(F.broadcast(known) if small else known, "code", "left")
-    unseen = encoded.select("code").distinct().join(known, "code", "left_anti")
-    near = nearest_code(unseen, code_labels).join(known.withColumnRenamed("code", "near"), "near").select("code", F.col("cluster").alias("near_cluster"))
-    out = joined.join(near, "code", "left")
-    return out.select(*encoded.columns, F.coalesce("cluster", "near_cluster").alias("cluster"))
+    return encoded.join(F.broadcast(known) if small else known, "code", "left").select(*encoded.columns, "cluster")

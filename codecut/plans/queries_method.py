@@ -738,7 +738,9 @@ def feature_html(spark, d):
 @query("SELECT CAST(user_id AS BIGINT) AS row_id, event_type, count(*) AS n, round(avg(value), 7) AS mean FROM events GROUP BY ALL")
 def feature_user_profile(spark, d):
     e = read_table(spark, d, "events", "user_id", "event_type", "value")
-    kinds = [r[0] for r in e.select("event_type").distinct().orderBy("event_type").limit(64).collect()]
+    kinds = [r[0] for r in e.select("event_type").distinct().orderBy("event_type").limit(4097).collect()]
+    if len(kinds) > 4096:
+        raise ValueError("profiles have a place for each event type; more than 4096 are too many")
     p = profile(e, "user_id", "event_type", "value", kinds)
     each = p.select("row_id", F.explode(F.array(*[F.struct(F.lit(k).alias("event_type"), F.get("vec", 3 * i).cast("long").alias("n"), F.round(F.get("vec", 3 * i + 1), 7).alias("mean")) for i, k in enumerate(kinds)])).alias("x"))
     return each.select("row_id", "x.*").where("n > 0")

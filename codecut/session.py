@@ -24,11 +24,13 @@ def shared_dir(spark: SparkSession) -> str:
     """The folder that driver and executors share.
 
     It is the checkpoint folder of the session. Only where none is set, as in
-    tests on one machine, a temporary folder is made and set.
+    tests on one machine (a local master), a temporary folder is made and set.
     """
     sc = spark.sparkContext
     named = sc.getCheckpointDir() or sc.getConf().get("spark.checkpoint.dir")
     if not named:
+        if not sc.master.startswith("local") or sc.master.startswith("local-cluster"):
+            raise ValueError("set spark.checkpoint.dir to a folder that the driver and all executors share")
         named = tempfile.mkdtemp(prefix="codecut-")
         sc.setCheckpointDir(named)
         named = sc.getCheckpointDir()

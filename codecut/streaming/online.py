@@ -10,10 +10,9 @@ from pyspark.sql import functions as F
 
 from ..operators.encode import encode, merge_degrees, site_degrees
 from ..operators.features import Normalizer
-from ..operators.graph import cap_codes
 from ..operators.network import EncoderSpec, init_params
 from ..operators.train import TrainConfig, train_round
-from ..plans.pipeline import CodeGraphModel, Settings, cut_codes
+from ..plans.pipeline import CodeGraphModel, Settings, cut_codes, graph_vertices
 from ..session import shared_dir
 
 
@@ -72,8 +71,7 @@ class OnlineCodeGraph:
         self.spark.createDataFrame([(json.dumps([float(x) for x in self.params]), loss)], "params string, loss double").coalesce(1).write.mode("overwrite").json(self._at("step", version))
 
     def cut(self) -> None:
-        top = cap_codes(merge_degrees(self.spark.read.parquet(self._at("degrees", self.version))), self.s.max_codes).collect()
-        codes, degrees = np.array([r["code"] for r in top], np.int64), np.array([r["degree"] for r in top], float)
+        codes, degrees = graph_vertices(self.spark.read.parquet(self._at("degrees", self.version)), self.s)
         labels, value = cut_codes(self.spark, codes, degrees, self.s.bits, self.s.k, restarts=5)
         self.labels = (codes, degrees, labels, value)
 

@@ -10,6 +10,7 @@ from codecut.functions.bits import pack_array, unpack_array
 from codecut.operators import baselines as B
 from codecut.operators import cost as C
 from codecut.operators import metrics as M
+from codecut.operators.encode import encode
 from codecut.operators.features import Normalizer, fit_normalizer, matrix_of, normalize, planted_vectors
 from codecut.operators.graph import cut_value as cut_frame
 from codecut.operators.graph import edge_weights, hamming_join, nearest_code
@@ -260,8 +261,11 @@ def test_pipeline_recovers_planted_classes(spark, orders, tmp_path):
     assert same.isEmpty()
     again = CodeGraphClustering(Settings(5, 64, train=TrainConfig(n_rounds=0)), init=back).fit(orders)
     assert np.array_equal(again.theta, model.theta) and again.costs["n_rounds"] == 0
-    capped = CodeGraphClustering(Settings(5, 64, max_codes=40, train=TrainConfig(n_rounds=0)), init=back).fit(orders)
+    capped = CodeGraphClustering(Settings(5, 64, max_codes=40, contract=True, train=TrainConfig(n_rounds=0)), init=back).fit(orders)
     assert capped.transform(orders).where("cluster is null").isEmpty() and len(capped.codes) == 40
+    assert capped.degrees.sum() == orders.count() and capped.costs["n_codes"] == model.costs["n_codes"] > 40
+    with pytest.raises(ValueError, match="distinct codes"):
+        CodeGraphClustering(Settings(5, 64, max_codes=40, train=TrainConfig(n_rounds=0)), init=back).fit(orders)
     plain = CodeGraphClustering(Settings(5, 64, encoder="hyperplane")).fit(orders)
     assert plain.history == [] and plain.transform(orders).count() == orders.count()
 
@@ -273,6 +277,8 @@ def test_plans(spark, orders):
     assert "Exchange" not in plan
     plan = assign_clusters(model.encode(orders), model.code_labels(spark))._jdf.queryExecution().executedPlan().toString()
     assert "BroadcastHashJoin" in plan
+    plan = model.transform(orders)._jdf.queryExecution().executedPlan().toString()
+    assert plan.count("MapInArrow") == 1 and "Exchange" not in plan and "Join" not in plan
     assert site_profile(orders).agg(F.sum("n_rows")).first()[0] == orders.count()
 
 
@@ -319,3 +325,94 @@ def test_hashed_density_peaks_large_bucket(spark):
     rows = B._split_buckets(B.lsh_buckets(df, 1, 1, 1e6, 3), 20)
     near = (np.linalg.norm(x[:, None] - x[None], axis=2) <= 1.5).sum(1) - 1
     assert {r["row_id"]: r["rho"] for r in B.bucket_densities(rows, 1.5).collect()} == dict(enumerate(near))
+
+
+def _few_codes(n=90, bits=12):
+    rng = np.random.default_rng(4)
+    centers = rng.integers(0, 1 << bits, 3)
+    codes = np.unique([int(c) ^ (1 << int(a)) ^ (1 << int(b)) for c in centers for a, b in rng.integers(0, bits, (n, 2))])
+    return codes.astype(np.int64), rng.integers(1, 9, len(codes)).astype(float)
+
+
+@pytest.mark.parametrize("cut", ["symmetric", "random_walk", "unnormalized", "bisect"])
+def test_cuts_without_the_matrix(spark, cut):
+    """On both sides of the bound on dense matrices the same cut is made, with alpha and p heeded."""
+    from codecut.plans.pipeline import cut_codes
+
+    codes, degrees = _few_codes()
+    for alpha, p in ((1.0, 1.0), (0.5, 3.0)):
+        dense, value = cut_codes(spark, codes, degrees, 12, 3, cut, alpha=alpha, p=p)
+        free, other = cut_codes(spark, codes, degrees, 12, 3, cut, alpha=alpha, p=p, dense_up_to=10)
+        assert other == pytest.approx(value, rel=0.05), (alpha, p)
+        same = (dense[:, None] == dense[None, :]) == (free[:, None] == free[None, :])
+        assert same.mean() > 0.9
+
+
+def test_blocked_weights_equal_the_matrix(spark):
+    from codecut.operators.spectral import blocked_code_weights, code_weights
+    from codecut.operators.spectral import cut_value as dense_cut
+
+    codes, degrees = _few_codes()
+    w = code_weights(codes, degrees, 12, 0.5, 2.0)
+    b = blocked_code_weights(spark, codes, degrees, 12, 0.5, 2.0, block=17)
+    x = np.random.default_rng(0).normal(size=(len(codes), 3))
+    assert np.allclose(b.times(x), w @ x) and np.allclose(b.strengths(), w.sum(1))
+    labels = codes % 4
+    assert b.cut_value(labels) == pytest.approx(dense_cut(w, labels))
+    rank = np.random.default_rng(1).permutation(len(codes))
+    assert np.allclose(b.to_earlier(rank), (w * (rank[None, :] < rank[:, None])).sum(1))
+
+
+def test_nearest_code_on_both_sides_of_its_bound(spark):
+    from codecut.operators.encode import nearest_labels
+    from codecut.operators.graph import contract_codes, nearest_code
+
+    rng = np.random.default_rng(8)
+    v = [(int(c), int(d)) for c, d in zip(np.unique(rng.integers(0, 1 << 20, 60)), rng.integers(1, 4, 60))]
+    q = [(int(c),) for c in np.unique(rng.integers(0, 1 << 20, 80))]
+    vertices, codes = spark.createDataFrame(v, "code long, degree long"), spark.createDataFrame(q, "code long")
+    want = {c: min((bin(c ^ x).count("1"), -d, x) for x, d in v) for (c,) in q}
+    for most in (1000, 10):
+        got = {r["code"]: (r["distance"], r["near"]) for r in nearest_code(codes, vertices, most, 20).collect()}
+        assert got == {c: (w[0], w[2]) for c, w in want.items()}
+    known, degrees = (np.array(x) for x in zip(*v))
+    assert nearest_labels(np.array([c for c, in q]), known, degrees, known).tolist() == [want[c][2] for c, in q]
+    merged = contract_codes(vertices, 7, 20)
+    assert merged.count() == 7 and merged.agg(F.sum("degree")).first()[0] == sum(d for _, d in v)
+
+
+def test_pools_are_drawn_anew(spark, vectors):
+    spec, drawn = linear_encoder(64, 8), []
+    redraw = lambda r: drawn.append(r) or checkpoint(candidate_pool(vectors, 20, r))
+    got = train_encoder(candidate_pool(vectors, 20), spec, TrainConfig(n_rounds=7, batch=8), refresh=redraw, refresh_every=3)
+    assert drawn == [4, 7] and len(got.history) == 7
+    seen = {tuple(v) for s in (0, 4, 7) for r in candidate_pool(vectors, 20, s).collect() for v in r["vecs"]}
+    assert len(seen) > 2 * 5 * 20
+
+
+def test_many_trainings_at_once_equal_single_ones(spark, vectors):
+    from codecut.operators.train import code_purities, grid_search, train_many
+
+    spec, pool = linear_encoder(64, 8), checkpoint(candidate_pool(vectors, 40))
+    configs = [TrainConfig(n_rounds=n, batch=8, lam=x) for n, x in ((3, 1.0), (5, 5.0))]
+    for c, many in zip(configs, train_many(pool, spec, configs, keep=(2,))):
+        one = train_encoder(pool, spec, c, keep=(2,))
+        assert np.allclose(one.params, many.params) and np.allclose(one.snapshots[2], many.snapshots[2])
+        assert [h["loss"] for h in one.history] == pytest.approx([h["loss"] for h in many.history])
+    cells = grid_search(pool, spec, TrainConfig(batch=8), (1.0, 5.0), (0.5, 5.0), (2, 4), lambda ps: code_purities(vectors, spec, ps))
+    assert len(cells) == 8
+    for c in cells[::3]:
+        coded = encode(vectors, spec, c["params"])
+        assert c["score"] == pytest.approx(float(M.purity(coded, "code").first()[0]))
+
+
+def test_no_machine_local_folder_on_a_cluster():
+    from types import SimpleNamespace
+
+    from codecut.session import shared_dir
+
+    conf = SimpleNamespace(get=lambda k: None)
+    for master in ("spark://host:7077", "local-cluster[2,1,1024]", "yarn"):
+        sc = SimpleNamespace(getCheckpointDir=lambda: None, getConf=lambda: conf, master=master)
+        with pytest.raises(ValueError, match="spark.checkpoint.dir"):
+            shared_dir(SimpleNamespace(sparkContext=sc))
