@@ -38,14 +38,19 @@ def diverse_batch(codes: np.ndarray, size: int, seed: int) -> np.ndarray:
             return np.array(chosen)
         free = np.array([len(m) > 0 for m in members])
         low = used[free].min()
-        score = (len(chosen) * bits - signs @ sums) / 2
+        score = code_scores(signs, sums, len(chosen))
         score[~free | (used > low)] = -np.inf
         best = np.flatnonzero(score == score.max())
         chosen.append(int(members[int(rng.choice(best))].pop()))
 
 
-def candidate_pool(df: DataFrame, per_site: int, seed: int = 0, key: str = "row_id", vec: str = "vec") -> DataFrame:
-    """One row a site: ``site_id, n, vecs``, at most per_site vectors, those with the smallest hash of their key.
+def code_scores(kinds: np.ndarray, sums: np.ndarray, chosen: int) -> np.ndarray:
+    """Each code's sum of differing bits to the chosen rows, from the sums of their signs alone."""
+    return (chosen * kinds.shape[1] - kinds @ sums) / 2
+
+
+def bottom_rows(df: DataFrame, per_site: int, seed: int = 0, key: str = "row_id", vec: str = "vec") -> DataFrame:
+    """``site_id, r, key, vec``: at most per_site rows a site, those with the smallest hash of their key, r from 1.
 
     The bottom-k by hash is a uniform sample that does not depend on partitions. A
     threshold on the hash, from the counts of sites, cuts the input before anything is sorted or shuffled.
@@ -55,6 +60,11 @@ def candidate_pool(df: DataFrame, per_site: int, seed: int = 0, key: str = "row_
     slim = df.select("site_id", F.col(vec).alias("vec"), h.alias("h"), F.col(key).alias("key"))
     limit = F.least(F.lit(1.0), (F.lit(2.0 * per_site) + 64) / F.col("v")) * float(1 << 40)
     rows = slim.join(counts, "site_id").where(F.col("h") < limit)
-    ranked = rows.withColumn("r", F.row_number().over(Window.partitionBy("site_id").orderBy("h", "key"))).where(F.col("r") <= per_site)
-    packed = ranked.groupBy("site_id").agg(F.array_sort(F.collect_list(F.struct("r", "vec"))).alias("s"))
+    ranked = rows.withColumn("r", F.row_number().over(Window.partitionBy("site_id").orderBy("h", "key")))
+    return ranked.where(F.col("r") <= per_site).select("site_id", "r", "key", "vec")
+
+
+def candidate_pool(df: DataFrame, per_site: int, seed: int = 0, key: str = "row_id", vec: str = "vec") -> DataFrame:
+    """One row a site: ``site_id, n, vecs``, its bottom rows in their order."""
+    packed = bottom_rows(df, per_site, seed, key, vec).groupBy("site_id").agg(F.array_sort(F.collect_list(F.struct("r", "vec"))).alias("s"))
     return packed.select("site_id", F.size("s").alias("n"), F.col("s.vec").alias("vecs"))

@@ -136,30 +136,37 @@ def history_frame(spark: SparkSession, history: list[dict]) -> DataFrame:
 
 
 def train_many(pool: DataFrame, spec: EncoderSpec, configs: list[TrainConfig], normalizer: Normalizer = Normalizer("none"), keep: tuple[int, ...] = ()) -> list[Trained]:
-    """As train_encoder for each of the configs (gradients averaged), but a round of all of them is one job."""
-    spark, n_sites = pool.sparkSession, pool.count()
+    """As train_encoder for each of the configs, but a round of all of them is one job.
+
+    A pool with a column ``config`` has sites of its own for each of them.
+    """
+    spark, own = pool.sparkSession, "config" in pool.columns
+    sizes = {r["config"]: r["n"] for r in pool.groupBy("config").agg(F.count("*").alias("n")).collect()} if own else dict.fromkeys(range(len(configs)), pool.count())
+    n_sites = sum(sizes.values())
+    table = pool.select("site_id", "vecs", "config") if own else pool.select("site_id", "vecs")
     out = [Trained(spec, init_params(spec, c.seed)) for c in configs]
     for n in range(1, max(c.n_rounds for c in configs) + 1 if n_sites else 1):
-        live = [i for i, c in enumerate(configs) if n <= c.n_rounds]
-        shared = spark.sparkContext.broadcast([out[i].params for i in live])
+        live = [i for i, c in enumerate(configs) if n <= c.n_rounds and sizes.get(i)]
+        shared = spark.sparkContext.broadcast({i: out[i].params for i in live})
 
         def run(batches, live=live, shared=shared, n=n):
             for batch in batches:
                 for r in range(batch.num_rows):
                     site = batch.column(0)[r].as_py()
                     x = normalizer.apply(matrix_of(batch.column(1)[r].values))
-                    got = [site_step(spec, p, x, configs[i], configs[i].seed * 1_000_003 + n * 1009 + site) for i, p in zip(live, shared.value)]
-                    data = [v.astype(configs[i].grad_dtype).astype("<f4").tobytes() for i, (v, _, _) in zip(live, got)]
-                    yield pa.RecordBatch.from_arrays([pa.array([site] * len(live), pa.int32()), pa.array(live, pa.int32()), pa.array([g[2] for g in got], pa.int32()), pa.array([g[1] for g in got]), pa.array(data, pa.binary())], names=["site_id", "config", "used", "loss", "data"])
+                    mine = [i for i in live if not own or i == batch.column(2)[r].as_py()]
+                    got = [site_step(spec, shared.value[i], x, configs[i], configs[i].seed * 1_000_003 + n * 1009 + site) for i in mine]
+                    data = [v.astype(configs[i].grad_dtype).astype("<f4").tobytes() for i, (v, _, _) in zip(mine, got)]
+                    yield pa.RecordBatch.from_arrays([pa.array([site] * len(mine), pa.int32()), pa.array(mine, pa.int32()), pa.array([g[2] for g in got], pa.int32()), pa.array([g[1] for g in got]), pa.array(data, pa.binary())], names=["site_id", "config", "used", "loss", "data"])
 
-        rows = sorted(pool.select("site_id", "vecs").mapInArrow(run, "site_id int, config int, used int, loss double, data binary").collect(), key=lambda r: r["site_id"])
+        rows = sorted(table.mapInArrow(run, "site_id int, config int, used int, loss double, data binary").collect(), key=lambda r: r["site_id"])
         shared.unpersist()
         for i in live:
             mine, c = [r for r in rows if r["config"] == i], configs[i]
             w = np.array([float(r["used"]) if c.weighting == "batch" else 1.0 for r in mine])
             total = sum(np.frombuffer(r["data"], "<f4").astype(float) * x for r, x in zip(mine, w)) / w.sum()
             out[i].params = total if c.merge == "parameter" else out[i].params - c.lr * total
-            out[i].history.append({"round": n, "loss": float(sum(r["loss"] * x for r, x in zip(mine, w)) / w.sum()), "bits_down": n_sites * spec.n_params * 32, "bits_up": n_sites * spec.n_params * (16 if c.grad_dtype == "float16" else 32)})
+            out[i].history.append({"round": n, "loss": float(sum(r["loss"] * x for r, x in zip(mine, w)) / w.sum()), "bits_down": sizes[i] * spec.n_params * 32, "bits_up": sizes[i] * spec.n_params * (16 if c.grad_dtype == "float16" else 32)})
             if n in keep:
                 out[i].snapshots[n] = out[i].params
     return out

@@ -16,16 +16,17 @@ from ..operators import baselines as B
 from ..operators import cost as C
 from ..operators import metrics as M
 from ..operators.encode import code_usage as usage
-from ..operators.encode import encode_fixed, fixed_weight, merge_degrees
+from ..operators.encode import encode, encode_fixed, merge_degrees
 from ..operators.encode import site_degrees as degrees_by_site
-from ..operators.features import char_ngram_vectors, html_features, planted_vectors, profile, text_shape
+from ..operators.features import Normalizer, char_ngram_vectors, fit_normalizer, html_features, normalize, planted_vectors, profile, text_shape
 from ..operators.graph import cap_codes, canonical_labels, cut_value, graph_components, hamming_join, knn_codes
 from ..operators.graph import edge_weights as weights
 from ..operators.graph import nearest_code as nearest
 from ..operators.graph import vertex_strength as strength
-from ..operators.network import conv_encoder, dense_encoder, linear_encoder
+from ..operators.loss import loss_gradient, pair_loss
+from ..operators.network import conv_encoder, dense_encoder, forward, linear_encoder
 from ..operators.sampling import candidate_pool
-from ..operators.sites import assign_sites
+from ..operators.sites import assign_sites, check_vectors
 from ..operators.sites import site_profile as sites_of
 from ..operators.train import TrainConfig, history_frame
 from ..session import checkpoint, read_table
@@ -72,7 +73,8 @@ BOTH_SQL = ", w AS (SELECT src, dst, weight FROM e UNION ALL SELECT dst, src, we
 
 @query(f"SELECT CAST(vec_id AS BIGINT) AS row_id, CAST(vec_id % {SITES} AS INTEGER) AS site_id FROM embeddings")
 def site_assign_mod(spark, d):
-    return vectors(spark, d).select("row_id", "site_id")
+    u = (F.pmod(F.col("row_id"), F.lit(SITES)) + 0.5) / float(SITES)
+    return assign_sites(vectors(spark, d).drop("site_id"), "row_id", weights=[1.0] * SITES, uniform=u).select("row_id", "site_id")
 
 
 @query(f"SELECT CAST(vec_id % {SITES} AS INTEGER) AS site_id, count(*) AS n_rows, CAST(sum(4 * len(embedding)) AS BIGINT) AS vector_bytes FROM embeddings GROUP BY 1")
@@ -93,35 +95,49 @@ def site_by_column(spark, d):
     return assign_sites(docs, by="source").groupBy("site_id", "source").agg(F.count("*").alias("n_rows"))
 
 
-@query(f"WITH {L_SQL} SELECT CAST(i AS INTEGER) AS i, CAST(sum(x) AS BIGINT) AS s, CAST(sum(x * x) AS BIGINT) AS ss, min(x) AS lo, max(x) AS hi FROM l GROUP BY i")
+def _as_vec(spark, d) -> DataFrame:
+    return quantised(spark, d).select("row_id", F.col("q").cast("array<double>").alias("vec"))
+
+
+@query(f"WITH {L_SQL} SELECT CAST(i AS INTEGER) AS i, round(avg(x), 6) AS mean, round(stddev_pop(x), 6) AS sd, CAST(min(x) AS DOUBLE) AS low, CAST(max(x) AS DOUBLE) AS high FROM l GROUP BY i")
 def vec_stats(spark, d):
-    return quantised(spark, d).select(F.posexplode("q").alias("i", "x")).groupBy("i").agg(F.sum("x").alias("s"), F.sum(F.col("x") * F.col("x")).alias("ss"), F.min("x").alias("lo"), F.max("x").alias("hi"))
+    n = fit_normalizer(_as_vec(spark, d), "zscore")
+    return spark.createDataFrame([(i, round(m, 6), round(x, 6), lo, hi) for i, (m, x, lo, hi) in enumerate(zip(n.mean, n.sd, n.low, n.high))], "i int, mean double, sd double, low double, high double")
+
 
+def _normalized(spark, d, kind: str) -> DataFrame:
+    v = _as_vec(spark, d)
+    return normalize(v, fit_normalizer(v, kind)).select("row_id", F.posexplode("vec").alias("i", "x")).select("row_id", "i", F.round("x", 6).alias("x"))
 
-@query(f"WITH {L_SQL} SELECT row_id, round(sqrt(CAST(sum(x * x) AS DOUBLE)) / 4096, 6) AS norm FROM l GROUP BY row_id")
+
+@query(f"WITH {L_SQL} SELECT row_id, CAST(i AS INTEGER) AS i, round(x / sqrt(CAST(sum(x * x) OVER (PARTITION BY row_id) AS DOUBLE)), 6) AS x FROM l")
 def vec_l2norm(spark, d):
-    return quantised(spark, d).select("row_id", F.round(F.sqrt(V.int_dot(F.col("q"), F.col("q")).cast("double")) / 4096, 6).alias("norm"))
+    return _normalized(spark, d, "l2")
 
 
 _STATS = ", m AS (SELECT i, CAST(sum(x) AS DOUBLE) / count(*) AS mean, CAST(sum(x * x) AS DOUBLE) / count(*) AS sq, min(x) AS lo, max(x) AS hi FROM l GROUP BY i)"
 
 
-@query(f"WITH {L_SQL}{_STATS} SELECT row_id, CAST(i AS INTEGER) AS i, round((x - mean) / sqrt(sq - mean * mean), 6) AS z FROM l JOIN m USING (i)")
+@query(f"WITH {L_SQL}{_STATS} SELECT row_id, CAST(i AS INTEGER) AS i, round((x - mean) / sqrt(sq - mean * mean), 6) AS x FROM l JOIN m USING (i)")
 def vec_zscore(spark, d):
-    x, m = _exploded_stats(spark, d)
-    return x.join(F.broadcast(m), "i").select("row_id", "i", F.round((F.col("x") - F.col("mean")) / F.sqrt(F.col("sq") - F.col("mean") * F.col("mean")), 6).alias("z"))
+    return _normalized(spark, d, "zscore")
+
+
+@query(f"WITH {L_SQL}{_STATS} SELECT row_id, CAST(i AS INTEGER) AS i, round((x - mean) / sqrt(sq - mean * mean) / 8, 6) AS x FROM l JOIN m USING (i)")
+def vec_zscore_sqrt_dim(spark, d):
+    return _normalized(spark, d, "zscore_sqrt_dim")
 
 
-@query(f"WITH {L_SQL}{_STATS} SELECT row_id, CAST(i AS INTEGER) AS i, round(CAST(x - lo AS DOUBLE) / (hi - lo), 6) AS u FROM l JOIN m USING (i)")
+@query(f"WITH {L_SQL}{_STATS} SELECT row_id, CAST(i AS INTEGER) AS i, round(CAST(x - lo AS DOUBLE) / (hi - lo), 6) AS x FROM l JOIN m USING (i)")
 def vec_minmax(spark, d):
-    x, m = _exploded_stats(spark, d)
-    return x.join(F.broadcast(m), "i").select("row_id", "i", F.round((F.col("x") - F.col("lo")) / (F.col("hi") - F.col("lo")), 6).alias("u"))
+    return _normalized(spark, d, "minmax")
 
 
-def _exploded_stats(spark, d):
-    x = quantised(spark, d).select("row_id", F.posexplode("q").alias("i", "x"))
-    m = x.groupBy("i").agg((F.sum("x").cast("double") / F.count("*")).alias("mean"), (F.sum(F.col("x") * F.col("x")).cast("double") / F.count("*")).alias("sq"), F.min("x").alias("lo"), F.max("x").alias("hi"))
-    return x, m  # one row a dimension
+@query("SELECT CAST(vec_id AS BIGINT) AS row_id, len(embedding) <> 64 OR list_bool_or(list_transform(embedding, lambda x: x IS NULL OR isnan(x))) OR vec_id % 7 = 0 AS bad FROM embeddings")
+def checked_vectors(spark, d):
+    """Every seventh vector is cut short, and has to be found."""
+    v = vectors(spark, d).withColumn("vec", F.when(F.col("row_id") % 7 == 0, F.slice("vec", 1, 5)).otherwise(F.col("vec")))
+    return check_vectors(v, DIM, "quarantine").select("row_id", "bad")
 
 
 @query(f"WITH {L_SQL} SELECT row_id, CAST(i AS INTEGER) AS i, x AS q FROM l")
@@ -164,6 +180,19 @@ def fixed_codes_64(spark, d):
     return coded(spark, d, 64).select("row_id", "site_id", "code")
 
 
+def _linear_map(bits: int) -> np.ndarray:
+    """The closed-form integer directions as parameters of a linear encoder."""
+    b, i = np.meshgrid(np.arange(bits), np.arange(DIM))
+    return np.concatenate([(((i + 1) * (b * b + 3 * b + 7) + i * i * (b + 5)) % 23 - 11).astype(float).ravel(), np.zeros(bits)])
+
+
+@query(f"WITH {code_sql(64)} SELECT row_id, site_id, code FROM c")
+def encoder_codes(spark, d):
+    """Codes by the numpy encoder in the scan's stage."""
+    v = quantised(spark, d).select("row_id", "site_id", F.col("q").cast("array<double>").alias("vec"))
+    return encode(v, linear_encoder(DIM, 64), _linear_map(64))
+
+
 @query(f"WITH {code_sql(16)} SELECT row_id, code, code AS packed, CAST(bit_count(code) AS INTEGER) AS ones FROM c")
 def pack_unpack(spark, d):
     bits = coded(spark, d, 16).select("row_id", "code", unpack_bits(F.col("code"), 16).alias("bits"))
@@ -240,53 +269,73 @@ def hyperplane_codes(spark, d):
 # training
 
 
-def _loss_pairs(spark, d):
-    p = _consecutive(coded(spark, d, 16).join(quantised(spark, d).select("row_id", "q"), "row_id"), "code", "q")
-    diff = F.zip_with("q", "next_q", lambda a, b: a - b)
-    return p.withColumn("dist", F.sqrt(V.int_dot(diff, diff).cast("double")) / 4096)
+def _batch_losses(spark, d, lam: float, t: float, head: str, pairing: str = "all", size: int = 16) -> DataFrame:
+    """Loss of each site's first rows as one batch."""
+    import pandas as pd
 
+    spec, theta = linear_encoder(DIM, 8), _linear_map(8)
 
-_LOSS = f"WITH {code_sql(16)}, cq AS (SELECT c.row_id, c.site_id, c.code, q.v FROM c JOIN q USING (row_id)), p AS (SELECT row_id, code, v, lead(row_id) OVER w AS other, lead(code) OVER w AS next, lead(v) OVER w AS u FROM cq WINDOW w AS (PARTITION BY site_id ORDER BY row_id)), x AS (SELECT row_id, other, code, next, v, u, sqrt(CAST(list_sum(list_transform(list_zip(v, u), lambda z: (z[1] - z[2]) * (z[1] - z[2]))) AS DOUBLE)) / 4096 AS dist FROM p WHERE other IS NOT NULL) "
+    def run(key, frame):
+        q = np.stack(frame.sort_values("row_id")["q"].head(size).to_numpy()).astype(float)
+        codes = forward(spec, theta / 65536, q, head)
+        value = pair_loss(q / 4096, codes, lam, t, pairing)
+        slope, (again, n) = loss_gradient(q / 4096, codes, lam, t, pairing)
+        assert abs(value - again) < 1e-9
+        return pd.DataFrame({"site_id": [int(key[0])], "n_pairs": [n], "loss": [round(value, 5)]})
 
+    return quantised(spark, d).groupBy("site_id").applyInPandas(run, "site_id int, n_pairs long, loss double")
+
+
+def _loss_sql(code: str, lam: float, t: str, pairs: str = "a.r < b.r") -> str:
+    return (
+        f"WITH {L_SQL}, r AS (SELECT row_id, site_id, v, row_number() OVER (PARTITION BY site_id ORDER BY row_id) AS r FROM q QUALIFY r <= 16),"
+        f" s AS (SELECT row_id, b, {code} AS h FROM l JOIN r USING (row_id), range(0, 8) AS t(b) GROUP BY row_id, b),"
+        " k AS (SELECT row_id, list(h ORDER BY b) AS h FROM s GROUP BY 1), x AS (SELECT r.*, k.h FROM r JOIN k USING (row_id)),"
+        " p AS (SELECT a.site_id, sqrt(CAST(list_sum(list_transform(list_zip(a.v, b.v), lambda z: (z[1] - z[2]) * (z[1] - z[2]))) AS DOUBLE)) / 4096 AS d,"
+        f" list_sum(list_transform(list_zip(a.h, b.h), lambda z: abs(z[1] - z[2]))) AS l1 FROM x a JOIN x b ON a.site_id = b.site_id AND {pairs})"
+        f" SELECT site_id, count(*) AS n_pairs, round(avg(abs({lam} * d - l1) * {t}), 5) AS loss FROM p GROUP BY site_id"
+    )
 
-@query(_LOSS + "SELECT row_id, other, round(abs(5 * dist - 2 * bit_count(xor(code, next))) * exp(-dist / 5), 6) AS loss FROM x")
-def pair_loss_hard(spark, d):
-    want, got = 5 * F.col("dist"), code_l1(F.col("code"), F.col("next_code"))
-    return _loss_pairs(spark, d).select("row_id", "other", F.round(F.abs(want - got) * F.exp(-F.col("dist") / 5), 6).alias("loss"))
 
+_DOT = "CAST(sum(x * ((((i + 1) * (b * b + 3 * b + 7) + i * i * (b + 5)) % 23) - 11)) AS DOUBLE)"
 
-def _head(q, bit: int):
-    places = F.sequence(F.lit(0).cast("long"), F.lit(DIM - 1).cast("long"))
-    w = F.transform(places, lambda i: fixed_weight(bit, i))
-    return F.tanh(V.int_dot(q, w) / 65536.0)
+
+@query(_loss_sql(f"CASE WHEN {_DOT} >= 0 THEN 1.0 ELSE -1.0 END", 5, "exp(-d / 5)"))
+def pair_loss_hard(spark, d):
+    return _batch_losses(spark, d, 5.0, 5.0, "sign")
 
 
-@query(
-    f"WITH {L_SQL}, s AS (SELECT row_id, site_id, b, tanh(CAST(sum(x * ((((i + 1) * (b * b + 3 * b + 7) + i * i * (b + 5)) % 23) - 11)) AS DOUBLE) / 65536) AS h FROM l, range(0, 8) AS t(b) GROUP BY ALL),"
-    " p AS (SELECT row_id, b, h, lead(row_id) OVER w AS other, lead(h) OVER w AS g FROM s WINDOW w AS (PARTITION BY site_id, b ORDER BY row_id)),"
-    " y AS (SELECT row_id, other, sum(abs(h - g)) AS l1 FROM p WHERE other IS NOT NULL GROUP BY ALL)," + _PAIR[1:].replace(" p AS", " pq AS") + ","
-    " x AS (SELECT row_id, sqrt(CAST(list_sum(list_transform(list_zip(v, u), lambda z: (z[1] - z[2]) * (z[1] - z[2]))) AS DOUBLE)) / 4096 AS dist FROM pq WHERE other IS NOT NULL)"
-    " SELECT y.row_id, y.other, round(abs(5 * dist - l1) * exp(-dist / 5), 5) AS loss FROM y JOIN x USING (row_id)"
-)
+@query(_loss_sql(f"tanh({_DOT} / 65536)", 5, "exp(-d / 5)"))
 def pair_loss_surrogate(spark, d):
-    h = quantised(spark, d).withColumn("h", F.array(*[_head(F.col("q"), b) for b in range(8)]))
-    p = _consecutive(h, "h", "q")
-    diff = F.zip_with("q", "next_q", lambda a, b: a - b)
-    dist = F.sqrt(V.int_dot(diff, diff).cast("double")) / 4096
-    return p.select("row_id", "other", F.round(F.abs(5 * dist - V.l1(F.col("h"), F.col("next_h"))) * F.exp(-dist / 5), 5).alias("loss"))
+    return _batch_losses(spark, d, 5.0, 5.0, "tanh")
+
+
+@query(_loss_sql(f"tanh({_DOT} / 65536)", 2, "1.0"))
+def pair_loss_unweighted(spark, d):
+    """t without bound: all pairs weigh alike."""
+    return _batch_losses(spark, d, 2.0, float("inf"), "tanh")
+
+
+@query(_loss_sql(f"tanh({_DOT} / 65536)", 5, "exp(-d / 5)", "b.r = a.r + 1 AND a.r % 2 = 1"))
+def pair_loss_consecutive(spark, d):
+    return _batch_losses(spark, d, 5.0, 5.0, "tanh", "consecutive")
 
 
 @query(f"WITH {code_sql(16)}, b AS (SELECT site_id, code FROM c QUALIFY row_number() OVER (PARTITION BY site_id ORDER BY row_id) <= 8), k AS (SELECT DISTINCT site_id, code FROM c) SELECT k.site_id, k.code, CAST(sum(bit_count(xor(k.code, b.code))) AS BIGINT) AS score FROM k JOIN b USING (site_id) GROUP BY ALL")
 def diverse_scores(spark, d):
-    """Each code's sum of differing bits to the first batch of its site, from the batch's counts of set bits alone."""
-    c = coded(spark, d, 16)
-    first = c.withColumn("r", F.row_number().over(Window.partitionBy("site_id").orderBy("row_id"))).where("r <= 8")
-    bits = lambda df: df.select("site_id", F.posexplode(unpack_bits(F.col("code"), 16)).alias("bit", "one"))
-    ones = bits(first).groupBy("site_id", "bit").agg(F.sum("one").alias("ones"), F.count("*").alias("n"))
-    counts = ones.groupBy("site_id").agg(F.transform(F.array_sort(F.collect_list(F.struct("bit", "ones"))), lambda x: x["ones"]).alias("ones"), F.max("n").alias("n"))
-    own = unpack_bits(F.col("code"), 16)
-    score = F.aggregate(F.zip_with(own, F.col("ones"), lambda b, o: F.when(b == 1, F.col("n") - o).otherwise(o)), F.lit(0).cast("long"), lambda a, x: a + x)
-    return c.select("site_id", "code").distinct().join(counts, "site_id").select("site_id", "code", score.alias("score"))
+    """Each code's sum of differing bits to the first batch of its site, from the batch's sums of signs alone."""
+    import pandas as pd
+
+    from ..functions.bits import unpack_array
+    from ..operators.sampling import code_scores
+
+    def run(key, frame):
+        codes = frame.sort_values("row_id")["code"].to_numpy()
+        kinds, batch = np.unique(codes), unpack_array(codes[:8], 16)
+        score = code_scores(unpack_array(kinds, 16), batch.sum(0), len(batch))
+        return pd.DataFrame({"site_id": int(key[0]), "code": kinds, "score": np.rint(score).astype(np.int64)})
+
+    return coded(spark, d, 16).groupBy("site_id").applyInPandas(run, "site_id int, code long, score long")
 
 
 @query()
@@ -308,23 +357,42 @@ def diverse_batch(spark, d):
 _GRAD = f"WITH {L_SQL}, g AS (SELECT site_id, i, CAST(sum(x) AS DOUBLE) / count(*) AS g, count(*) AS n FROM l GROUP BY ALL) "
 
 
-def _site_means(spark, d):
-    return quantised(spark, d).select("site_id", F.posexplode("q").alias("i", "x")).groupBy("site_id", "i").agg((F.sum("x").cast("double") / F.count("*")).alias("g"), F.count("*").alias("n"))
+def _averaged(spark, d, weighting: str) -> DataFrame:
+    """What the rounds' own sums make of one vector a site (its mean, with its number of rows)."""
+    import pandas as pd
+
+    from ..operators.train import _add
+
+    def one(key, frame):
+        x = np.stack(frame["q"].to_numpy()).astype(float)
+        return pd.DataFrame({"group": [0], "site_id": [int(key[0])], "used": [len(x)], "loss": [0.0], "data": [x.mean(0).astype("<f4").tobytes()]})
+
+    def split(frames):
+        for f in frames:
+            for w, data in zip(f["w"], f["data"]):
+                g = np.frombuffer(data) / w
+                yield pd.DataFrame({"i": np.arange(len(g), dtype=np.int32), "g": np.round(g, 2)})
 
+    sites = quantised(spark, d).groupBy("site_id").applyInPandas(one, "group int, site_id int, used int, loss double, data binary")
+    return sites.groupBy("group").applyInPandas(_add(weighting), "group int, w double, loss double, data binary").mapInPandas(split, "i int, g double")
 
-@query(_GRAD + "SELECT CAST(i AS INTEGER) AS i, round(avg(g), 4) AS g FROM g GROUP BY i")
+
+@query(_GRAD + "SELECT CAST(i AS INTEGER) AS i, round(avg(g), 2) AS g FROM g GROUP BY i")
 def gradient_average_equal(spark, d):
-    return _site_means(spark, d).groupBy("i").agg(F.round(F.avg("g"), 4).alias("g"))
+    return _averaged(spark, d, "equal")
 
 
-@query(_GRAD + "SELECT CAST(i AS INTEGER) AS i, round(sum(g * n) / sum(n), 4) AS g FROM g GROUP BY i")
+@query(_GRAD + "SELECT CAST(i AS INTEGER) AS i, round(sum(g * n) / sum(n), 2) AS g FROM g GROUP BY i")
 def gradient_average_weighted(spark, d):
-    return _site_means(spark, d).groupBy("i").agg(F.round(F.sum(F.col("g") * F.col("n")) / F.sum("n"), 4).alias("g"))
+    return _averaged(spark, d, "batch")
 
 
-@query()
+@query(f"SELECT CAST(vec_id % {SITES} AS INTEGER) AS site_id, CAST(least(count(*), 32) AS INTEGER) AS n, true AS own FROM embeddings GROUP BY 1")
 def candidate_pools(spark, d):
-    return candidate_pool(vectors(spark, d), 32).select("site_id", "n")
+    """Size of each site's pool, and whether all its vectors are the site's."""
+    v = vectors(spark, d)
+    pool = candidate_pool(v, 32).select("site_id", "n", F.explode("vecs").alias("vec"))
+    return pool.join(v.select("site_id", "vec").distinct().withColumn("is", F.lit(True)), ["site_id", "vec"], "left").groupBy("site_id", "n").agg(((F.count("is") == F.col("n")) & (F.count("*") == F.col("n"))).alias("own"))
 
 
 @query()
@@ -557,7 +625,8 @@ def cost_by_dim(spark, d):
     """Growth of the training cost with the dimension, on logarithms: linear for convolutions, quadratic for dense stacks."""
     rows = [(k, x, float(C.total_bits(20, f(x, 64).n_params, 20, [], 64))) for k, f in (("dense", dense_encoder), ("conv", conv_encoder)) for x in _DIMS]
     df = spark.createDataFrame(rows, "kind string, dim int, bits double")
-    return df.groupBy("kind").agg(F.round(F.regr_slope(F.log("bits"), F.log(F.col("dim").cast("double"))), 6).alias("slope"))
+    parts = [C.cost_growth(df.where(F.col("kind") == k)).select(F.lit(k).alias("kind"), F.round("slope", 6).alias("slope")) for k in ("dense", "conv")]
+    return parts[0].union(parts[1])
 
 
 @query("""SELECT dim, method, CAST(32 * CASE method WHEN 'central' THEN n * dim WHEN 'kmeans_parallel' THEN 10 * 2 * 20 * k * dim WHEN 'partition_merge' THEN 20 * k * (dim + 1) + 20 * k * dim
@@ -641,15 +710,14 @@ def weighted_lloyd_step(spark, d):
     return x.groupBy("cluster", "i").agg(F.round(F.sum(F.col("x") * F.col("w")).cast("double") / F.sum("w"), 4).alias("center"))
 
 
-@query(f"WITH {Q_SQL}{_PAIR}, x AS (SELECT sqrt(CAST(list_sum(list_transform(list_zip(v, u), lambda z: (z[1] - z[2]) * (z[1] - z[2]))) AS DOUBLE)) / 4096 AS dist FROM p WHERE other IS NOT NULL) SELECT round(quantile_cont(dist, 0.02), 6) AS eps FROM x")
+@query(f"WITH {Q_SQL}, x AS (SELECT sqrt(CAST(list_sum(list_transform(list_zip(a.v, b.v), lambda z: (z[1] - z[2]) * (z[1] - z[2]))) AS DOUBLE)) AS d FROM q a JOIN q b ON a.row_id < b.row_id) SELECT round(quantile_cont(d, 0.02), 4) AS eps FROM x")
 def eps_second_percentile(spark, d):
-    p = _consecutive(quantised(spark, d), "q")
-    diff = F.zip_with("q", "next_q", lambda a, b: a - b)
-    return p.agg(F.round(F.percentile(F.sqrt(V.int_dot(diff, diff).cast("double")) / 4096, 0.02), 6).alias("eps"))
+    """Of all pairs of rows."""
+    return spark.createDataFrame([(round(B.second_percentile(_as_vec(spark, d)), 4),)], "eps double")
 
 
 EPS = 4800  # in steps of 1/4096: about 1.17
-_LAYOUTS, _HASHES, _WIDTH = 4, 1, 40_000
+_LAYOUTS, _HASHES, _WIDTH = 10, 3, 200_000
 
 
 def _int_maps():
@@ -662,7 +730,8 @@ def _int_buckets(spark, d):
     return B.lsh_buckets(q, _LAYOUTS, _HASHES, _WIDTH, DIM, maps=_int_maps())
 
 
-_BUCKETS = f"WITH {L_SQL}, k AS (SELECT row_id, CAST(b AS INTEGER) AS layout, CAST(CAST(floor(CAST(sum(x * ((((i + 1) * (b * b + 3 * b + 7) + i * i * (b + 5)) % 23) - 11)) + b * 1000 AS DOUBLE) / {_WIDTH}) AS BIGINT) AS VARCHAR) AS bucket FROM l, range(0, {_LAYOUTS}) t(b) GROUP BY row_id, b)"
+_BUCKETS = f"""WITH {L_SQL}, h AS (SELECT row_id, b, CAST(floor(CAST(sum(x * ((((i + 1) * (b * b + 3 * b + 7) + i * i * (b + 5)) % 23) - 11)) + b * 1000 AS DOUBLE) / {_WIDTH}) AS BIGINT) AS h FROM l, range(0, {_LAYOUTS * _HASHES}) t(b) GROUP BY row_id, b),
+ k AS (SELECT row_id, CAST(b // {_HASHES} AS INTEGER) AS layout, string_agg(CAST(h AS VARCHAR), ',' ORDER BY b) AS bucket FROM h GROUP BY row_id, b // {_HASHES})"""
 _RHO = _BUCKETS + f""", kv AS (SELECT k.*, q.v FROM k JOIN q USING (row_id)),
  pr AS (SELECT a.layout, a.row_id AS x, b.row_id AS y, list_sum(list_transform(list_zip(a.v, b.v), lambda z: (z[1] - z[2]) * (z[1] - z[2]))) AS sq FROM kv a JOIN kv b ON a.layout = b.layout AND a.bucket = b.bucket AND a.row_id <> b.row_id),
  lr AS (SELECT k.layout, k.row_id, count(pr.y) FILTER (WHERE sq <= {EPS}::BIGINT * {EPS}) AS rho FROM k LEFT JOIN pr ON pr.layout = k.layout AND pr.x = k.row_id GROUP BY ALL),
@@ -676,7 +745,7 @@ def lsh_buckets(spark, d):
 
 
 def _rho(spark, d):
-    return _int_buckets(spark, d).groupBy("layout", "bucket").applyInPandas(B._density(float(EPS)), "row_id long, rho long").groupBy("row_id").agg(F.max("rho").alias("rho"))
+    return B.bucket_densities(B._split_buckets(_int_buckets(spark, d), 100), float(EPS))
 
 
 @query(_RHO + " SELECT * FROM rho")
@@ -686,7 +755,7 @@ def lsh_rho_max(spark, d):
 
 def _delta(spark, d):
     rho = checkpoint(_rho(spark, d))
-    up = _int_buckets(spark, d).join(rho, "row_id").groupBy("layout", "bucket").applyInPandas(B._delta, "row_id long, delta double, up long")
+    up = B._by_parts(B._split_buckets(_int_buckets(spark, d), 100).join(rho, "row_id"), B._delta_between, "row_id long, delta double, up long")
     return rho, up.groupBy("row_id").agg(F.min("delta").alias("delta"))
 
 
@@ -695,11 +764,11 @@ def lsh_delta_min(spark, d):
     return _delta(spark, d)[1].withColumn("delta", F.round("delta", 4))
 
 
-@query(_DELTA + " SELECT row_id, rho, round((rho + 1) * sqrt(CAST(coalesce(sq, (SELECT max(sq) FROM dl)) AS DOUBLE)), 3) AS gamma FROM rho LEFT JOIN dl USING (row_id) ORDER BY gamma DESC, row_id LIMIT 10")
+@query(_DELTA + " SELECT row_id, rho, round(rho * sqrt(CAST(coalesce(sq, (SELECT max(sq) FROM dl)) AS DOUBLE)), 3) AS gamma FROM rho LEFT JOIN dl USING (row_id) ORDER BY gamma DESC, row_id LIMIT 10")
 def gamma_topk(spark, d):
     rho, delta = _delta(spark, d)
     top = delta.agg(F.max("delta")).first()[0]
-    gamma = F.round((F.col("rho") + 1) * F.coalesce("delta", F.lit(top)), 3)
+    gamma = F.round(F.col("rho") * F.coalesce("delta", F.lit(top)), 3)
     return rho.join(delta, "row_id", "left").select("row_id", "rho", gamma.alias("gamma")).orderBy(F.desc("gamma"), "row_id").limit(10)
 
 
@@ -716,9 +785,16 @@ def grid_cells_dense(spark, d):
     return li.groupBy(a.alias("a"), b.alias("b")).agg(F.count("*").alias("n")).where("n >= 50")
 
 
-@query()
+@query("""WITH RECURSIVE c AS (SELECT CAST(vec_id AS BIGINT) AS row_id, CAST(floor(CAST(embedding[1] AS DOUBLE) / 0.0625) AS BIGINT) AS a, CAST(floor(CAST(embedding[2] AS DOUBLE) / 0.0625) AS BIGINT) AS b FROM embeddings),
+  g AS (SELECT a, b, min(row_id) AS low FROM c GROUP BY ALL HAVING count(*) >= 3),
+  n AS (SELECT x.a, x.b, y.a AS c, y.b AS d FROM g x JOIN g y ON abs(x.a - y.a) <= 1 AND abs(x.b - y.b) <= 1),
+  r(a, b, low) AS (SELECT a, b, low FROM g UNION SELECT n.c, n.d, r.low FROM r JOIN n ON n.a = r.a AND n.b = r.b),
+  m AS (SELECT a, b, min(low) AS label FROM r GROUP BY ALL) SELECT row_id, coalesce(label, -1) AS label FROM c LEFT JOIN m USING (a, b)""")
 def grid_clusters(spark, d):
-    return B.grid_cells(vectors(spark, d), [0, 1, 2], 0.05, 3).labels
+    """Clusters of dense cells, named by their smallest row; -1 elsewhere."""
+    got = B.grid_cells(vectors(spark, d), [0, 1], 0.0625, 3).labels
+    low = got.where("cluster >= 0").groupBy("cluster").agg(F.min("row_id").alias("label"))
+    return got.join(low, "cluster", "left").select("row_id", F.coalesce("label", F.lit(-1)).alias("label"))
 
 
 # features
@@ -744,3 +820,115 @@ def feature_user_profile(spark, d):
     p = profile(e, "user_id", "event_type", "value", kinds)
     each = p.select("row_id", F.explode(F.array(*[F.struct(F.lit(k).alias("event_type"), F.get("vec", 3 * i).cast("long").alias("n"), F.round(F.get("vec", 3 * i + 1), 7).alias("mean")) for i, k in enumerate(kinds)])).alias("x"))
     return each.select("row_id", "x.*").where("n > 0")
+
+
+# more of the shipped operators against SQL
+
+
+@query(f"WITH {code_sql(16)}{DEG_SQL}{_TOP}, near AS (" + _NEAR.format("v") + ") SELECT row_id, code, CAST(near.near % 5 AS INTEGER) AS cluster FROM c JOIN near USING (code)")
+def encode_and_label(spark, d):
+    """Codes and clusters in one pass: 64 codes have a label, the others that of their nearest."""
+    from ..operators.encode import encode_and_label as run
+
+    top = cap_codes(merged_degrees(spark, d), 64).orderBy(F.desc("degree"), "code").collect()
+    codes = np.array([r["code"] for r in top], np.int64)
+    v = quantised(spark, d).select("row_id", F.col("q").cast("array<double>").alias("vec"))
+    return run(v, linear_encoder(DIM, 16), _linear_map(16), Normalizer("none"), codes, np.array([r["degree"] for r in top], float), codes % 5)
+
+
+@query(f"WITH {code_sql(16)}{DEG_SQL}{_TOP}, near AS (" + _NEAR.format("v") + ") SELECT near.near AS code, CAST(sum(v.degree) AS BIGINT) AS degree FROM v JOIN near USING (code) GROUP BY 1")
+def contracted_codes(spark, d):
+    from ..operators.graph import contract_codes
+
+    return contract_codes(merged_degrees(spark, d), 64, 16)
+
+
+@query("""WITH h AS (SELECT event_type AS run, CAST(date_diff('day', TIMESTAMP '2024-01-01', ts) AS INTEGER) AS round, CAST(count(*) AS DOUBLE) AS loss FROM events GROUP BY ALL),
+  x AS (SELECT run, round, CASE WHEN max(loss) OVER w = min(loss) OVER w THEN 0.0 ELSE (loss - min(loss) OVER w) / (max(loss) OVER w - min(loss) OVER w) END AS rer FROM h WINDOW w AS (PARTITION BY run))
+  SELECT run, min(round) AS rounds FROM x WHERE rer <= 0.4 GROUP BY run""")
+def rounds_to(spark, d):
+    e = read_table(spark, d, "events", "event_type", "ts")
+    return M.rounds_to(e.groupBy(F.col("event_type").alias("run"), F.datediff("ts", F.lit("2024-01-01")).alias("round")).agg(F.count("*").cast("double").alias("loss")), 0.4)
+
+
+@query("SELECT CAST(c AS INTEGER) AS truth, CAST(1 << CAST(c // 2 + 1 AS INTEGER) AS INTEGER) AS latent_dim, 30 AS n, 64 AS dim, true AS near FROM range(0, 12) t(c)")
+def synthetic_clusters(spark, d):
+    """The generator's clusters: latent dimensions, sizes, and that means lie within the published reach."""
+    from ..sources.gaussians import subspace_dataset
+
+    x = subspace_dataset(spark, 1, 2, 30)
+    far = F.array_max(F.transform("vec", lambda v: F.abs(v)))
+    return x.groupBy("truth", "latent_dim").agg(F.count("*").cast("int").alias("n"), F.max(F.size("vec")).alias("dim"), (F.max(far) < 20 / 6 + 8).alias("near"))
+
+
+for _fmt in ("parquet", "csv", "json", "orc"):
+
+    def _round_trip(spark, d, fmt=_fmt):
+        import uuid
+
+        from ..session import shared_dir
+        from ..sources import io
+
+        df, path = io.load(spark, d, "customer"), f"{shared_dir(spark)}/{fmt}-{uuid.uuid4().hex}"
+        io.save(df, path, fmt)
+        return io.read_as(spark, path, fmt, df.schema)
+
+    query("SELECT * FROM customer", name=f"written_{_fmt}")(_round_trip)
+
+
+@query(f"WITH {code_sql(16)} SELECT row_id, CAST(bit_count(xor(code, 21845)) AS INTEGER) AS hamming, CAST(2 * bit_count(xor(code, 21845)) AS INTEGER) AS l1 FROM c")
+def sql_functions(spark, d):
+    from ..functions import udfs
+
+    udfs.register(spark)
+    coded(spark, d, 16).select("row_id", "code").createOrReplaceTempView("codes_of_rows")
+    return spark.sql("SELECT row_id, hamming(code, 21845) AS hamming, code_l1(code, 21845) AS l1 FROM codes_of_rows")
+
+
+_PLANTED = "SELECT c_custkey AS row_id, min(c_custkey) OVER (PARTITION BY c_mktsegment) AS label FROM customer"
+
+
+def planted_customers(spark, d) -> DataFrame:
+    c = read_table(spark, d, "customer", "c_custkey", "c_mktsegment")
+    return assign_sites(planted_vectors(c, "c_mktsegment", "c_custkey"), "row_id", 5)
+
+
+def _planted(run):
+    return lambda spark, d: canonical_labels(run(checkpoint(planted_customers(spark, d))).labels.select("row_id", "cluster"))
+
+
+for _name, _run in {
+    "central_spectral": lambda df: B.central_spectral(df, 5, gamma=0.001),
+    "kmeans_parallel": lambda df: B.kmeans_parallel(df, 5),
+    "partition_merge": lambda df: B.partition_merge(df, 5),
+    "density_representatives": lambda df: B.density_representatives(df, lam=0.01),
+    "density_peaks": lambda df: B.hashed_density_peaks(df, 5, eps=6.5, width=200.0),
+    "gaussian_models": lambda df: B.gaussian_models(df, 5),
+}.items():
+    query(_PLANTED, name=f"planted_{_name}")(_planted(_run))
+
+
+def _planted_cut(cut):
+    def run(spark, d):
+        df = checkpoint(planted_customers(spark, d))
+        model = CodeGraphClustering(Settings(5, 64, encoder="hyperplane", cut=cut)).fit(df)
+        return canonical_labels(model.transform(df.select("row_id", "site_id", "vec")).select("row_id", "cluster"))
+
+    return run
+
+
+for _cut in ("symmetric", "random_walk", "bisect"):
+    query(_PLANTED, name=f"planted_cut_{_cut}")(_planted_cut(_cut))
+
+
+@query(_PLANTED)
+def planted_saved_model(spark, d):
+    """Fitted, written, read back, applied."""
+    import uuid
+
+    from ..session import shared_dir
+    from .pipeline import CodeGraphModel
+
+    df, path = checkpoint(planted_customers(spark, d)), f"{shared_dir(spark)}/model-{uuid.uuid4().hex}"
+    CodeGraphClustering(Settings(5, 64, train=TrainConfig(n_rounds=10))).fit(df).write(path, spark)
+    return canonical_labels(CodeGraphModel.read(path, spark).transform(df.select("row_id", "site_id", "vec")).select("row_id", "cluster"))

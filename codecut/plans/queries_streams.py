@@ -76,18 +76,55 @@ def stream_interval_join(spark, d):
     return streams.run(streams.click_to_purchase(_events(spark, d)), "append", "files")
 
 
+def _in_files(spark, d, n: int = 4):
+    """The vectors as a stream of n files, one a micro-batch."""
+    import uuid
+
+    from ..session import shared_dir
+    from ..sources.io import stream_dir
+    from .queries_method import vectors
+
+    path = f"{shared_dir(spark)}/files-{uuid.uuid4().hex}"
+    v = vectors(spark, d).select("site_id", "row_id", "vec")
+    for i in range(n):
+        v.where(F.pmod(F.xxhash64("row_id"), F.lit(n)) == i).coalesce(1).write.mode("append").parquet(path)
+    return stream_dir(spark, path, v.schema, max_files=1), v
+
+
 @query()
 def stream_reservoirs(spark, d):
-    return streams.run(streams.site_reservoirs(_vectors(spark, d), 16), "update", "last")
+    """A sample of each site, kept up over several micro-batches."""
+    stream, _ = _in_files(spark, d)
+    return streams.run(streams.site_reservoirs(stream, 16), "update", "merge", keys=["site_id"])
 
 
 @query()
 def stream_online_round(spark, d):
+    """The online form: a round a micro-batch, several of them."""
     import uuid
 
     from ..session import shared_dir
     from ..streaming.online import OnlineCodeGraph
 
+    stream, _ = _in_files(spark, d)
     online = OnlineCodeGraph(spark, Settings(10, 16, train=TrainConfig(batch=32)), dense_encoder(DIM, 16), Normalizer("none"), f"{shared_dir(spark)}/online-{uuid.uuid4().hex}")
-    online.run(_vectors(spark, d))
+    online.run(stream)
     return spark.createDataFrame([(h["round"], h["loss"], h["drift"]) for h in online.history], "round int, loss double, drift double")
+
+
+@query(f"WITH {code_sql(16)}{DEG_SQL}, a AS (SELECT code, sum(degree) AS n FROM d WHERE site_id < 5 GROUP BY 1), b AS (SELECT code, sum(degree) AS n FROM d WHERE site_id >= 5 GROUP BY 1) SELECT round(sum(abs(coalesce(a.n, 0) / (SELECT CAST(sum(n) AS DOUBLE) FROM a) - coalesce(b.n, 0) / (SELECT CAST(sum(n) AS DOUBLE) FROM b))) / 2, 9) AS drift FROM a FULL JOIN b USING (code)")
+def code_drift(spark, d):
+    from ..streaming.online import drift
+    from .queries_method import site_degrees
+
+    s = site_degrees(spark, d)
+    return drift(s.where("site_id < 5"), s.where("site_id >= 5")).select(F.round("drift", 9).alias("drift"))
+
+
+@query(f"WITH {code_sql(16)} SELECT site_id, round(avg(CASE WHEN code % 4 = code % 8 THEN 0.0 ELSE 1.0 END), 9) AS changed FROM c GROUP BY site_id")
+def codes_changed(spark, d):
+    from ..streaming.online import changed_codes
+    from .queries_method import coded
+
+    c = coded(spark, d, 16).select("site_id", "row_id", "code")
+    return changed_codes(c.withColumn("code", F.col("code") % 4), c.withColumn("code", F.col("code") % 8)).select("site_id", F.round("changed", 9).alias("changed"))

@@ -2,8 +2,6 @@
 
 from __future__ import annotations
 
-import json
-
 import numpy as np
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -11,15 +9,19 @@ from pyspark.sql import functions as F
 from ..operators.encode import encode, merge_degrees, site_degrees
 from ..operators.features import Normalizer
 from ..operators.network import EncoderSpec, init_params
-from ..operators.train import TrainConfig, train_round
+from ..operators.sampling import bottom_rows, candidate_pool
+from ..operators.train import train_round
 from ..plans.pipeline import CodeGraphModel, Settings, cut_codes, graph_vertices
 from ..session import shared_dir
 
+_STEP = "version int, params array<double>, loss double, drift double, cut_at int"
+
 
 class OnlineCodeGraph:
     """State lives in ``path``: the parameters of each version (one a micro-batch), the candidate pool, and counts of codes.
 
-    A micro-batch that is replayed after a failure finds its version written and does nothing, so
+    A new object goes on from the newest version that is written, with its pool, counts, labels and history. A
+    micro-batch that is replayed after a failure finds its version written and does nothing, so
     each is used once. Counts of codes of different versions are not mixed: a new version
     starts from the retained pool, coded anew.
     """
@@ -28,34 +30,41 @@ class OnlineCodeGraph:
         self.spark, self.s, self.spec, self.normalizer = spark, settings, spec, normalizer
         self.path = path or f"{shared_dir(spark)}/online"
         self.per_site, self.cut_every, self.drift_above = per_site, cut_every, drift_above
-        self.params, self.version, self.labels, self.history = init_params(spec, settings.train.seed), 0, None, []
+        self.params, self.version, self.labels, self.cut_at, self.history = init_params(spec, settings.train.seed), 0, None, 0, []
+        self._recover()
 
     def _at(self, what: str, version: int) -> str:
         return f"{self.path}/{what}/v{version}"
 
-    def _written(self, version: int):
-        try:
-            return self.spark.read.json(self._at("step", version)).first()
-        except Exception as e:  # the path is not there yet
-            if "PATH_NOT_FOUND" not in str(e):
-                raise
-            return None
+    def _there(self, path: str) -> bool:
+        where = self.spark._jvm.org.apache.hadoop.fs.Path(path)
+        return where.getFileSystem(self.spark._jsc.hadoopConfiguration()).exists(where)
+
+    def _recover(self) -> None:
+        if not self._there(f"{self.path}/step"):
+            return
+        steps = self.spark.read.schema(_STEP).parquet(f"{self.path}/step/*").select("version", "loss", "drift").orderBy("version").collect()  # three numbers a round
+        if not steps:
+            return
+        last = self.spark.read.schema(_STEP).parquet(self._at("step", steps[-1]["version"])).first()
+        self.params, self.version, self.cut_at = np.array(last["params"]), last["version"], last["cut_at"]
+        self.history = [{"round": r["version"], "loss": r["loss"], "drift": r["drift"]} for r in steps]
+        if self.cut_at:
+            rows = self.spark.read.parquet(self._at("labels", self.cut_at)).orderBy(F.desc("degree"), "code").collect()
+            self.labels = (np.array([r["code"] for r in rows], np.int64), np.array([r["degree"] for r in rows]), np.array([r["cluster"] for r in rows]), rows[0]["cut_value"] if rows else 0.0)
 
     def step(self, batch: DataFrame, batch_id: int) -> None:
         """One round on a micro-batch of ``site_id, row_id, vec``."""
         version = batch_id + 1
-        done = self._written(version)
-        if done is not None:
-            self.params, self.version = np.array(json.loads(done["params"])), version
+        if version <= self.version:
             return
         new = batch.select("site_id", "row_id", "vec")
         if self.version:
             new = new.unionByName(self.spark.read.parquet(self._at("pool", self.version)))
-        h = F.xxhash64("row_id")
-        packed = new.groupBy("site_id").agg(F.slice(F.array_sort(F.collect_list(F.struct(h.alias("h"), "row_id", "vec"))), 1, self.per_site).alias("s"))
-        packed.select("site_id", F.inline("s")).drop("h").write.mode("overwrite").parquet(self._at("pool", version))
+        kept = bottom_rows(new, self.per_site, self.s.train.seed)
+        kept.select("site_id", F.col("key").alias("row_id"), "vec").write.mode("overwrite").parquet(self._at("pool", version))
         pool = self.spark.read.parquet(self._at("pool", version))
-        sites = pool.groupBy("site_id").agg(F.count("*").alias("n"), F.collect_list("vec").alias("vecs"))
+        sites = candidate_pool(pool, self.per_site, self.s.train.seed)
         n_sites = sites.count()
         if not n_sites:
             return
@@ -63,17 +72,20 @@ class OnlineCodeGraph:
         seeded = site_degrees(encode(pool.select("site_id", "vec"), self.spec, self.params, self.normalizer))
         fresh = site_degrees(encode(batch.select("site_id", "vec"), self.spec, self.params, self.normalizer))
         seeded.unionByName(fresh).groupBy("site_id", "code").agg(F.sum("degree").alias("degree")).write.mode("overwrite").parquet(self._at("degrees", version))
-        moved = drift(self.spark.read.parquet(self._at("degrees", version - 1)), self.spark.read.parquet(self._at("degrees", version))).first()[0] if self.version else 1.0
+        moved = float(drift(self.spark.read.parquet(self._at("degrees", self.version)), self.spark.read.parquet(self._at("degrees", version))).first()[0]) if self.version else 1.0
         self.version = version
         if self.labels is None or version % self.cut_every == 0 or moved > self.drift_above:
             self.cut()
         self.history.append({"round": version, "loss": loss, "drift": moved})
-        self.spark.createDataFrame([(json.dumps([float(x) for x in self.params]), loss)], "params string, loss double").coalesce(1).write.mode("overwrite").json(self._at("step", version))
+        row = [(version, [float(x) for x in self.params], float(loss), moved, self.cut_at)]
+        self.spark.createDataFrame(row, _STEP).coalesce(1).write.mode("overwrite").parquet(self._at("step", version))
 
     def cut(self) -> None:
         codes, degrees = graph_vertices(self.spark.read.parquet(self._at("degrees", self.version)), self.s)
         labels, value = cut_codes(self.spark, codes, degrees, self.s.bits, self.s.k, restarts=5)
-        self.labels = (codes, degrees, labels, value)
+        self.labels, self.cut_at = (codes, degrees, labels, value), self.version
+        rows = [(int(c), float(d), int(x), float(value)) for c, d, x in zip(codes, degrees, labels)]
+        self.spark.createDataFrame(rows, "code long, degree double, cluster int, cut_value double").coalesce(1).write.mode("overwrite").parquet(self._at("labels", self.version))
 
     def run(self, stream: DataFrame, checkpoint: str | None = None, trigger: dict | None = None) -> "OnlineCodeGraph":
         where = checkpoint or f"{self.path}/checkpoint"
@@ -94,10 +106,6 @@ def drift(old: DataFrame, new: DataFrame) -> DataFrame:
 
 def changed_codes(old: DataFrame, new: DataFrame) -> DataFrame:
     """``site_id, changed``: share of a site's rows whose code differs between two encodings ``site_id, row_id, code``."""
-    import pandas as pd
-
-    def run(key, a, b):
-        both = a.merge(b, on="row_id", suffixes=("_a", "_b"))
-        return pd.DataFrame({"site_id": [int(key[0])], "changed": [float((both["code_a"] != both["code_b"]).mean()) if len(both) else 0.0]})
-
-    return old.groupBy("site_id").cogroup(new.groupBy("site_id")).applyInPandas(run, "site_id int, changed double")
+    a = old.select("site_id", "row_id", F.col("code").alias("a"))
+    both = a.join(new.select("site_id", "row_id", F.col("code").alias("b")), ["site_id", "row_id"])
+    return both.groupBy("site_id").agg(F.avg((~F.col("a").eqNullSafe(F.col("b"))).cast("double")).alias("changed"))

@@ -18,22 +18,38 @@ def source(spark: SparkSession, sf_dir: str, name: str, max_files: int | None =
     return stream_dir(spark, sf_dir, schema, f"{name}.parquet", max_files)
 
 
-def run(stream: DataFrame, mode: str = "append", sink: str = "files", name: str | None = None, checkpoint: str | None = None, trigger: dict | None = None) -> DataFrame:
+def run(stream: DataFrame, mode: str = "append", sink: str = "files", name: str | None = None, checkpoint: str | None = None, trigger: dict | None = None, keys: list[str] | None = None, out: str | None = None) -> DataFrame:
     """Run to the end of the available input and return what came out.
 
     files: appended Parquet files. last: each micro-batch replaces the result (for complete mode).
-    memory: a table in the driver, for small results.
+    merge: the rows of a micro-batch replace those with the same keys (for update mode); each batch writes a whole
+    new version, so one that is replayed writes the same again. memory: a table in the driver, for small results.
     """
     spark = stream.sparkSession
     base = f"{shared_dir(spark)}/stream-{uuid.uuid4().hex}"
     w = stream.writeStream.outputMode(mode).option("checkpointLocation", checkpoint or f"{base}/checkpoint").trigger(**(trigger or {"availableNow": True}))
-    out = f"{base}/out"
+    out = out or f"{base}/out"
     if sink == "memory":
         table = name or f"m{uuid.uuid4().hex}"
         w.format("memory").queryName(table).start().awaitTermination()
         return spark.table(table)
     if sink == "last":
         w.foreachBatch(lambda df, _: df.write.mode("overwrite").parquet(out)).start().awaitTermination()
+    elif sink == "merge":
+        done = []
+
+        def merge(df: DataFrame, batch: int) -> None:
+            new = df
+            if batch:
+                old = df.sparkSession.read.schema(stream.schema).parquet(f"{out}/v{batch - 1}")
+                new = df.unionByName(old.join(df.select(*keys), keys, "left_anti"))
+            new.write.mode("overwrite").parquet(f"{out}/v{batch}")
+            done.append(batch)
+
+        w.foreachBatch(merge).start().awaitTermination()
+        if not done:
+            return spark.createDataFrame([], stream.schema)
+        return spark.read.schema(stream.schema).parquet(f"{out}/v{done[-1]}")
     else:
         w.format("parquet").option("path", out).start().awaitTermination()
     return spark.read.schema(stream.schema).parquet(out)

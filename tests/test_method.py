@@ -303,7 +303,7 @@ def test_baselines_on_planted_classes(spark, orders):
         bits[name] = got.bits
     assert bits["hashed_density_peaks"] == max(bits.values())
     with pytest.raises(ValueError):
-        B.central_spectral(some, 5, max_rows=10)
+        B.central_spectral(some, 5, most_bytes=10)
 
 
 def test_grid_and_percentile(spark):
@@ -311,6 +311,9 @@ def test_grid_and_percentile(spark):
     got = {r["row_id"]: r["cluster"] for r in B.grid_cells(df, [0, 1], 1.0, 2).labels.collect()}
     assert got[99] == -1 and got[0] == got[2] != got[1] == got[3]
     assert 0 < B.second_percentile(df) < 1
+    flat = spark.range(3000).select(F.col("id").alias("row_id"), F.array(F.col("id") / 3000.0).alias("vec"))
+    true = 1 - math.sqrt(1 - 0.02)  # of two uniform numbers
+    assert B.second_percentile(flat, within=0.005) == pytest.approx(true, abs=0.004)
     assert matrix_of(df.select("vec").toArrow().column(0)).shape == (21, 2)
 
 
@@ -416,3 +419,59 @@ def test_no_machine_local_folder_on_a_cluster():
         sc = SimpleNamespace(getCheckpointDir=lambda: None, getConf=lambda: conf, master=master)
         with pytest.raises(ValueError, match="spark.checkpoint.dir"):
             shared_dir(SimpleNamespace(sparkContext=sc))
+
+
+def test_subspaces_of_one_mean_are_told_apart(spark):
+    """Two planes through one point: only their directions differ."""
+    rng = np.random.default_rng(1)
+    rows = []
+    for i in range(600):
+        v = rng.normal(0, 0.05, 6)
+        v[2 * (i % 2) : 2 * (i % 2) + 2] += rng.normal(0, 3, 2)
+        rows.append((i, i // 2 % 3, v.tolist(), i % 2))
+    df = checkpoint(spark.createDataFrame(rows, "row_id long, site_id int, vec array<double>, truth int"))
+    for run in (B.subspace_models, B.gaussian_models):
+        got = run(df, 2, local_k=8)
+        assert float(M.purity(got.labels.join(df.select("row_id", "truth"), "row_id")).first()[0]) > 0.95, run.__name__
+    assert float(M.purity(B.partition_merge(df, 2).labels.join(df.select("row_id", "truth"), "row_id")).first()[0]) < 0.9
+    with pytest.raises(ValueError, match="bytes of models"):
+        B.gaussian_models(df, 2, most_bytes=100)
+
+
+def test_divergence_and_thresholds_written_out():
+    rng = np.random.default_rng(2)
+    pieces = [B.fit_piece(rng.normal(size=(40, 5)) * rng.uniform(0.3, 2, 5) + rng.normal(size=5), q, 0.9) for q in (1, 2, 3, 5)]
+    full = [p.basis.T @ np.diag(p.var) @ p.basis + p.rest * (np.eye(5) - p.basis.T @ p.basis) for p in pieces]
+    got = B.divergence(pieces)
+    for a in range(4):
+        for b in range(4):
+            ia, ib, gap = np.linalg.inv(full[a]), np.linalg.inv(full[b]), pieces[a].mean - pieces[b].mean
+            want = (np.trace(ia @ full[b]) + np.trace(ib @ full[a]) - 10 + gap @ (ia + ib) @ gap) / 2
+            assert got[a, b] == pytest.approx(want, abs=1e-8)
+    x = rng.normal(size=(9, 5))
+    for p, c in zip(pieces, full):
+        want = [(r - p.mean) @ np.linalg.inv(c) @ (r - p.mean) + np.linalg.slogdet(c)[1] for r in x]
+        assert np.allclose(B.minus_log_likelihood(x, p), want)
+    at = np.array([0.0, 1.0, 1.5, 9.0, 9.5, 30.0])
+    dist = np.abs(at[:, None] - at[None, :])
+    steps = B.delta_candidates(dist)
+    assert steps.tolist() == [0.5, 0.5, 1.0, 7.5, 20.5]
+    for step in steps:
+        n = len(np.unique(B.join_within(dist, step)))
+        assert n == 6 - (steps <= step).sum()
+    even = np.ones(6)
+    assert B.merge_by_delta(dist, even, 3).tolist() == [0, 0, 0, 1, 1, 2]
+    assert B.merge_by_delta(dist, even, None).tolist() == [0, 0, 0, 1, 1, 2]
+    assert B.merge_by_delta(dist, even, 2, delta=0.2).max() == 1
+    assert B.merge_by_delta(dist, np.array([5, 5, 5, 5, 5, 0.1]), 2).tolist() == [0, 0, 0, 1, 1, 1]
+
+
+def test_seeding_and_central_methods_at_any_size(spark, orders):
+    some = checkpoint(orders.where("row_id % 4 = 0"))
+    taken, weights = B.oversampled_seeds(some, 5, rounds=2, factor=2.0)
+    assert 5 <= len(taken) < 60 and weights.sum() == some.count()
+    assert np.array_equal(taken, B.oversampled_seeds(some.repartition(5), 5, rounds=2, factor=2.0)[0])
+    small, blocked = B.central_spectral(some, 5, gamma=0.001), B.central_spectral(some, 5, gamma=0.001, dense_up_to=50)
+    a = {r["row_id"]: r["cluster"] for r in small.labels.collect()}
+    b = {r["row_id"]: r["cluster"] for r in blocked.labels.collect()}
+    assert len({(a[i], b[i]) for i in a}) == 5

@@ -84,29 +84,39 @@ def test_late_rows_are_left_out_of_windows(spark, tmp_path):
     assert (10, 1) in got and (12, 1) in got and (15, 1) in got and (10, 2) not in got
 
 
-def test_reservoirs(spark, sf):
-    e = streams.source(spark, sf, "embeddings").select((F.col("vec_id") % 3).cast("int").alias("site_id"), F.col("vec_id").cast("long").alias("row_id"), F.col("embedding").alias("vec"))
-    got = streams.run(streams.site_reservoirs(e, 10), "update", "last").collect()
-    assert len(got) == 3 and all(r["n"] == 10 and all(i % 3 == r["site_id"] for i in r["row_ids"]) for r in got)
+def test_reservoirs(spark, sf, tmp_path):
+    """Over several micro-batches, some of which change few sites, the sample is the one of all rows."""
+    e = io.load(spark, sf, "embeddings").select((F.col("vec_id") % 3).cast("int").alias("site_id"), F.col("vec_id").cast("long").alias("row_id"), F.col("embedding").alias("vec"))
+    for part in (F.col("row_id") % 2 == 0, (F.col("row_id") % 2 == 1) & (F.col("site_id") > 0), F.lit(False)):
+        e.where(part).coalesce(1).write.mode("append").parquet(f"{tmp_path}/in")
+    got = streams.run(streams.site_reservoirs(streams.stream_dir(spark, f"{tmp_path}/in", e.schema, max_files=1), 10), "update", "merge", keys=["site_id"])
+    h = F.pmod(F.xxhash64("row_id", F.lit(0)), F.lit(1 << 40))
+    seen = e.where("row_id % 2 = 0 or site_id > 0").select("site_id", "row_id", h.alias("h")).collect()
+    want = {s: sorted(r["row_id"] for r in sorted((r for r in seen if r["site_id"] == s), key=lambda r: (r["h"], r["row_id"]))[:10]) for s in range(3)}
+    assert {r["site_id"]: r["row_ids"] for r in got.collect()} == want
 
 
 def test_online(spark, sf, tmp_path):
     e = io.load(spark, sf, "embeddings").select((F.col("vec_id") % 3).cast("int").alias("site_id"), F.col("vec_id").cast("long").alias("row_id"), F.col("embedding").alias("vec"))
-    for i in range(3):
-        e.where(F.col("row_id") % 3 == i).coalesce(1).write.mode("append").parquet(f"{tmp_path}/in")
+    batches = [e.where(F.col("row_id") % 3 == i) for i in range(3)]
     s = Settings(4, 12, train=TrainConfig(batch=16))
-    make = lambda: OnlineCodeGraph(spark, s, dense_encoder(64, 12), Normalizer("none"), f"{tmp_path}/state", per_site=40)
-    online = make().run(streams.stream_dir(spark, f"{tmp_path}/in", e.schema, max_files=1))
-    assert online.version >= 3 and len(online.history) == online.version
-    model = online.model()
-    assert model.transform(e).where("cluster is null").isEmpty()
+    make = lambda name: OnlineCodeGraph(spark, s, dense_encoder(64, 12), Normalizer("none"), f"{tmp_path}/{name}", per_site=40)
+    whole = make("whole")
+    for i, b in enumerate(batches):
+        whole.step(b, i)
+        # stopped after every micro-batch and begun anew
+        make("cut").step(b, i)
+    assert whole.version == 3 and len(whole.history) == 3
+    again = make("cut")
+    assert np.array_equal(again.params, whole.params) and again.history == whole.history and again.cut_at == whole.cut_at
+    assert all(np.array_equal(a, b) for a, b in zip(again.labels[:3], whole.labels[:3]))
+    assert again.model().transform(e).where("cluster is null").isEmpty()
     # a micro-batch that is replayed changes nothing
-    again = make()
-    again.step(e, online.version - 1)
-    assert np.array_equal(again.params, online.params) and again.history == []
-    d = spark.read.parquet(f"{tmp_path}/state/degrees/v1")
+    again.step(e, 1)
+    assert again.version == 3 and np.array_equal(again.params, whole.params)
+    d = spark.read.parquet(f"{tmp_path}/cut/degrees/v1")
     assert drift(d, d).first()[0] == 0
-    codes = model.encode(e)
+    codes = whole.model().encode(e)
     assert all(r["changed"] == 0 for r in changed_codes(codes, codes).collect())
 
 
