@@ -93,7 +93,7 @@ def w2_convergence(spark, d):
     return convergence(spark, site_counts=(20, 60, 100), rounds=10)
 
 
-def synthetic_comparison(spark: SparkSession, sets=(1, 2, 3, 4, 5), per_latent: int = 1, per_cluster: int = 40, n_sites: int = 20, rounds: int = 15, encoder: str = "conv") -> list[tuple]:
+def synthetic_comparison(spark: SparkSession, sets=(1, 2, 3, 4, 5), per_latent: int = 1, per_cluster: int = 128, n_sites: int = 20, rounds: int = 20, encoder: str = "conv") -> list[tuple]:
     """Five distributed baselines on the five synthetic sets; the full sizes are per_latent 20 and per_cluster 2500."""
     out = []
     for j in sets:
