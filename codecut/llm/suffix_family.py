@@ -23,7 +23,8 @@ width, where a run is one window and nothing is left open. An anchor that alread
 task is passed on by that task at once, with a note for its bucket, so a very frequent phrase never gathers in a bucket.
 Text is shuffled once, by document; all its uses read the same exchange.
 
-Fingerprints have 64 bits for anchors and 64 more for runs.
+Fingerprints have 64 bits for anchors and 64 more for runs; in the last pass, which decides on single windows, the
+64 more come from an independent family. There are at least as many buckets as the bytes of all texts fill at ``BUCKET`` bytes each.
 
 Edge cases: null text is empty; texts shorter than a window lose nothing; null ids (and the smallest long, which stands for them) come before all others; rows with
 one id and different texts are documents of their own, in the order of their texts' hashes; rows that repeat (id and
@@ -46,8 +47,9 @@ from .common import boxed, quoted, released
 
 GRAMS = (32, 72)  # then the width itself
 GROUP = 1 << 20  # bytes that are fingerprinted at once
+BUCKET = 1 << 28  # bytes of text whose runs make a bucket: as many bytes of runs, where nothing is repeated
 _PLACE = np.uint64((1 << 23) - 1)
-_BASE = 0x9E3779B97F4A7C15 | 1
+_BASES = (0x9E3779B97F4A7C15, 0xD1342543DE82EF95)  # odd
 _FIRST = -(1 << 63)
 
 _RUN = np.dtype([("h", "<u8"), ("c", "<u8"), ("k", "<i8"), ("t", "<i8"), ("pos", "<i4"), ("len", "<i4")])
@@ -57,25 +59,27 @@ def _mix(x: np.ndarray) -> np.ndarray:
     x = x ^ (x >> np.uint64(32))
     x = x * np.uint64(0xD6E8FEB86659FD93)
     x = x ^ (x >> np.uint64(29))
-    return x * np.uint64(0xA0761D6478BD642F) ^ (x >> np.uint64(32))
+    x = x * np.uint64(0xA0761D6478BD642F)
+    return x ^ (x >> np.uint64(32))
 
 
 class _Rolling:
     """Fingerprints of any stretch of a group of bytes, by prefix sums of powers."""
 
-    _made: "_Rolling | None" = None
+    _made: dict[int, "_Rolling"] = {}
 
     @classmethod
-    def get(cls) -> "_Rolling":
-        if cls._made is None:
-            cls._made = cls()
-        return cls._made
+    def get(cls, which: int = 0) -> "_Rolling":
+        """One of two independent families of fingerprints."""
+        if which not in cls._made:
+            cls._made[which] = cls(which)
+        return cls._made[which]
 
-    def __init__(self):
+    def __init__(self, which: int):
         n = GROUP + 4096
-        self.bytes = np.random.default_rng(20_24).integers(1, 1 << 63, 256, dtype=np.uint64) | np.uint64(1)
-        self.up = self._powers(_BASE, n)
-        self.down = self._powers(pow(_BASE, -1, 1 << 64), n)
+        self.bytes = np.random.default_rng(20_24 + which).integers(0, 1 << 64, 256, dtype=np.uint64)
+        self.up = self._powers(_BASES[which], n)
+        self.down = self._powers(pow(_BASES[which], -1, 1 << 64), n)
 
     @staticmethod
     def _powers(base: int, n: int) -> np.ndarray:
@@ -120,7 +124,11 @@ def runs_of(data: np.ndarray, starts: np.ndarray, windows: np.ndarray, width: in
         new = np.flatnonzero(np.concatenate([[True], (np.diff(windows) != 1) | (np.diff(anchor) != 0)]))
     lo, count, anchor = windows[new], np.diff(np.concatenate([new, [len(windows)]])), anchor[new]
     size = count + width - 1
-    run = _mix(roll.of(sums, lo, size) ^ ((anchor - lo) * 1_000_003 + count).astype(np.uint64)) if gram < width else np.zeros(len(lo), np.uint64)
+    if gram < width:
+        run = _mix(roll.of(sums, lo, size) ^ ((anchor - lo) * 1_000_003 + count).astype(np.uint64))
+    else:  # nothing looks at these windows again: a second, independent fingerprint
+        other = _Rolling.get(1)
+        run = other.of(other.sums(data), lo, width)
     piece = np.searchsorted(starts, lo, "right") - 1
     return piece, lo - starts[piece], size, grams[anchor], run
 
@@ -397,6 +405,12 @@ def _cleaner(emit_text: bool):
     return run
 
 
+def bucket_count(rows: DataFrame, column: str) -> int:
+    """Buckets that keep each one's family within a task's memory, and no fewer than the shuffle partitions."""
+    size = rows.agg(F.sum(F.octet_length(column))).first()[0] or 0
+    return max(int(rows.sparkSession.conf.get("spark.sql.shuffle.partitions")), -(-size // BUCKET))
+
+
 def remove_repeats(docs: DataFrame, width: int = 100, emit_text: bool = False, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """``doc_id, n_bytes, n_removed, n_spans, kept`` for every row of docs (with emit_text also ``t``, which tells repeated ids apart).
 
@@ -405,10 +419,9 @@ def remove_repeats(docs: DataFrame, width: int = 100, emit_text: bool = False, i
     """
     if width < 8:
         raise ValueError("width must be at least 8")
-    spark = docs.sparkSession
-    buckets = int(spark.conf.get("spark.sql.shuffle.partitions"))
     text = F.coalesce(docs[text_col].cast("string"), F.lit(""))
     rows = docs.select(F.coalesce(docs[id_col].cast("long"), F.lit(_FIRST)).alias("k"), text.alias("text"))
+    buckets = bucket_count(rows, "text")
     twice = checkpoint(rows.groupBy("k").agg(F.count("*").alias("n")).where("n > 1").select("k"))
     repeat = not twice.isEmpty()
     if repeat:  # ids that repeat: tell their texts apart

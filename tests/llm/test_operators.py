@@ -106,6 +106,56 @@ def test_op1_pieces_and_many_tasks(spark, documents, monkeypatch):
     assert count(whole) == count(cut) == sum(max(0, len(t) - 99) for t in texts)
 
 
+def test_op1_text_longer_than_a_piece(spark):
+    from codecut.llm import suffix_family
+
+    letters = np.random.default_rng(5).integers(97, 123, suffix_family.GROUP + 90_000, dtype=np.uint8).tobytes().decode()
+    border = suffix_family.GROUP
+    some = [(1, letters[border - 150 : border + 170]), (2, letters), (3, "ab" + letters[border - 99 : border + 1] + "c"), (4, letters[50_000:50_099]), (5, letters[7:300])]
+    df = spark.createDataFrame(some, "doc_id long, text string").repartition(3)
+    got = rows(suffix_family.remove_repeats(df), "doc_id", "n_bytes", "n_removed", "n_spans", "kept")
+    assert got == repeats(some)
+
+
+def test_op1_windows_whose_first_fingerprints_collide():
+    from codecut.llm import suffix_family as sf
+
+    texts = [b"first " * 30, b"other " * 30, b"first " * 30]
+    family = sf.SuffixFamily()
+    for i, text in enumerate(texts):
+        data = np.frombuffer(text, np.uint8)
+        _, pos, size, h, c = sf.runs_of(data, np.array([0]), np.arange(1), 100, 100)
+        made = np.zeros(1, sf._RUN)
+        made["h"], made["c"], made["k"], made["pos"], made["len"] = 77, c, i, pos, size  # one and the same first fingerprint
+        family.add(made)
+    assert sorted(family.merged()["k"].tolist()) == [0, 1]
+    assert family.take_repeated()["k"].tolist() == [2]
+
+
+def test_op1_fingerprints_use_all_bits():
+    from codecut.llm import suffix_family as sf
+
+    x = np.random.default_rng(1).integers(0, 1 << 64, 200_000, dtype=np.uint64)
+    mixed = sf._mix(x)
+    assert len(np.unique(mixed)) == len(np.unique(x))
+    data = np.random.default_rng(2).integers(97, 123, 200_000, dtype=np.uint8)
+    for which in (0, 1):
+        roll = sf._Rolling.get(which)
+        h = roll.of(roll.sums(data), np.arange(len(data) - 100), 100)
+        for bit in range(64):
+            assert 0.48 < float(np.mean((h >> np.uint64(bit)) & np.uint64(1))) < 0.52
+
+
+def test_op1_buckets_follow_the_input(spark, monkeypatch):
+    from codecut.llm import suffix_family as sf
+
+    df = spark.createDataFrame([(1, "é" * 500), (2, None)], "doc_id long, text string")
+    least = int(spark.conf.get("spark.sql.shuffle.partitions"))
+    assert sf.bucket_count(df, "text") == sf.bucket_count(df.limit(0), "text") == least
+    monkeypatch.setattr(sf, "BUCKET", 10)
+    assert sf.bucket_count(df, "text") == 100
+
+
 def test_op2_token_files(spark, folder, documents):
     from tokenizers import Tokenizer
 
