@@ -1,30 +1,32 @@
 """Distributed positional inverted index for benchmark decontamination, in DataFrame functions only.
 
-Texts are lower-cased (A to Z) and cut into words: runs of digits, ASCII letters
-and non-ASCII characters. ``postings`` stores (term, document, position); phrases are
-found by intersecting, from a phrase's rarest terms on, the lists of start positions
-(position less the term's offset in the phrase), and what is left is compared word
-by word with the text, so that matches are exact.
-
-Scale: the phrases (a benchmark) are the small side; they are broadcast only after
-their rows are counted against ``broadcast_rows``, and joined by shuffle beyond that.
-Document frequencies combine before the shuffle. A term that a third of the
-documents hold is never the rarest of a phrase unless all its terms are as common,
-and then its postings are spread by document, not by term. The postings of
-terms that are no phrase's probe are not written.
-
-Edge cases: null text and text without words match nothing (n_words 0); an item with
-fewer words than a window is one window, without any word none; a null item id
-counts as an item with an empty name; repeated rows of documents are each reported, of items
-count once per item id; empty tables give no hits.
+Texts are lower-cased (A to Z) and cut into words: runs of digits, ASCII letters and non-ASCII characters.
+``build_index`` does that once and writes, in the shared folder, the words of each document by position, in blocks of
+``block`` words that also hold the ``overlap`` words after them. All lists are read from there: document frequencies of test terms,
+``postings`` (document, position) of terms, and the words that a match is held against. A phrase's lists are intersected
+from its rarest terms on, by start position (position less the term's offset in the phrase);
+what is left is compared word by word with its block, so that phrase matches are exact. Proximity
+matches follow the lists of an item's rarest terms, ordered by position.
+
+Scale: no row holds more than a block, however long a text is, and texts are never shuffled, only blocks with a candidate's
+key and the lists of the probing terms. Frequencies combine before the shuffle. What comes of the phrases (a benchmark) is the small side: it is
+broadcast only after its rows and bytes are counted, and joined by shuffle beyond that. A
+term that a third of the documents hold is no phrase's probe unless all its terms are as common; its
+list is then spread by document and start, not by term.
+
+Edge cases: null text and text without words match nothing (n_words 0); an item with fewer words than a window is one window, without any
+word none; a null item id counts as an item with an empty name; documents are told apart by a number that they get when the
+index is written, so repeated rows and ids are each reported; items count once per item id; empty tables give no hits.
 """
 
 from __future__ import annotations
 
+from dataclasses import dataclass
+
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from ..session import checkpoint
+from ..session import checkpoint, materialize
 from .common import ascii_lower, boxed, computed, unboxed
 
 _GAP = r"[\x00-\x2F\x3A-\x60\x7B-\x7F]+"
@@ -34,17 +36,41 @@ def words_of(text: Column) -> Column:
     return F.array_remove(F.split(ascii_lower(F.coalesce(text.cast("string"), F.lit(""))), _GAP), "")
 
 
-def postings(docs: DataFrame, terms: DataFrame | None = None, broadcast_rows: int = 1_000_000, key: str = "row") -> DataFrame:
-    """``term``, key, ``pos`` (from 0) of all words, or of those in terms(term)."""
-    each = docs.select(key, F.posexplode("words").alias("pos", "term"))
-    if terms is None:
-        return each
-    return each.join(_small(terms, broadcast_rows), "term")
+@dataclass(frozen=True)
+class PositionalIndex:
+    """Stored words by position: ``doc, doc_id, text_hash, n_words, at, words``; words begin at position ``at``."""
+
+    blocks: DataFrame
+    block: int
+    overlap: int
+
+    def documents(self) -> DataFrame:
+        """``doc, doc_id, text_hash, n_words`` of every document."""
+        return self.blocks.where("at = 0").select("doc", "doc_id", "text_hash", "n_words")
+
+    def postings(self, terms: DataFrame | None = None, broadcast_rows: int = 1_000_000) -> DataFrame:
+        """``doc``, ``n_words``, ``term``, ``pos`` (from 0) of all words, or of those in terms(term, ...)."""
+        each = self.blocks.select("doc", "n_words", "at", F.posexplode("words").alias("i", "term")).where(F.col("i") < self.block)
+        each = each.select("doc", "n_words", "term", (F.col("at") + F.col("i")).alias("pos"))
+        return each if terms is None else each.join(_small(terms, broadcast_rows), "term")
 
 
-def _small(df: DataFrame, broadcast_rows: int) -> DataFrame:
-    """df with a broadcast hint if it has at most broadcast_rows rows."""
-    return F.broadcast(df) if df.limit(broadcast_rows + 1).count() <= broadcast_rows else df
+def build_index(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", block: int = 1024, overlap: int = 63) -> PositionalIndex:
+    """Tokenize docs once and store the index; phrases of up to overlap + 1 words can be asked of it."""
+    rows = docs.select(docs[id_col].cast("long").alias("doc_id"), docs[text_col].cast("string").alias("text"))
+    numbered = rows.select(F.monotonically_increasing_id().alias("doc"), "doc_id", F.xxhash64("text").alias("text_hash"), "text")
+    tokens = computed(numbered, words_of(F.col("text")).alias("w"))
+    starts = F.sequence(F.lit(0), F.greatest(F.size("w") - 1, F.lit(0)), F.lit(block))
+    blocks = tokens.select("doc", "doc_id", "text_hash", F.size("w").cast("long").alias("n_words"), "w", F.explode(starts).alias("at"))
+    stored = blocks.select("doc", "doc_id", "text_hash", "n_words", "at", F.slice("w", F.col("at") + 1, block + overlap).alias("words"))
+    return PositionalIndex(materialize(stored, "positional-index"), block, overlap)
+
+
+def _small(df: DataFrame, broadcast_rows: int, broadcast_bytes: int = 64 << 20) -> DataFrame:
+    """df (stored, so that counting is cheap) with a broadcast hint if it has at most so many rows and bytes."""
+    size = F.sum(F.octet_length(F.to_json(F.struct(*df.columns))))
+    n, held = df.limit(broadcast_rows + 1).agg(F.count("*"), F.coalesce(size, F.lit(0))).first()
+    return F.broadcast(df) if n <= broadcast_rows and held <= broadcast_bytes else df
 
 
 def phrase_windows(items: DataFrame, width: int, id_col: str = "item_id", text_col: str = "text") -> DataFrame:
@@ -54,64 +80,81 @@ def phrase_windows(items: DataFrame, width: int, id_col: str = "item_id", text_c
     return item.select("item_id", "w", F.explode(starts).alias("s")).select("item_id", F.slice("w", F.col("s"), width).alias("words")).distinct()
 
 
-def probes(phrases: DataFrame, frequencies: DataFrame, n: int) -> DataFrame:
+def term_frequencies(index: PositionalIndex, terms: DataFrame, broadcast_rows: int = 1_000_000) -> DataFrame:
+    """``term``, ``df`` (its occurrences in all documents) of the distinct terms(term) that occur; stored."""
+    vocabulary = checkpoint(terms.select("term").distinct())
+    # counted in every task, then summed
+    return checkpoint(index.postings(vocabulary, broadcast_rows).groupBy("term").agg(F.count("*").alias("df")))
+
+
+def probes(phrases: DataFrame, frequencies: DataFrame, n: int, broadcast_rows: int = 1_000_000) -> DataFrame:
     """The n rarest (term, offset) of each phrase(pid, words); ties by place."""
     terms = phrases.select("pid", F.size("words").alias("len"), F.posexplode("words").alias("off", "term"))
     order = Window.partitionBy("pid").orderBy(F.coalesce("df", F.lit(0)), "off")
-    ranked = terms.join(frequencies, "term", "left").withColumn("rank", F.row_number().over(order))
+    # a common term is in many phrases: the frequencies go to the terms, not the terms to one task
+    ranked = terms.join(_small(frequencies, broadcast_rows), "term", "left").withColumn("rank", F.row_number().over(order))
     return ranked.where(F.col("rank") <= n).select("pid", "len", "term", "off", F.least("len", F.lit(n)).alias("need"))
 
 
-def phrase_matches(docs: DataFrame, phrases: DataFrame, n_probes: int = 2, broadcast_rows: int = 1_000_000) -> DataFrame:
-    """docs: ``row``, ``text``; phrases: ``pid``, ``words``. Output ``row``, ``text``, ``n_words``, ``found``:
-    an array of (start, pid, len) of all exact occurrences, for every row of docs."""
-    tokens = docs.select("row", words_of(F.col("text")).alias("words"))
-    vocabulary = _small(phrases.select(F.explode("words").alias("term")).distinct(), broadcast_rows)
-    # how often each test term occurs: counted in every task, then summed
-    frequencies = postings(tokens, vocabulary, broadcast_rows).groupBy("term").agg(F.count("*").alias("df"))
-    probe = checkpoint(probes(phrases, frequencies, n_probes))
-    lists = postings(tokens, None).join(_small(probe, broadcast_rows), "term").where("pos >= off")
-    starts = lists.groupBy("row", (F.col("pos") - F.col("off")).alias("start"), "pid").agg(F.count("*").alias("n"), F.first("need").alias("need")).where("n = need")
-    wanted = starts.join(_small(phrases, broadcast_rows), "pid").groupBy("row").agg(F.collect_list(F.struct("start", "pid", F.col("words").alias("want"))).alias("maybe"))
-    both = computed(docs.select("row", "text").join(wanted, "row", "left"), words_of(F.col("text")).alias("words"))
-    exact = F.filter(F.coalesce("maybe", F.array()), lambda m: F.slice("words", m["start"] + 1, F.size(m["want"])) == m["want"])
-    return both.select("row", "text", F.size("words").cast("long").alias("n_words"), F.transform(exact, lambda m: F.struct(m["start"].alias("start"), m["pid"].alias("pid"), F.size(m["want"]).alias("len"))).alias("found"))
-
-
-def proximity_matches(docs: DataFrame, terms: list[str], slop: int, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """Spans of at most ``slop`` words that hold all of the (at most 64) terms, in any order: ``doc_id``, ``start``, ``end``.
-
-    Each span ends at a posting and starts at the latest posting that completes it. The postings of
-    a document are walked in one window ordered by position, so cost follows the postings.
+def phrase_matches(index: PositionalIndex, phrases: DataFrame, n_probes: int = 2, broadcast_rows: int = 1_000_000) -> DataFrame:
+    """``doc``, ``start``, ``pid``, ``len`` of all exact occurrences of phrases(pid, words); pid tells phrases apart."""
+    longest = phrases.agg(F.max(F.size("words"))).first()[0] or 0
+    if longest > index.overlap + 1:
+        raise ValueError(f"this index answers phrases of up to {index.overlap + 1} words, not {longest}")
+    frequencies = term_frequencies(index, phrases.select(F.explode("words").alias("term")), broadcast_rows)
+    probe = checkpoint(probes(phrases, frequencies, n_probes, broadcast_rows))
+    start = F.col("pos") - F.col("off")
+    lists = index.postings(probe, broadcast_rows).where((start >= 0) & (start + F.col("len") <= F.col("n_words")))
+    starts = lists.groupBy("doc", start.alias("start"), "pid").agg(F.count("*").alias("n"), F.first("need").alias("need")).where("n = need")
+    at = (F.col("start") - F.col("start") % index.block).alias("at")
+    wanted = starts.join(_small(phrases, broadcast_rows), "pid").groupBy("doc", at).agg(F.collect_list(F.struct("start", "pid", F.col("words").alias("want"))).alias("maybe"))
+    both = index.blocks.select("doc", "at", "words").join(wanted, ["doc", "at"])
+    exact = F.filter("maybe", lambda m: F.slice("words", m["start"] - F.col("at") + 1, F.size(m["want"])) == m["want"])
+    return both.select("doc", F.inline(F.transform(exact, lambda m: F.struct(m["start"].alias("start"), m["pid"].alias("pid"), F.size(m["want"]).alias("len")))))
+
+
+def proximity_matches(index: PositionalIndex, groups: DataFrame, slop: int, broadcast_rows: int = 1_000_000) -> DataFrame:
+    """Spans of at most ``slop`` words that hold all terms of a group, in any order: ``doc``, ``gid``, ``start``, ``end``.
+
+    groups: ``gid``, ``terms`` (distinct). Each span ends at a posting and starts at the latest one that completes it. A
+    document's lists of a group are walked in one window ordered by position, so cost follows the postings.
     """
-    wanted = sorted({t for t in terms})
-    tokens = docs.select(docs[id_col].cast("long").alias("row"), words_of(docs[text_col]).alias("words"))
-    hits = tokens.select("row", F.posexplode("words").alias("pos", "term")).where(F.col("term").isin(wanted))
-    w = Window.partitionBy("row").orderBy("pos").rowsBetween(Window.unboundedPreceding, 0)
-    last = [F.max(F.when(F.col("term") == t, F.col("pos"))).over(w) for t in wanted]
-    start = F.least(*last, F.lit(2**31 - 1)) if len(last) == 1 else F.least(*last)
-    seen = hits.select("row", "pos", start.alias("start"), F.array(*last).alias("last"))
-    return seen.where(~F.exists("last", lambda x: x.isNull()) & (F.col("pos") - F.col("start") < slop)).select(F.col("row").alias("doc_id"), "start", F.col("pos").alias("end"))
-
-
-def decontaminate(docs: DataFrame, items: DataFrame, width: int = 10, id_col: str = "doc_id", text_col: str = "text", broadcast_rows: int = 1_000_000) -> DataFrame:
+    each = checkpoint(groups.select("gid", F.size("terms").alias("need"), F.posexplode("terms").alias("which", "term")))
+    lists = index.postings(each, broadcast_rows).select("doc", "gid", "need", "which", "pos")
+    most = each.agg(F.max("need")).first()[0] or 1
+    before = Window.partitionBy("doc", "gid").orderBy("pos").rowsBetween(Window.unboundedPreceding, 0)
+    last = F.array(*[F.max(F.when(F.col("which") == i, F.col("pos"))).over(before) for i in range(most)])
+    seen = lists.select("doc", "gid", "need", "pos", last.alias("last")).withColumn("last", F.slice("last", F.lit(1), F.col("need")))
+    whole = seen.where(~F.exists("last", lambda x: x.isNull())).select("doc", "gid", F.array_min("last").alias("start"), F.col("pos").alias("end"))
+    return whole.where(F.col("end") - F.col("start") < slop)
+
+
+def near_items(docs: DataFrame, items: DataFrame, n_terms: int = 4, slop: int = 16, broadcast_rows: int = 1_000_000) -> DataFrame:
+    """``doc, doc_id, item_id, n_spans, first_start``: documents that hold the n_terms rarest distinct terms of an item (all, if it
+    has fewer; ties by term) within slop words. Repeated rows of an item are one item with the words of all."""
+    index = build_index(docs)
+    words = items.select(F.coalesce(items["item_id"].cast("string"), F.lit("")).alias("gid"), words_of(items["text"]).alias("w"))
+    terms = checkpoint(words.select("gid", F.explode("w").alias("term")).distinct())
+    ranked = terms.join(_small(term_frequencies(index, terms, broadcast_rows), broadcast_rows), "term", "left")
+    ranked = ranked.withColumn("rank", F.row_number().over(Window.partitionBy("gid").orderBy(F.coalesce("df", F.lit(0)), "term")))
+    groups = ranked.where(F.col("rank") <= n_terms).groupBy("gid").agg(F.collect_list("term").alias("terms"))
+    spans = proximity_matches(index, groups, slop, broadcast_rows).groupBy("doc", "gid").agg(F.count("*").alias("n_spans"), F.min("start").alias("first_start"))
+    return spans.join(index.documents(), "doc").select("doc", "doc_id", F.col("gid").alias("item_id"), "n_spans", "first_start")
+
+
+def decontaminate(docs: DataFrame, items: DataFrame, width: int = 10, id_col: str = "doc_id", text_col: str = "text", broadcast_rows: int = 1_000_000, block: int = 1024) -> DataFrame:
     """One row a document: ``doc_id, text_hash, n_words, n_hit, n_items, items, contaminated``; items is the sorted list of ids."""
-    windows = phrase_windows(items, width)
-    phrases = checkpoint(windows.groupBy("words").agg(F.sort_array(F.collect_set("item_id")).alias("ids")).select(F.xxhash64("words").alias("pid"), "words", "ids"))
-    source = docs.select(docs[id_col].cast("long").alias("doc_id"), docs[text_col].cast("string").alias("text"))
-    # ids may repeat with other texts; equal rows share their postings and come out once each
-    rows = source.select("doc_id", F.struct("doc_id", F.xxhash64("text").alias("h")).alias("row"), "text")
-    tally = checkpoint(rows.groupBy("row").agg(F.count("*").alias("copies")).where("copies > 1"))
-    single = rows if tally.isEmpty() else rows.dropDuplicates(["row"])
-    found = phrase_matches(single.select("row", "text"), phrases.select("pid", "words"), broadcast_rows=broadcast_rows)
-    names = phrases.select("pid", "ids")
-    hit = found.select("row", "n_words", F.size(F.array_distinct(F.flatten(F.transform("found", lambda m: F.sequence(m["start"], m["start"] + m["len"] - 1))))).cast("long").alias("n_hit"), F.array_distinct(F.transform("found", lambda m: m["pid"])).alias("pids"))
-    listed = hit.where(F.size("pids") > 0).select("row", F.explode("pids").alias("pid")).join(_small(names, broadcast_rows), "pid").groupBy("row").agg(F.array_sort(F.array_distinct(F.flatten(F.collect_list("ids")))).alias("items"))
-    out = hit.drop("pids").join(listed, "row", "left")
-    if not tally.isEmpty():
-        out = out.join(tally, "row", "left").withColumn("copies", F.explode(F.sequence(F.lit(1), F.coalesce("copies", F.lit(1)).cast("int"))))
-    items_col = F.coalesce("items", F.array().cast("array<string>"))
-    return out.select(F.col("row.doc_id").alias("doc_id"), F.col("row.h").alias("text_hash"), "n_words", "n_hit", F.size(items_col).cast("long").alias("n_items"), items_col.alias("items"), (F.col("n_hit") > 0).alias("contaminated"))
+    windows = phrase_windows(items, width).groupBy("words").agg(F.sort_array(F.collect_set("item_id")).alias("ids"))
+    phrases = checkpoint(windows.select(F.monotonically_increasing_id().alias("pid"), "words", "ids"))
+    index = build_index(docs, id_col, text_col, block, width - 1)
+    found = checkpoint(phrase_matches(index, phrases.select("pid", "words"), broadcast_rows=broadcast_rows))
+    covered = found.select("doc", F.explode(F.sequence(F.col("start"), F.col("start") + F.col("len") - 1)).alias("pos")).distinct()
+    hit = covered.groupBy("doc").agg(F.count("*").alias("n_hit"))
+    named = found.select("doc", "pid").distinct().join(_small(phrases.select("pid", "ids"), broadcast_rows), "pid")
+    listed = named.groupBy("doc").agg(F.array_sort(F.array_distinct(F.flatten(F.collect_list("ids")))).alias("items"))
+    out = index.documents().join(hit.join(listed, "doc"), "doc", "left")
+    n_hit, names = F.coalesce("n_hit", F.lit(0).cast("long")), F.coalesce("items", F.array().cast("array<string>"))
+    return out.select("doc_id", "text_hash", "n_words", n_hit.alias("n_hit"), F.size(names).cast("long").alias("n_items"), names.alias("items"), (n_hit > 0).alias("contaminated"))
 
 
 def clean_documents(docs: DataFrame, items: DataFrame, width: int = 10) -> DataFrame:

@@ -34,6 +34,13 @@ def op8_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
     return found.select("doc_id", "n_words", "n_hit", "n_items", F.sha2(F.array_join("items", ","), 256).alias("items_sha256"), "contaminated")
 
 
+def benchmark_proximity(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Documents that hold the four rarest words of a benchmark item within sixteen words."""
+    from .inverted_index import near_items
+
+    return near_items(read_table(spark, sf_dir, "documents"), read_table(spark, sf_dir, "benchmark")).drop("doc")
+
+
 def op10_sharding(spark: SparkSession, sf_dir: str) -> DataFrame:
     from .sharding import even_tree, grow, shard_documents
 
@@ -97,7 +104,7 @@ QUERIES = {
     q.__name__: q
     for q in (
         op1_suffix_dedup, op2_token_files, op3_chat_format, op4_quality_classifier, op5_quality_rules, op6_trie_bpe,
-        op7_simhash, op8_decontamination, op9_token_counts, op10_sharding, quality_base_statistics, shard_placement,
+        op7_simhash, op8_decontamination, op9_token_counts, op10_sharding, quality_base_statistics, shard_placement, benchmark_proximity,
     )
 }
 
@@ -135,6 +142,17 @@ SELECT d.doc_id, CAST(len(w) AS BIGINT) AS n_words, coalesce(n_hit, 0) AS n_hit,
 FROM d LEFT JOIN h USING (doc_id) LEFT JOIN i USING (doc_id)"""
 
 
+_NEAR_SQL = f"""
+WITH d AS (SELECT row_number() OVER () AS doc, doc_id, {_TERMS} AS w FROM documents), b AS (SELECT DISTINCT CAST(item_id AS VARCHAR) AS item_id, unnest({_TERMS}) AS term FROM benchmark),
+p AS (SELECT doc, doc_id, unnest(w) AS term, unnest(range(len(w))) AS pos FROM d), f AS (SELECT term, count(*) AS df FROM p GROUP BY term),
+r AS (SELECT item_id, term, row_number() OVER (PARTITION BY item_id ORDER BY coalesce(df, 0), term) AS k FROM b LEFT JOIN f USING (term) QUALIFY k <= 4),
+n AS (SELECT item_id, count(*) AS need FROM r GROUP BY item_id),
+l AS (SELECT doc, doc_id, item_id, term, pos FROM p JOIN r USING (term)),
+s AS (SELECT e.doc, e.doc_id, e.item_id, e.pos, o.term, max(o.pos) AS last FROM l e JOIN l o ON e.doc = o.doc AND e.item_id = o.item_id AND o.pos <= e.pos AND o.pos > e.pos - 16 GROUP BY ALL),
+x AS (SELECT doc, doc_id, item_id, pos, min(last) AS start, count(*) AS held FROM s GROUP BY ALL)
+SELECT doc_id, item_id, count(*) AS n_spans, CAST(min(start) AS INTEGER) AS first_start FROM x JOIN n USING (item_id) WHERE held = need GROUP BY doc, doc_id, item_id"""
+
+
 def _place_sql(node) -> str:
     if not node.children:
         return str(node.shard)
@@ -158,6 +176,7 @@ SELECT doc_id, size, 'key' AS law, shard, row_number() OVER (PARTITION BY shard
 
 
 ORACLE_SQL: dict[str, str] = {
+    "benchmark_proximity": _NEAR_SQL,
     "op3_chat_format": _CHAT_SQL,
     "op8_decontamination": _LEAK_SQL,
     "quality_base_statistics": _BASE_SQL,

@@ -393,11 +393,49 @@ def test_op8_decontamination(spark, folder, documents, tmp_path):
     assert got == hits(documents, items)
 
 
-def test_op8_proximity(spark):
-    from codecut.llm.inverted_index import proximity_matches
+def test_op8_small_blocks_and_shuffled_joins(spark, folder, documents):
+    """Windows that cross blocks, and the joins beyond the bound of a broadcast, change nothing."""
+    from codecut.llm.inverted_index import build_index, decontaminate, phrase_matches
+
+    items = [(r["item_id"], r["text"]) for r in spark.read.parquet(f"{folder}/benchmark.parquet").collect()] + [(903, documents[0][1]), (905, "the")]
+    bench = spark.createDataFrame(items, "item_id long, text string")
+    docs = spark.read.parquet(f"{folder}/documents.parquet")
+    want = Counter((r[0], r[1], r[2], r[3], r[5]) for r in hits(documents, items).elements())
+    for more in ({"block": 3}, {"block": 16, "broadcast_rows": 0}):
+        got = decontaminate(docs, bench, **more)
+        assert rows(got, "doc_id", "n_words", "n_hit", "n_items", "contaminated") == want
+    index = build_index(docs, overlap=1)
+    with pytest.raises(ValueError, match="up to 2 words"):
+        phrase_matches(index, spark.createDataFrame([(1, ["a", "b", "c"])], "pid long, words array<string>"))
+
+
+def test_op8_very_long_text(spark):
+    """A text over 1 MiB lies in many blocks; a passage across two of them is found, and only it."""
+    from codecut.llm.inverted_index import decontaminate
+
+    passage = [f"p{i}" for i in range(12)]
+    words = [f"w{i % 977}" for i in range(300_000)]
+    words[1020:1032] = passage
+    words[250_000:250_011] = passage[:11]
+    docs = spark.createDataFrame([(1, " ".join(words)), (2, " ".join(passage[:9])), (2, None)], "doc_id long, text string")
+    got = decontaminate(docs, spark.createDataFrame([(7, " ".join(passage).upper())], "item_id long, text string"))
+    assert rows(got, "doc_id", "n_words", "n_hit", "n_items") == Counter([(1, 300_000, 23, 1), (2, 9, 0, 0), (2, 0, 0, 0)])
+
 
-    df = spark.createDataFrame([(1, "red x x blue"), (2, "blue red"), (3, "red x x x x blue"), (4, "red")], "doc_id long, text string")
-    assert rows(proximity_matches(df, ["red", "blue"], 4), "doc_id", "start", "end") == Counter([(1, 0, 3), (2, 0, 1)])
+def test_op8_proximity(spark):
+    from codecut.llm.inverted_index import build_index, near_items, proximity_matches
+
+    df = spark.createDataFrame([(1, "red x x blue"), (2, "blue red"), (3, "red x x x x blue"), (4, "red"), (5, None), (2, "blue red")], "doc_id long, text string")
+    groups = spark.createDataFrame([("a", ["red", "blue"]), ("b", ["red"]), ("c", ["red", "none"])], "gid string, terms array<string>")
+    for block in (2, 1024):
+        index = build_index(df, block=block)
+        found = proximity_matches(index, groups, 4).join(index.documents(), "doc")
+        assert rows(found.where("gid = 'a'"), "doc_id", "start", "end") == Counter([(1, 0, 3), (2, 0, 1), (2, 0, 1)])
+        assert rows(found.where("gid = 'b'"), "doc_id", "start", "end") == Counter([(1, 0, 0), (2, 1, 1), (2, 1, 1), (3, 0, 0), (4, 0, 0)])
+        assert found.where("gid = 'c'").isEmpty()
+    items = spark.createDataFrame([(1, "Red, blue!"), (2, None), (3, "none"), (1, "x")], "item_id long, text string")
+    assert rows(near_items(df, items, n_terms=3, slop=4), "doc_id", "item_id", "n_spans", "first_start") == Counter([(1, "1", 1, 0)])
+    assert near_items(df.limit(0), items).isEmpty() and near_items(df, items.limit(0)).isEmpty()
 
 
 def test_op9_histogram(spark, folder, documents):
