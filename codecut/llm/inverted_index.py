@@ -38,7 +38,7 @@ def words_of(text: Column) -> Column:
 
 @dataclass(frozen=True)
 class PositionalIndex:
-    """Stored words by position: ``doc, doc_id, text_hash, n_words, at, words``; words begin at position ``at``."""
+    """Stored words by position: ``doc, doc_id, text_hash, n_words, at, words``; words, joined by spaces (which no word holds), begin at position ``at``."""
 
     blocks: DataFrame
     block: int
@@ -50,7 +50,7 @@ class PositionalIndex:
 
     def postings(self, terms: DataFrame | None = None, broadcast_rows: int = 1_000_000) -> DataFrame:
         """``doc``, ``n_words``, ``term``, ``pos`` (from 0) of all words, or of those in terms(term, ...)."""
-        each = self.blocks.select("doc", "n_words", "at", F.posexplode("words").alias("i", "term")).where(F.col("i") < self.block)
+        each = self.blocks.where("n_words > 0").select("doc", "n_words", "at", F.posexplode(F.split("words", " ")).alias("i", "term")).where(F.col("i") < self.block)
         each = each.select("doc", "n_words", "term", (F.col("at") + F.col("i")).alias("pos"))
         return each if terms is None else each.join(_small(terms, broadcast_rows), "term")
 
@@ -62,7 +62,7 @@ def build_index(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text",
     tokens = computed(numbered, words_of(F.col("text")).alias("w"))
     starts = F.sequence(F.lit(0), F.greatest(F.size("w") - 1, F.lit(0)), F.lit(block))
     blocks = tokens.select("doc", "doc_id", "text_hash", F.size("w").cast("long").alias("n_words"), "w", F.explode(starts).alias("at"))
-    stored = blocks.select("doc", "doc_id", "text_hash", "n_words", "at", F.slice("w", F.col("at") + 1, block + overlap).alias("words"))
+    stored = blocks.select("doc", "doc_id", "text_hash", "n_words", "at", F.array_join(F.slice("w", F.col("at") + 1, block + overlap), " ").alias("words"))
     return PositionalIndex(materialize(stored, "positional-index"), block, overlap)
 
 
@@ -108,8 +108,8 @@ def phrase_matches(index: PositionalIndex, phrases: DataFrame, n_probes: int = 2
     starts = lists.groupBy("doc", start.alias("start"), "pid").agg(F.count("*").alias("n"), F.first("need").alias("need")).where("n = need")
     at = (F.col("start") - F.col("start") % index.block).alias("at")
     wanted = starts.join(_small(phrases, broadcast_rows), "pid").groupBy("doc", at).agg(F.collect_list(F.struct("start", "pid", F.col("words").alias("want"))).alias("maybe"))
-    both = index.blocks.select("doc", "at", "words").join(wanted, ["doc", "at"])
-    exact = F.filter("maybe", lambda m: F.slice("words", m["start"] - F.col("at") + 1, F.size(m["want"])) == m["want"])
+    both = computed(index.blocks.select("doc", "at", "words").join(wanted, ["doc", "at"]), F.split("words", " ").alias("w"))
+    exact = F.filter("maybe", lambda m: F.slice("w", m["start"] - F.col("at") + 1, F.size(m["want"])) == m["want"])
     return both.select("doc", F.inline(F.transform(exact, lambda m: F.struct(m["start"].alias("start"), m["pid"].alias("pid"), F.size(m["want"]).alias("len")))))
 
 
