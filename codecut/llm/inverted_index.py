@@ -8,8 +8,8 @@ from its rarest terms on, by start position (position less the term's offset in
 what is left is compared word by word with its block, so that phrase matches are exact. Proximity
 matches follow the lists of an item's rarest terms, ordered by position.
 
-Scale: no row holds more than a block, however long a text is, and texts are never shuffled, only blocks with a candidate's
-key and the lists of the probing terms. Frequencies combine before the shuffle. What comes of the phrases (a benchmark) is the small side: it is
+Scale: no row holds more than a block, however long a text is, and texts are not shuffled whole: all blocks are, once,
+to meet their candidates, and the lists of the probing terms. Frequencies combine before the shuffle. What comes of the phrases (a benchmark) is the small side: it is
 broadcast only after its rows and bytes are counted, and joined by shuffle beyond that. A
 term that a third of the documents hold is no phrase's probe unless all its terms are as common; its
 list is then spread by document and start, not by term.
