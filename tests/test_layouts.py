@@ -45,3 +45,12 @@ def test_rows_stay_out_of_the_shuffle(spark, sf):
 
     rows = _int_codes(spark, sf)
     assert rows.count() == rows.select("row_id").distinct().count() == spark.read.parquet(f"{sf}/embeddings.parquet").count()
+
+
+@pytest.mark.parametrize("most_bytes", [3_000, 1 << 20])
+def test_layout_deltas(spark, case, most_bytes):
+    x, codes, layouts, rows = case
+    rho, delta, up = _by_hand(x, codes, 3.0)
+    given = spark.createDataFrame(list(enumerate(rho.tolist())), "row_id long, rho long")
+    got = {r["row_id"]: (r["delta"], r["up"]) for r in B.layout_deltas(rows, given, layouts, most_bytes).collect()}
+    assert {i: (pytest.approx(d), u) for i, (d, u) in got.items()} == {i: (d, u) for i, (d, u) in enumerate(zip(delta, up)) if math.isfinite(d)}
