@@ -54,3 +54,24 @@ def test_layout_deltas(spark, case, most_bytes):
     given = spark.createDataFrame(list(enumerate(rho.tolist())), "row_id long, rho long")
     got = {r["row_id"]: (r["delta"], r["up"]) for r in B.layout_deltas(rows, given, layouts, most_bytes).collect()}
     assert {i: (pytest.approx(d), u) for i, (d, u) in got.items()} == {i: (d, u) for i, (d, u) in enumerate(zip(delta, up)) if math.isfinite(d)}
+
+
+def test_gamma_topk_many_rows(spark, sf, tmp_path):
+    """Four copies of the table, moved a little apart: the query reads them all and agrees with all pairs."""
+    from pyspark.sql import functions as F
+
+    from codecut.plans import load_queries
+    from codecut.plans.registry import ORACLE_SQL, QUERIES
+
+    load_queries()
+
+    e = spark.read.parquet(f"{sf}/embeddings.parquet")
+    copies = e.withColumn("c", F.explode(F.sequence(F.lit(0), F.lit(3)))).select((F.col("vec_id") + F.col("c") * 1000).alias("vec_id"), F.transform("embedding", lambda x: (x + F.col("c") / 64).cast("float")).alias("embedding"), "label")
+    copies.coalesce(1).write.parquet(f"{tmp_path}/embeddings.parquet")
+    import duckdb
+
+    con = duckdb.connect()
+    con.sql(f"create view embeddings as select * from '{tmp_path}/embeddings.parquet/*.parquet'")
+    rel = con.sql(ORACLE_SQL["gamma_topk"])
+    got = QUERIES["gamma_topk"](spark, str(tmp_path)).select(*rel.columns).collect()
+    assert [tuple(r) for r in got] == rel.fetchall()
