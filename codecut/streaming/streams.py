@@ -13,9 +13,9 @@ from ..sources.io import stream_dir
 
 
 def source(spark: SparkSession, sf_dir: str, name: str, max_files: int | None = None) -> DataFrame:
-    """A table as a stream of its files."""
+    """A table as a stream of its files, whether it is one file or a folder of them."""
     schema = spark.read.parquet(f"{sf_dir}/{name}.parquet").schema
-    return stream_dir(spark, sf_dir, schema, f"{name}.parquet", max_files)
+    return stream_dir(spark, f"{sf_dir}/{name}.parque[t]", schema, max_files=max_files)  # a pattern may name a single file
 
 
 def run(stream: DataFrame, mode: str = "append", sink: str = "files", name: str | None = None, checkpoint: str | None = None, trigger: dict | None = None, keys: list[str] | None = None, out: str | None = None) -> DataFrame:
