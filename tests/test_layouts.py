@@ -75,3 +75,22 @@ def test_gamma_topk_many_rows(spark, sf, tmp_path):
     rel = con.sql(ORACLE_SQL["gamma_topk"])
     got = QUERIES["gamma_topk"](spark, str(tmp_path)).select(*rel.columns).collect()
     assert [tuple(r) for r in got] == rel.fetchall()
+
+
+def test_site_representatives_hold_no_matrix():
+    import tracemalloc
+
+    x = np.random.default_rng(1).normal(size=(5000, 3))
+    tracemalloc.start()
+    reps = B.site_representatives(x, 0.8, 0.1)
+    peak = tracemalloc.get_traced_memory()[1]
+    tracemalloc.stop()
+    assert peak < 8 * len(x) ** 2  # one matrix of distances
+    near = np.linalg.norm(x[:, None] - x[None], axis=2) <= 0.8
+    rho = near.sum(1) - 1
+    left, want = rho >= max(1.0, 0.1 * rho.mean()), []
+    for i in np.argsort(-rho, kind="stable"):
+        if left[i]:
+            want.append((i, int((near[i] & left).sum())))
+            left &= ~near[i]
+    assert [(x[i].tolist(), n) for i, n in want] == [(r[0].tolist(), r[2]) for r in reps]
