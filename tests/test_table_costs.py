@@ -7,7 +7,7 @@ from codecut.plans import load_queries
 from codecut.plans.registry import ORACLE_SQL, QUERIES
 
 load_queries()
-NAMES = ["cost_bound", "cost_by_dim"]
+NAMES = ["cost_bound", "cost_by_dim", "cost_models_baselines"]
 
 
 @pytest.mark.parametrize("name", NAMES)
