@@ -7,7 +7,7 @@ from codecut.plans import load_queries
 from codecut.plans.registry import ORACLE_SQL, QUERIES
 
 load_queries()
-NAMES = ["cost_bound", "cost_by_dim", "cost_models_baselines", "cost_training", "encoder_params_budget"]
+NAMES = ["cost_bound", "cost_by_dim", "cost_models_baselines", "cost_training", "encoder_params_budget", "grid_cells"]
 
 
 @pytest.mark.parametrize("name", NAMES)
