@@ -94,3 +94,16 @@ def test_site_representatives_hold_no_matrix():
             want.append((i, int((near[i] & left).sum())))
             left &= ~near[i]
     assert [(x[i].tolist(), n) for i, n in want] == [(r[0].tolist(), r[2]) for r in reps]
+
+
+def test_hashed_density_peaks_puts_no_row_into_buckets(spark, monkeypatch):
+    def refuse(*a, **k):
+        raise AssertionError("rows are copied into buckets")
+
+    for name in ("lsh_buckets", "_split_buckets", "_by_parts"):
+        monkeypatch.setattr(B, name, refuse)
+    rng = np.random.default_rng(5)
+    x = np.repeat(np.eye(3) * 20, 40, axis=0) + rng.integers(0, 3, size=(120, 3))  # with copies
+    df = spark.createDataFrame([(i, i % 3, v.tolist()) for i, v in enumerate(x)], "row_id long, site_id int, vec array<double>")
+    got = {r["row_id"]: r["cluster"] for r in B.hashed_density_peaks(df, 3, layouts=2, hashes=1, width=1e6, eps=2.0).labels.collect()}
+    assert [len({got[i] for i in range(c * 40, c * 40 + 40)}) for c in range(3)] == [1, 1, 1] and len(set(got.values())) == 3
