@@ -25,7 +25,7 @@ def quality_rules(spark, docs, sf_dir):
 
 
 def near_duplicates(spark, docs, sf_dir):
-    """Of each group of near copies (Jaccard similarity of five-word runs of 0.8 or more) the document with the smallest id stays."""
+    """Of each group of near copies (Jaccard similarity of five-word runs of 0.8 or more; by fingerprints, then exactly) the document with the smallest id stays."""
     ship_package(spark)
     return one_of_each(docs, checkpoint(similar_documents(docs)))
 
