@@ -107,3 +107,29 @@ def test_hashed_density_peaks_puts_no_row_into_buckets(spark, monkeypatch):
     df = spark.createDataFrame([(i, i % 3, v.tolist()) for i, v in enumerate(x)], "row_id long, site_id int, vec array<double>")
     got = {r["row_id"]: r["cluster"] for r in B.hashed_density_peaks(df, 3, layouts=2, hashes=1, width=1e6, eps=2.0).labels.collect()}
     assert [len({got[i] for i in range(c * 40, c * 40 + 40)}) for c in range(3)] == [1, 1, 1] and len(set(got.values())) == 3
+
+
+def test_packed_rows_are_exact():
+    x = np.array([[1, -2, 0], [0.5, 1, 2], [0.1, 1e300, 3], [-0.0, 40000, 1], [np.inf, 0, 0]])
+    a = B.packed(x, B._REAL)
+    assert np.array_equal(B.unpacked(a, B._REAL), x) and np.array_equal(B.unpacked(a[1:4], B._REAL), x[1:4])
+    assert [len(v) for v in a.to_pylist()] == [7, 13, 25, 13, 25]
+    assert B.packed(np.array([[0.0, 1]]), B._REAL) == B.packed(np.array([[-0.0, 1]]), B._REAL)
+    y = np.array([[1, 200], [-(1 << 62), 5], [70_000, 0]])
+    assert np.array_equal(B.unpacked(B.packed(y, B._WHOLE), B._WHOLE), y)
+
+
+def test_gamma_topk_disk(spark, sf, tmp_path):
+    """Vectors are kept on disk once, in few bytes: before, five times the table."""
+    from pathlib import Path
+
+    from codecut.plans import load_queries
+    from codecut.plans.registry import QUERIES
+    from codecut.session import shared_dir
+
+    load_queries()
+    folder = Path(shared_dir(spark).removeprefix("file:"))
+    used = lambda: sum(p.stat().st_size for p in folder.rglob("part-*"))
+    before = used()
+    QUERIES["gamma_topk"](spark, sf).collect()
+    assert used() - before < 1.5 * Path(f"{sf}/embeddings.parquet").stat().st_size
