@@ -133,3 +133,31 @@ def test_gamma_topk_disk(spark, sf, tmp_path):
     before = used()
     QUERIES["gamma_topk"](spark, sf).collect()
     assert used() - before < 1.5 * Path(f"{sf}/embeddings.parquet").stat().st_size
+
+
+def test_copies_are_compared_once(spark, monkeypatch):
+    """Copies add to densities and follow the first of their kind, but only kinds pass by the chunks."""
+    rng = np.random.default_rng(8)
+    kinds = rng.integers(-4, 5, size=(40, 3)).astype(float)
+    x = kinds[rng.integers(0, 40, 600)]
+    seen, whole = [], B._against_all
+    monkeypatch.setattr(B, "_against_all", lambda k, *a: (seen.append(k.count()), whole(k, *a))[1])
+    df = spark.createDataFrame([(i, v.tolist()) for i, v in enumerate(x)], "row_id long, vec array<double>")
+    maps = (rng.normal(size=(3, 2)), np.zeros(2))
+    rows = B.lsh_codes(df, 2, 1, 3.0, 3, maps=maps)
+    rho, delta, up = _by_hand(x, np.floor(x @ maps[0] / 3.0).reshape(600, 2, 1), 2.0)
+    k = B.kinds_of(rows, 600)
+    first, to = B.kind_peaks(k, 2.0, 2)
+    assert {r["row_id"]: r["rho"] for r in first.collect()} == {i: rho[i] for i in np.unique(x, axis=0, return_index=True)[1]}
+    got = {r["row_id"]: (r["delta"], r["up"]) for r in B.of_copies(k, to).collect()}
+    assert {i: (pytest.approx(d), u) for i, (d, u) in got.items()} == {i: (d, u) for i, (d, u) in enumerate(zip(delta, up)) if math.isfinite(d)}
+    assert seen == [len(np.unique(x, axis=0))] * 2
+
+
+def test_peaks_of_fewer_kinds_than_clusters(spark):
+    """Three kinds and five clusters: copies are centers of themselves, as their gammas, all nothing, go by their ids."""
+    x = np.repeat([[0.0, 0], [50, 0], [0, 50]], 4, axis=0)
+    df = spark.createDataFrame([(i, 0, v.tolist()) for i, v in enumerate(x)], "row_id long, site_id int, vec array<double>")
+    got = {r["row_id"]: r["cluster"] for r in B.hashed_density_peaks(df, 5, layouts=2, hashes=1, width=1e6, eps=2.0).labels.collect()}
+    assert len(set(got.values())) == 5 and sorted(got) == list(range(12))
+    assert got[1] not in {got[0], got[2]} and got[0] == got[3] and len({got[i] for i in range(4, 8)}) == 1
