@@ -475,3 +475,32 @@ def test_seeding_and_central_methods_at_any_size(spark, orders):
     a = {r["row_id"]: r["cluster"] for r in small.labels.collect()}
     b = {r["row_id"]: r["cluster"] for r in blocked.labels.collect()}
     assert len({(a[i], b[i]) for i in a}) == 5
+
+
+def test_divergence_of_many_directions_is_made_of_matrices(monkeypatch):
+    """Of pieces that keep many directions no two bases are multiplied: the work was the square of all directions."""
+    from codecut.operators import baselines as B
+
+    rng = np.random.default_rng(4)
+    pieces = [B.fit_piece(rng.normal(size=(60, 24)) * rng.uniform(0.5, 2, 24) + rng.normal(size=24), 24 if i % 3 else 18, 0.9) for i in range(7)]
+    cov = [p.basis.T @ np.diag(p.var - p.rest) @ p.basis + p.rest * np.eye(24) for p in pieces]
+    far = lambda a, b: np.trace(np.linalg.inv(cov[a]) @ cov[b]) + (d := pieces[b].mean - pieces[a].mean) @ np.linalg.inv(cov[a]) @ d - 24
+    want = np.array([[max((far(a, b) + far(b, a)) / 2, 0) for b in range(7)] for a in range(7)])
+    called, traces = [], B._traces
+    monkeypatch.setattr(B, "_traces", lambda p: (called.append(len(p)), traces(p, 3 * 8 * 24 * 24))[1])
+    assert np.allclose(B.divergence(pieces), want, atol=1e-6) and called == [7]
+
+
+def test_quantile_of_broadcast_pairs(spark):
+    from codecut.operators import baselines as B
+
+    x = np.random.default_rng(6).normal(size=(1600, 5))
+    df = spark.createDataFrame([(i * 7, v.tolist()) for i, v in enumerate(x)], "row_id long, vec array<double>")
+    assert B.second_percentile(df, within=0.01) == pytest.approx(B.second_percentile(df, within=0.01, broadcast_bytes=0))
+
+
+def test_likelihoods_of_all_pieces():
+    rng = np.random.default_rng(9)
+    x = rng.normal(size=(700, 12)) + 40
+    pieces = [B.fit_piece(x[i::5] * (1 + i / 3), q, 0.9) for i, q in enumerate((None, 12, 1, 5, None))]
+    assert np.allclose(B.minus_log_likelihoods(x, pieces, 500), np.stack([B.minus_log_likelihood(x, p) for p in pieces], 1))
