@@ -177,3 +177,28 @@ def test_planted_vectors_are_looked_up(spark):
     noise = lambda k, i: (float(((k + 1) * (i * 31 + 17) + i * i * 11) % 201) - 100) / 100 * 0.3
     want = {(k, s, tuple(None if k is None or s is None else center(s, i) + noise(k, i) for i in range(5))) for k, s in rows}
     assert {(r["row_id"], r["truth"], tuple(r["vec"])) for r in got.collect()} == want
+
+
+@pytest.mark.parametrize("hashes, width", [(1, 4.0), (2, 6.0)])
+def test_far_groups_are_left_out(monkeypatch, hashes, width):
+    """Distances are made to groups near a row only, and counts and nearest denser rows are those by hand."""
+    rng = np.random.default_rng(5)
+    x = (rng.integers(0, 6, size=(1500, 1)) * 50 + rng.integers(-3, 4, size=(1500, 6))).astype(float)
+    x = np.unique(x, axis=0)
+    n = len(x)
+    codes = np.floor((x @ rng.normal(size=(6, 2 * hashes)) + 3) / width).astype(np.int64).reshape(n, 2, hashes)
+    rho, delta, up = _by_hand(x, codes, 4.0)
+    groups, made, squares = B.leaves(x), [], B._strip_squares
+    true = ((x[:, None] - x[None]) ** 2).sum(2)
+    bound = groups.squares(x)
+    for g, (lo, hi) in enumerate(zip(groups.ends, groups.ends[1:])):
+        assert (bound[:, g] <= true[:, groups.order[lo:hi]].min(1)).all()
+    monkeypatch.setattr(B, "_strip_squares", lambda a, sa, b, sb: (made.append(len(a) * len(b)), squares(a, sa, b, sb))[1])
+    ids = np.arange(n)
+    near = B._near_by_layout(4.0)((ids, np.ones(n, int), x, codes, None), (ids, np.ones(n, int), x, codes, None, groups)).to_pydict()
+    assert [max(c) for c in near["near"]] == rho.tolist() and sum(made) < 0.5 * n * n
+    made.clear()
+    got = B._nearest_denser((ids, None, x, codes, rho), (ids, None, x, codes, rho, groups)).to_pydict()
+    some = np.isfinite(delta)
+    assert got["row_id"] == ids[some].tolist() and np.allclose(got["delta"], delta[some]) and got["up"] == np.array(up)[some].tolist()
+    assert sum(made) < 0.5 * n * n

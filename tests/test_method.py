@@ -504,3 +504,24 @@ def test_likelihoods_of_all_pieces():
     x = rng.normal(size=(700, 12)) + 40
     pieces = [B.fit_piece(x[i::5] * (1 + i / 3), q, 0.9) for i, q in enumerate((None, 12, 1, 5, None))]
     assert np.allclose(B.minus_log_likelihoods(x, pieces, 500), np.stack([B.minus_log_likelihood(x, p) for p in pieces], 1))
+
+
+def test_methods_side_by_side_as_in_turn(spark, monkeypatch):
+    """Lanes give the rows that the methods give in turn, in their order, from one distance quantile a set."""
+    from codecut.plans import queries_workloads as W
+
+    rng = np.random.default_rng(2)
+    sets = []
+    for name, n in (("a", 90), ("b", 60)):
+        rows = [(i, i % 2, (rng.normal(size=4) * 0.2 + 5 * (i % 3)).tolist(), str(i % 3)) for i in range(n)]
+        sets.append((name, spark.createDataFrame(rows, "row_id long, site_id int, vec array<double>, truth string"), 3, W.Settings(3, 8, hidden=(8,), train=W._rounds(2))))
+    drawn, whole = [], W.B.second_percentile
+    monkeypatch.setattr(W.B, "second_percentile", lambda *a, **kw: (drawn.append(1), whole(*a, **kw))[1])
+    got = W.compare_all(sets, W.DISTRIBUTED, W.LANES)
+    assert len(drawn) == 2
+    want = [r for name, df, k, s in sets for r in W.compare(df, k, s, W.DISTRIBUTED, name)]
+    assert [r[:2] for r in got] == [r[:2] for r in want]
+    assert np.allclose([r[2:] for r in got], [r[2:] for r in want])
+    some = spark.createDataFrame([("x", "p", 3), ("x", "q", 1), ("y", "q", 2)], "cluster string, truth string, n long")
+    each = spark.createDataFrame([("x", "p")] * 3 + [("x", "q")] + [("y", "q")] * 2, "cluster string, truth string")
+    assert W.M.purity(some, count="n").first() == W.M.purity(each).first() and np.isclose(W.M.nmi(some, count="n").first()[0], W.M.nmi(each).first()[0])
