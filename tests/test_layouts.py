@@ -202,3 +202,20 @@ def test_far_groups_are_left_out(monkeypatch, hashes, width):
     some = np.isfinite(delta)
     assert got["row_id"] == ids[some].tolist() and np.allclose(got["delta"], delta[some]) and got["up"] == np.array(up)[some].tolist()
     assert sum(made) < 0.5 * n * n
+
+
+@pytest.mark.parametrize("hashes, width", [(1, 3.0), (2, 9.0)])
+def test_groups_hardly_apart_meet_in_wide_blocks(monkeypatch, hashes, width):
+    rng = np.random.default_rng(hashes)
+    x = np.unique(rng.integers(-9, 10, size=(1300, 12)).astype(float), axis=0)
+    n, groups = len(x), B.leaves(x)
+    codes = np.floor((x @ rng.normal(size=(12, 2 * hashes)) + 3) / width).astype(np.int64).reshape(n, 2, hashes)
+    rho, delta, up = _by_hand(x, codes, 22.0)
+    ids, one, some, wide, squares = np.arange(n), np.ones(n, int), np.isfinite(delta), [], B._strip_squares
+    monkeypatch.setattr(B, "_strip_squares", lambda a, sa, b, sb: (wide.append(len(b)), squares(a, sa, b, sb))[1])
+    near = B._near_by_layout(22.0)((ids, one, x, codes, None), (ids, one, x, codes, None, groups)).to_pydict()
+    assert [max(c) for c in near["near"]] == rho.tolist() and min(wide) > B._LEAF
+    wide.clear()
+    got = B._nearest_denser((ids, None, x, codes, rho), (ids, None, x, codes, rho, groups)).to_pydict()
+    assert got["row_id"] == ids[some].tolist() and np.allclose(got["delta"], delta[some]) and got["up"] == np.array(up)[some].tolist()
+    assert max(wide) > B._LEAF
