@@ -44,3 +44,25 @@ def test_halved_products_equal_the_matrix(spark, bits, p):
         assert np.abs(got - full @ x).max() < 1e-6 * (full @ np.abs(x)).max()
     e, whole = b.embed(3), blocked_code_weights(spark, codes, degrees, bits, 0.5, p).embed(3)
     assert np.allclose(e @ e.T, whole @ whole.T, atol=1e-2)
+
+
+def test_halved_products_of_rows(spark):
+    from codecut.operators.baselines import landmark_start, rbf_rows
+    from codecut.operators.spectral import BlockedWeights, spectral_embed
+
+    rng = np.random.default_rng(5)
+    x, c = np.concatenate([rng.normal(m, 0.2, size=(500, 3)) for m in (-0.5, 0, 0.5)]).astype(np.float32), rng.integers(1, 4, 1500).astype(float)
+    payload = x, (x * x).sum(1), (1 - 1 / c).astype(np.float32)
+    w = np.exp(-((x[:, None].astype(float) - x[None]) ** 2).sum(2))
+    np.fill_diagonal(w, 1 - 1 / c)
+    w = c[:, None] * w * c
+    b = BlockedWeights(spark, 1500, payload, rbf_rows(1.0), scale=c, tiled=True, tiles=rbf_rows(1.0), halved_above=100)
+    y, want = rng.normal(size=(1500, 2)), spectral_embed(w, 3)
+    assert np.abs(b.times(y) - w @ y).max() < 1e-6 * (w @ np.abs(y)).max()
+    made, times = [], b.times
+    b.times = lambda y: made.append(y.shape[1]) or times(y)
+    e = b.embed(3)
+    plain = len(made)
+    assert np.allclose(e @ e.T, want @ want.T, atol=1e-3)
+    e = b.embed(3, start=landmark_start(spark, payload, b.payload, 1.0, c, 3, count=300))
+    assert np.allclose(e @ e.T, want @ want.T, atol=1e-3) and len(made) - plain < plain  # fewer products, the same vectors
